@@ -1,9 +1,53 @@
-"""A corpus pipeline of five operators, each reading what the one before it wrote."""
+"""A corpus pipeline of five operators, each reading what the one before it wrote.
+
+Documents in no learned language go; of equal texts the one with the largest id stays; of near
+copies the one with the smallest id stays; sources are mixed to their target weights; what is left is
+packed into sequences.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from pyspark.sql import DataFrame, SparkSession
+
+from ordering_engine.llm import exact_dedup, language_id, packing, parity_join, source_mix
+from ordering_engine.llm.queries import vocabulary
+from ordering_engine.llm.shared import materialize, table
+
+
+def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return language_id.known_language(docs)
+
+
+def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return exact_dedup.drop_copies(docs, keep="max")
+
+
+def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return parity_join.one_per_class(docs)
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return source_mix.mixed_documents(docs)
+
+
+def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return packing.pack_documents(docs, vocabulary())
+
+
+STAGES = [
+    ("language_id", keep_known_languages),
+    ("exact_dedup", drop_exact_copies),
+    ("near_copies", keep_one_of_near_copies),
+    ("source_mix", mix_sources),
+    ("packing", pack_sequences),
+]
+
+#: Language models, hashes of 64 bits and a tokenizer are beyond SQL; the tests hold ``run`` against a brute-force version.
+ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+    return STAGES[-1][1](spark, docs, sf_dir)

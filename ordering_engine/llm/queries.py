@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, host_reputation, html_text, imatch, language_id, packing, source_mix, token_counts
+from . import exact_dedup, host_reputation, html_text, imatch, language_id, packing, parity_join, source_mix, token_counts
 from .shared import table
 
 BYTE_BPE = "byte_bpe_50k.json"
@@ -36,6 +36,10 @@ def op6_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return html_text.extract(table(spark, sf_dir, "pages"))
 
 
+def op7_parity_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return parity_join.linked_classes(table(spark, sf_dir, "documents"))
+
+
 def op8_imatch(spark: SparkSession, sf_dir: str) -> DataFrame:
     return imatch.fingerprints(table(spark, sf_dir, "documents"))
 
@@ -48,5 +52,5 @@ def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"), keep="max")
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op3_token_counts, op4_host_reputation, op5_packing, op6_html_text, op8_imatch, op9_source_mix, op10_exact_dedup)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op3_token_counts, op4_host_reputation, op5_packing, op6_html_text, op7_parity_join, op8_imatch, op9_source_mix, op10_exact_dedup)}
 ORACLE_SQL = {"op10_exact_dedup": exact_dedup.ORACLE_SQL}
