@@ -15,8 +15,9 @@ band below.
 No bucket is expanded into all pairs. First every member is paired with the bucket's least only; pairs
 that pass the sketch bound are verified on the whole sets, and verified links are joined to components.
 A bucket whose members are one component is settled. A pair left open shares two unsettled buckets,
-so only members of two of them stay; these are compared by their sketches inside the bucket, in
-blocks, and only pairs within the bound leave it, to be verified as well. So no link is lost.
+so only members of two of them stay. Inside an unsettled bucket, in blocks, these are compared by finer
+sketches and then whole, and a pair whose components have met needs no comparison: what leaves the
+bucket is at most one link per component. So no link between components is lost.
 
 Equal sets are one class from the start: a task emits the segments of a set once.
 
@@ -45,8 +46,8 @@ MIX_1, MIX_2, STEP = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB
 #: Sizes below this use one segment per shingle, so that enough segments are occupied for certain.
 FINE_BELOW = 64
 MEMO_ENTRIES = 500_000
-#: Members of a bucket that are compared at a time.
-BLOCK = 2048
+#: Shingles of a bucket's members that are compared at a time, against as many.
+BLOCK_SHINGLES = 1 << 20
 #: Rows of ids that are broadcast at most; beyond it they are joined by shuffle.
 BROADCAST_ROWS = 100_000
 
@@ -189,14 +190,12 @@ def _near(pairs: DataFrame, sketches: DataFrame, bands: Bands) -> DataFrame:
     return sized.select("a", "b", "na", "sa", "nb", "sb").mapInArrow(test, "a bigint, b bigint")
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, id_col: str, text_col: str, width: int, bands: Bands) -> DataFrame:
-    """The pairs of digests whose whole sets link."""
-    pairs = materialize(pairs, "join-candidates")
-    wanted = pairs.select(F.col("a").alias("d1")).union(pairs.select("b")).distinct()
+def _whole_sets(wanted: DataFrame, sets: DataFrame, docs: DataFrame, id_col: str, text_col: str, width: int) -> DataFrame:
+    """``d1``, ``s``: the whole shingle set of each wanted digest, read again from one document that has it."""
     reps = sets.where("words is not null").join(wanted, "d1", "left_semi").groupBy("d1").agg(F.min("_id").alias("_rep"))
     reps = materialize(reps, "join-wanted")
-    small = reps.count() <= BROADCAST_ROWS
     side = reps.select("_rep").distinct()
+    small = reps.count() <= BROADCAST_ROWS
     texts = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
     texts = texts.join(F.broadcast(side) if small else side, F.col("_id").eqNullSafe(F.col("_rep")), "left_semi")
 
@@ -209,52 +208,98 @@ def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, id_col: str, t
             flat = np.concatenate(own or [np.zeros(0, np.uint64)])
             yield pa.RecordBatch.from_arrays([pa.array(np.array(digest, np.uint64).view(np.int64)), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(flat.view(np.int64)))], names=["d1", "s"])
 
-    whole = texts.select("_text").mapInArrow(read, "d1 bigint, s array<bigint>").join(wanted, "d1", "left_semi").dropDuplicates(["d1"])
-    whole = materialize(whole, "join-sets")
+    whole = texts.select("_text").mapInArrow(read, "d1 bigint, s array<bigint>").join(reps.select("d1"), "d1", "left_semi").dropDuplicates(["d1"])
+    return materialize(whole, "join-whole-sets")
+
+
+def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, id_col: str, text_col: str, width: int, bands: Bands) -> DataFrame:
+    """The pairs of digests whose whole sets link."""
+    pairs = materialize(pairs, "join-candidates")
+    whole = _whole_sets(pairs.select(F.col("a").alias("d1")).union(pairs.select("b")).distinct(), sets, docs, id_col, text_col, width)
     both = pairs.join(whole.select(F.col("d1").alias("b"), F.col("s").alias("t")), "b").join(whole.select(F.col("d1").alias("a"), "s"), "a")
     common = F.size(F.array_intersect("s", "t"))
     return both.where(common * bands.den >= (F.size("s") + F.size("t") - common) * bands.num).select("a", "b")
 
 
-def _open_pairs(members: DataFrame, bands: Bands) -> DataFrame:
-    """Pairs (``a``, ``b``) inside buckets, of different components, that sizes and sketches allow.
+class _Forest:
+    """Union-find over the components that meet in a bucket."""
 
-    ``members``: ``word``, ``d1``, ``root``, ``n``, ``sketch``, ``members``. Large buckets are compared block against block.
+    def __init__(self) -> None:
+        self.up: dict[int, int] = {}
+
+    def root(self, x: int) -> int:
+        while (y := self.up.get(x, x)) != x:
+            self.up[x] = self.up.get(y, y)
+            x = y
+        return x
+
+    def join(self, x: int, y: int) -> None:
+        self.up[self.root(x)] = self.root(y)
+
+
+def bucket_links(digests: list[int], roots: list[int], own: list[int], sets: list[np.ndarray], i: int, j: int, bands: Bands) -> list[tuple[int, int]]:
+    """Links that join different components in a bucket (or between its blocks i and j): no more than components less one.
+
+    Sketches of eight bits a shingle leave few pairs to compare whole, and a pair whose components
+    have met already needs no comparison.
     """
-    blocks = F.expr(f"(members + {BLOCK - 1}) div {BLOCK}")
+    n = np.array([len(s) for s in sets])
+    bits = 1 << (int(n.max()) * 8 - 1).bit_length()
+    sketch = np.zeros((len(sets), bits // 64), np.uint64)
+    for k, s in enumerate(sets):
+        odd = np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+        sketch[k] = np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
+    block, forest, found = np.array(own), _Forest(), []
+    label = np.array([hash(r) for r in roots])
+    for k in range(len(sets) - 1):
+        if i != j and block[k] != i:
+            continue
+        fits = (label != label[k]) & (np.minimum(n, n[k]) * bands.den >= np.maximum(n, n[k]) * bands.num)
+        fits &= (block == j) if i != j else (np.arange(len(sets)) > k)
+        at = np.flatnonzero(fits)
+        if len(at):
+            apart = np.bitwise_count(sketch[at] ^ sketch[k]).sum(1)
+            for m in at[apart <= (n[at] + n[k]) * (bands.den - bands.num) // (bands.den + bands.num)]:
+                if forest.root(roots[k]) != forest.root(roots[m]):
+                    common = len(np.intersect1d(sets[k], sets[m], assume_unique=True))
+                    if common * bands.den >= (n[k] + n[m] - common) * bands.num:
+                        forest.join(roots[k], roots[m])
+                        found.append((max(digests[k], digests[m]), min(digests[k], digests[m])))
+    return found
+
+
+def _open_links(members: DataFrame, bands: Bands) -> DataFrame:
+    """Links (``a``, ``b``) inside unsettled buckets that join different components.
+
+    ``members``: ``word``, ``d1``, ``root``, ``s``, ``shingles`` (of the bucket). Large buckets are compared block
+    against block, each pair of blocks a group of its own.
+    """
+    blocks = F.expr(f"(shingles + {BLOCK_SHINGLES - 1}) div {BLOCK_SHINGLES}")
     dealt = members.withColumn("_blocks", blocks).withColumn("_own", F.pmod(F.xxhash64("d1"), F.col("_blocks")))
-    dealt = dealt.withColumn("_other", F.explode(F.expr("sequence(0, _blocks - 1)")))
-    dealt = dealt.select("word", F.least("_own", "_other").alias("_i"), F.greatest("_own", "_other").alias("_j"), "_own", "d1", "root", "n", "sketch")
-
-    def compare(rows: list[tuple]) -> Iterator[tuple[int, int]]:
-        i, j = rows[0][1], rows[0][2]
-        width = min(len(r[7]) for r in rows) // 8
-        bits = np.stack([folded(np.frombuffer(r[7], np.uint64), width) for r in rows])
-        own, d, root, n = (np.array([r[k] for r in rows]) for k in (3, 4, 5, 6))
-        for k in range(len(rows)):
-            if i != j and own[k] != i:
-                continue
-            fits = (root != root[k]) & (np.minimum(n, n[k]) * bands.den >= np.maximum(n, n[k]) * bands.num)
-            fits &= (own == j) if i != j else (d > d[k])
-            at = np.flatnonzero(fits)
-            if len(at):
-                apart = np.bitwise_count(bits[at] ^ bits[k]).sum(1)
-                for m in at[apart <= (n[at] + n[k]) * (bands.den - bands.num) // (bands.den + bands.num)]:
-                    yield int(max(d[k], d[m])), int(min(d[k], d[m]))
+    dealt = dealt.withColumn("_other", F.explode(F.expr("sequence(0L, _blocks - 1)")))
+    dealt = dealt.select("word", F.least("_own", "_other").alias("_i"), F.greatest("_own", "_other").alias("_j"), "_own", "d1", "root", "s")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple] = []
+        group, held = None, ([], [], [], [])
+
+        def done() -> list[tuple[int, int]]:
+            return bucket_links(held[1], held[2], held[0], held[3], group[1], group[2], bands) if len(held[1]) > 1 else []
+
         for batch in batches:
-            found: set[tuple[int, int]] = set()
-            for row in zip(*(batch.column(k).to_pylist() for k in range(8)), strict=True):
-                if held and held[0][:3] != row[:3]:
-                    found.update(compare(held))
-                    held = []
-                held.append(row)
-            yield _pairs(found)
-        yield _pairs(set(compare(held)) if held else set())
-
-    def _pairs(found: set[tuple[int, int]]) -> pa.RecordBatch:
+            found: list[tuple[int, int]] = []
+            keys = zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True)
+            sets, starts = batch.column(6).flatten().to_numpy().view(np.uint64), np.concatenate([[0], np.cumsum(batch.column(6).value_lengths().to_numpy())])
+            for row, (key, own, digest, root) in enumerate(zip(keys, *(batch.column(k).to_pylist() for k in (3, 4, 5)), strict=True)):
+                if key != group:
+                    found += done() if group else []
+                    group, held = key, ([], [], [], [])
+                for part, value in zip(held, (own, digest, root, sets[starts[row] : starts[row + 1]]), strict=True):
+                    part.append(value)
+            held = (*held[:3], [s.copy() for s in held[3]])  # a batch's memory goes with the batch
+            yield pairs(found)
+        yield pairs(done() if group else [])
+
+    def pairs(found: list[tuple[int, int]]) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays([pa.array([p[k] for p in found], pa.int64()) for k in (0, 1)], names=["a", "b"])
 
     # The exchange is by bucket and block pair, so one bucket's blocks are compared by many tasks.
@@ -279,10 +324,10 @@ def linked_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     still = materialize(labelled.join(unsettled.select("word"), "word", "left_semi").select("word", "d1", "root"), "join-unsettled")
     twice = still.groupBy("d1").agg(F.count(F.lit(1)).alias("_k")).where("_k > 1").select("d1")
     still = still.join(twice, "d1", "left_semi")
-    counts = still.groupBy("word").agg(F.count(F.lit(1)).alias("members"), F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("word", "members")
-    still = still.join(counts, "word").join(sketches, "d1")
-    more = _open_pairs(still, bands).join(stars, ["a", "b"], "left_anti")
-    more = materialize(_verified(more, sets, docs, id_col, text_col, width, bands), "join-more-links")
+    whole = _whole_sets(still.select("d1").distinct(), sets, docs, id_col, text_col, width)
+    still = still.join(whole, "d1")
+    counts = still.groupBy("word").agg(F.sum(F.size("s").cast("long")).alias("shingles"), F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("word", "shingles")
+    more = materialize(_open_links(still.join(counts, "word"), bands), "join-more-links")
     roots = components(links.unionByName(more), "join-rounds")
     roots = materialize(roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct()), "join-roots")
 
