@@ -84,7 +84,7 @@ class SortedBy:
     def analyze(rows):
         from pyspark.sql.udtf import AnalyzeResult
 
-        schema = T.StructType().add("place", "int")
+        schema = T.StructType().add("place", T.IntegerType())
         for f in rows.dataType.fields:
             schema = schema.add(f.name, f.dataType)
         return AnalyzeResult(schema=schema)
