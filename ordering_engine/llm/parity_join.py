@@ -15,9 +15,11 @@ band below.
 No bucket is expanded into all pairs. First every member is paired with the bucket's least only; pairs
 that pass the sketch bound are verified on the whole sets, and verified links are joined to components.
 A bucket whose members are one component is settled. A pair left open shares two unsettled buckets,
-so only members of two of them stay. Inside an unsettled bucket, in blocks, these are compared by finer
-sketches and then whole, and a pair whose components have met needs no comparison: what leaves the
-bucket is at most one link per component. So no link between components is lost.
+so only members of two of them stay. Inside an unsettled bucket, in blocks, these are compared by
+sketches; what leaves it is which components may link, at most one row per component, and which sets
+have a possible partner. Components that may link form a group, to which each such set goes once,
+whole; there pairs are compared by finer sketches and then exactly, unless their components have met
+already. So no link between components is lost, and no step makes more rows than it has members.
 
 Equal sets are one class from the start: a task emits the segments of a set once.
 
@@ -46,7 +48,9 @@ MIX_1, MIX_2, STEP = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB
 #: Sizes below this use one segment per shingle, so that enough segments are occupied for certain.
 FINE_BELOW = 64
 MEMO_ENTRIES = 500_000
-#: Shingles of a bucket's members that are compared at a time, against as many.
+#: Members of a bucket that are compared by sketches at a time, against as many.
+BLOCK = 2048
+#: Shingles of a group's sets that are compared at a time, against as many.
 BLOCK_SHINGLES = 1 << 20
 #: Rows of ids that are broadcast at most; beyond it they are joined by shuffle.
 BROADCAST_ROWS = 100_000
@@ -238,7 +242,7 @@ class _Forest:
 
 
 def bucket_links(digests: list[int], roots: list[int], own: list[int], sets: list[np.ndarray], i: int, j: int, bands: Bands) -> list[tuple[int, int]]:
-    """Links that join different components in a bucket (or between its blocks i and j): no more than components less one.
+    """Links that join different components in a group (or between its blocks i and j): no more than components less one.
 
     Sketches of eight bits a shingle leave few pairs to compare whole, and a pair whose components
     have met already needs no comparison.
@@ -250,7 +254,7 @@ def bucket_links(digests: list[int], roots: list[int], own: list[int], sets: lis
         odd = np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
         sketch[k] = np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
     block, forest, found = np.array(own), _Forest(), []
-    label = np.array([hash(r) for r in roots])
+    label = np.array(roots)
     for k in range(len(sets) - 1):
         if i != j and block[k] != i:
             continue
@@ -268,42 +272,71 @@ def bucket_links(digests: list[int], roots: list[int], own: list[int], sets: lis
     return found
 
 
-def _open_links(members: DataFrame, bands: Bands) -> DataFrame:
-    """Links (``a``, ``b``) inside unsettled buckets that join different components.
+def bucket_meetings(digests: list[int], roots: list[int], own: list[int], sizes: list[int], sketches: list[bytes], i: int, j: int, bands: Bands) -> set[tuple[int, int, int]]:
+    """What a bucket's sketches leave possible between its components (or between its blocks i and j).
 
-    ``members``: ``word``, ``d1``, ``root``, ``s``, ``shingles`` (of the bucket). Large buckets are compared block
-    against block, each pair of blocks a group of its own.
+    Rows (0, root, root) join components that may link, one less than there are at most; rows (1, digest, root) name
+    the sets that have a possible partner in another component.
     """
-    blocks = F.expr(f"(shingles + {BLOCK_SHINGLES - 1}) div {BLOCK_SHINGLES}")
-    dealt = members.withColumn("_blocks", blocks).withColumn("_own", F.pmod(F.xxhash64("d1"), F.col("_blocks")))
+    n, label, block = np.array(sizes), np.array(roots), np.array(own)
+    width = min(len(s) for s in sketches) // 8
+    bits = np.stack([folded(np.frombuffer(s, np.uint64), width) for s in sketches])
+    forest, found = _Forest(), set()
+    for k in range(len(sizes)):
+        if i != j and block[k] != i:
+            continue
+        fits = (label != label[k]) & (np.minimum(n, n[k]) * bands.den >= np.maximum(n, n[k]) * bands.num)
+        fits &= (block == j) if i != j else (np.arange(len(sizes)) > k)
+        at = np.flatnonzero(fits)
+        if len(at):
+            apart = np.bitwise_count(bits[at] ^ bits[k]).sum(1)
+            near = at[apart <= (n[at] + n[k]) * (bands.den - bands.num) // (bands.den + bands.num)].tolist()
+            for m in near:
+                found.add((1, digests[m], roots[m]))
+                if forest.root(roots[k]) != forest.root(roots[m]):
+                    forest.join(roots[k], roots[m])
+                    found.add((0, max(roots[k], roots[m]), min(roots[k], roots[m])))
+            if near:
+                found.add((1, digests[k], roots[k]))
+    return found
+
+
+def _by_group(rows: DataFrame, group: str, size: str, most: int, payload: list[str], work, schema: str) -> DataFrame:
+    """Run ``work(payload columns as lists, i, j)`` on every group, large groups block against block.
+
+    A group of ``size`` over ``most`` is dealt into blocks by hash, and every pair of blocks (i, j) is a group of
+    its own, for any task to take: no task ever holds more than two blocks.
+    """
+    dealt = rows.withColumn("_blocks", F.expr(f"({size} + {most - 1}) div {most}")).withColumn("_own", F.pmod(F.xxhash64("d1"), F.col("_blocks")))
     dealt = dealt.withColumn("_other", F.explode(F.expr("sequence(0L, _blocks - 1)")))
-    dealt = dealt.select("word", F.least("_own", "_other").alias("_i"), F.greatest("_own", "_other").alias("_j"), "_own", "d1", "root", "s")
+    dealt = dealt.select(F.col(group).alias("_g"), F.least("_own", "_other").alias("_i"), F.greatest("_own", "_other").alias("_j"), "_own", *payload)
+    names = [f.split(" ")[0] for f in schema.split(", ")]
+
+    def out(found) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([r[k] for r in found], pa.int32() if name == "kind" else pa.int64()) for k, name in enumerate(names)], names=names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        group, held = None, ([], [], [], [])
+        key, held = None, []
+        for batch in batches:
+            found: list[tuple] = []
+            columns = [c.to_pylist() if not pa.types.is_list(c.type) else _arrays(c) for c in batch.columns]
+            for row in zip(*columns, strict=True):
+                if row[:3] != key:
+                    if len(held) > 1:
+                        found += work(*(list(c) for c in zip(*held, strict=True)), key[1], key[2])
+                    key, held = row[:3], []
+                held.append(row[3:])
+            yield out(found)
+        yield out(work(*(list(c) for c in zip(*held, strict=True)), key[1], key[2]) if len(held) > 1 else [])
 
-        def done() -> list[tuple[int, int]]:
-            return bucket_links(held[1], held[2], held[0], held[3], group[1], group[2], bands) if len(held[1]) > 1 else []
+    return dealt.repartition("_g", "_i", "_j").sortWithinPartitions("_g", "_i", "_j").mapInArrow(run, schema)
 
-        for batch in batches:
-            found: list[tuple[int, int]] = []
-            keys = zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True)
-            sets, starts = batch.column(6).flatten().to_numpy().view(np.uint64), np.concatenate([[0], np.cumsum(batch.column(6).value_lengths().to_numpy())])
-            for row, (key, own, digest, root) in enumerate(zip(keys, *(batch.column(k).to_pylist() for k in (3, 4, 5)), strict=True)):
-                if key != group:
-                    found += done() if group else []
-                    group, held = key, ([], [], [], [])
-                for part, value in zip(held, (own, digest, root, sets[starts[row] : starts[row + 1]]), strict=True):
-                    part.append(value)
-            held = (*held[:3], [s.copy() for s in held[3]])  # a batch's memory goes with the batch
-            yield pairs(found)
-        yield pairs(done() if group else [])
-
-    def pairs(found: list[tuple[int, int]]) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([p[k] for p in found], pa.int64()) for k in (0, 1)], names=["a", "b"])
-
-    # The exchange is by bucket and block pair, so one bucket's blocks are compared by many tasks.
-    return dealt.repartition("word", "_i", "_j").sortWithinPartitions("word", "_i", "_j").mapInArrow(run, "a bigint, b bigint").distinct()
+
+def _arrays(column: pa.ListArray) -> list[np.ndarray]:
+    """Copies, so that a held group doesn't hold whole batches."""
+    flat = column.flatten().to_numpy().view(np.uint64)
+    cuts = np.concatenate([[0], np.cumsum(column.value_lengths().to_numpy())])
+    return [flat[a:b].copy() for a, b in zip(cuts, cuts[1:], strict=False)]
 
 
 def linked_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 80, den: int = 100) -> DataFrame:
@@ -324,10 +357,20 @@ def linked_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     still = materialize(labelled.join(unsettled.select("word"), "word", "left_semi").select("word", "d1", "root"), "join-unsettled")
     twice = still.groupBy("d1").agg(F.count(F.lit(1)).alias("_k")).where("_k > 1").select("d1")
     still = still.join(twice, "d1", "left_semi")
-    whole = _whole_sets(still.select("d1").distinct(), sets, docs, id_col, text_col, width)
-    still = still.join(whole, "d1")
-    counts = still.groupBy("word").agg(F.sum(F.size("s").cast("long")).alias("shingles"), F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("word", "shingles")
-    more = materialize(_open_links(still.join(counts, "word"), bands), "join-more-links")
+    counts = still.groupBy("word").agg(F.count(F.lit(1)).alias("members"), F.min("root").alias("_lo"), F.max("root").alias("_hi")).where("_lo < _hi").select("word", "members")
+    still = still.join(counts, "word").join(sketches, "d1")
+    meet = lambda own, d, root, n, sketch, i, j: bucket_meetings(d, root, own, n, sketch, i, j, bands)
+    met_again = materialize(_by_group(still, "word", "members", BLOCK, ["d1", "root", "n", "sketch"], meet, "kind int, a bigint, b bigint").distinct(), "join-meetings")
+
+    # Components that may link are one group; each set of it that has a possible partner goes there once, whole.
+    grouped = components(met_again.where("kind = 0").select("a", "b"), "join-rounds").select(F.col("node").alias("root"), F.col("root").alias("group"))
+    possible = met_again.where("kind = 1").select(F.col("a").alias("d1"), F.col("b").alias("root"))
+    possible = materialize(possible.join(grouped, "root", "left").withColumn("group", F.coalesce("group", "root")), "join-possible")
+    whole = _whole_sets(possible.select("d1"), sets, docs, id_col, text_col, width)
+    possible = possible.join(whole, "d1")
+    sizes = possible.groupBy("group").agg(F.sum(F.size("s").cast("long")).alias("shingles"))
+    link = lambda own, d, root, s, i, j: bucket_links(d, root, own, s, i, j, bands)
+    more = materialize(_by_group(possible.join(sizes, "group"), "group", "shingles", BLOCK_SHINGLES, ["d1", "root", "s"], link, "a bigint, b bigint").distinct(), "join-more-links")
     roots = components(links.unionByName(more), "join-rounds")
     roots = materialize(roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct()), "join-roots")
 
