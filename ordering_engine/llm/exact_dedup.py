@@ -49,11 +49,13 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min", normalise: str = "ascii_lower") -> DataFrame:
     """The rows of ``docs`` that stay, with all their columns; a repeated row stays once."""
-    found = groups(docs, id_col, text_col, keep, normalise).select(F.col("keep_id").alias("_keep"), F.col("_hash").alias("_keep_hash"))
+    # The id as text and a null flag: equal keys on both sides, so the duplicates' check below needs no further exchange.
+    identity = lambda c: F.struct(F.coalesce(c.cast("string"), F.lit("")).alias("id"), c.isNull().alias("none"))
+    found = groups(docs, id_col, text_col, keep, normalise).select(identity(F.col("keep_id")).alias("_row_id"), F.col("_hash").alias("_row_hash"))
     text = NORMALISE[normalise](F.coalesce(F.col(text_col), F.lit("")))
-    left = docs.withColumn("_row_hash", md5_128(text))
-    kept = left.join(found, F.col(id_col).eqNullSafe(F.col("_keep")) & (F.col("_row_hash") == F.col("_keep_hash")), "left_semi")
-    return kept.dropDuplicates([id_col, "_row_hash"]).select(*[F.col(f"`{c}`") for c in docs.columns])
+    rows = docs.withColumn("_row_id", identity(F.col(id_col))).withColumn("_row_hash", md5_128(text))
+    kept = rows.join(found, ["_row_id", "_row_hash"], "left_semi").dropDuplicates(["_row_id", "_row_hash"])
+    return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 ORACLE_SQL = """
