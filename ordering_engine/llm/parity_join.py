@@ -384,7 +384,14 @@ def linked_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
 
 def one_per_class(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
-    """The rows of ``docs`` whose id is the smallest of their class, with all their columns."""
-    least = linked_classes(docs, id_col, text_col, **options).where(F.col(id_col).eqNullSafe(F.col("component_id")))
-    kept = least.select(F.col(id_col).alias("_keep")).distinct()
-    return docs.join(kept, F.col(id_col).eqNullSafe(F.col("_keep")), "left_semi")
+    """The rows of ``docs`` whose id is the smallest of their class, with all their columns.
+
+    The ids that go are few, as a rule, and then they are broadcast and no text is moved. A repeated id stays if one of its rows does.
+    """
+    classes = materialize(linked_classes(docs, id_col, text_col, **options), "join-classes")
+    least = F.col(id_col).eqNullSafe(F.col("component_id"))
+    stay = classes.where(least).select(F.col(id_col).alias("_stay")).distinct()
+    go = classes.where(~least).select(F.col(id_col).alias("_go")).distinct()
+    go = materialize(go.join(stay, F.col("_go").eqNullSafe(F.col("_stay")), "left_anti"), "join-dropped")
+    side = F.broadcast(go) if go.count() <= BROADCAST_ROWS else go
+    return docs.join(side, F.col(id_col).eqNullSafe(F.col("_go")), "left_anti")
