@@ -4,7 +4,7 @@ Slot ``i`` of the schedule gets the point frac(i * golden ratio), taken in exact
 the point falls into one source's share of the cumulative targets, so every stretch of the
 schedule holds each source in proportion. A slot's rank within its source names the block of that
 source it takes. Blocks are equal numbers of words: the source's documents, shuffled by a keyed
-hash, laid end to end and cut every ``block_words`` words; ranks past the last block start over.
+hash, laid end to end and cut into blocks of one slot's words; ranks past the last block start over.
 
 Both running sums (words before a document, slots before a slot) go over buckets first and rows
 second, so a source with a third of all rows is spread over all buckets and no task holds a source.
@@ -75,15 +75,18 @@ def schedule(targets: DataFrame, block_words: int, chunk: int = 1 << 14) -> Data
     return slots.withColumn("_within", within).join(offsets, ["_place", "_chunk"]).select("slot", "_place", (F.col("_before") + F.col("_within")).alias("rank"))
 
 
-def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (1, 2, 3), max_epochs: int = 3, block_words: int = 256, buckets: int = 1024, seed: int = 0) -> DataFrame:
+def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (1, 2, 3), max_epochs: int = 3, slots: int = 1 << 17, buckets: int = 1024, seed: int = 0, shuffle_by: tuple[str, ...] | None = None) -> DataFrame:
     """One row per input row: id, ``size``, ``source_size``, ``target``, ``taken``.
 
-    ``block_words`` is the grain of the schedule: a source's taken words differ from its target by
-    few blocks. ``seed`` keys the shuffle within sources.
+    ``slots`` is the length of the schedule, or 64 for each source if that is more; a block is the words of
+    one slot, 16 at least. A source's taken words differ from its target by few blocks. ``seed`` keys the shuffle
+    within sources, by the columns ``shuffle_by`` (id and text).
     """
-    sized = docs.select(F.col(id_col).alias("_id"), F.col(source_col).alias("_source"), n_words(F.col(text_col)).alias("_size"), F.xxhash64(F.lit(seed), F.col(id_col), F.col(text_col)).alias("_key"))
+    sized = docs.select(F.col(id_col).alias("_id"), F.col(source_col).alias("_source"), n_words(F.col(text_col)).alias("_size"), F.xxhash64(F.lit(seed), *(shuffle_by or (id_col, text_col))).alias("_key"))
     sized = materialize(sized, "mix-sized")
     targets = materialize(source_targets(sized, weights, max_epochs), "mix-targets")
+    n_sources, total = targets.agg(F.count(F.lit(1)), F.sum("target")).first()
+    block_words = max(16, -(-int(total or 0) // max(slots, 64 * n_sources)))
     small = targets.select(F.col("_source").alias("_s"), "_place", "source_size", "target")
     rows = sized.join(small, F.col("_source").eqNullSafe(F.col("_s"))).withColumn("_bucket", F.pmod("_key", F.lit(buckets)))
 
@@ -113,7 +116,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
 def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """``docs`` as the mix takes them: each row as many times as its taken words go into its size, rounded; a row without words stays once."""
     numbered = materialize(docs.withColumn("_mix_row", F.struct(F.spark_partition_id(), F.monotonically_increasing_id())), "mix-docs")
-    counted = mix(numbered, "_mix_row", text_col, **options)
+    counted = mix(numbered, "_mix_row", text_col, shuffle_by=(id_col, text_col), **options)
     times = F.when(F.col("size") == 0, F.lit(1)).otherwise(F.round(F.col("taken") / F.col("size")).cast("int"))
     counted = counted.select(F.col("_mix_row").alias("_row"), times.alias("_times")).where("_times > 0")
     joined = numbered.join(counted, F.col("_mix_row") == F.col("_row"))
