@@ -91,7 +91,7 @@ def _shrunk(level: DataFrame, key: str, up: str, parent: DataFrame, prior_streng
     )
 
 
-def host_posteriors(outcomes: DataFrame, hosts: DataFrame, prior_strength: float = 2.0) -> DataFrame:
+def host_posteriors(outcomes: DataFrame, hosts: DataFrame, prior_strength: float = 8.0) -> DataFrame:
     """Posterior of every host of ``hosts`` (column ``_host``), from ``outcomes`` (``_host``, ``_bad`` 0 or 1 or null where unlabelled)."""
     counts = outcomes.groupBy("_host").agg(F.count("_bad").alias("_n"), F.coalesce(F.sum("_bad"), F.lit(0)).alias("_bad"))
     known = hosts.select("_host").distinct().join(counts, "_host", "left").na.fill(0, ["_n", "_bad"])
@@ -111,7 +111,7 @@ def lower_bound(a: Column, b: Column, z: float) -> Column:
     return F.greatest(a / n - z * F.sqrt(a * b / (n * n * (n + 1))), F.lit(0.0))
 
 
-def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules=RULES, labels: DataFrame | None = None, threshold: float = 0.5, z: float = 1.645, prior_strength: float = 2.0) -> DataFrame:
+def judge(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", rules=RULES, labels: DataFrame | None = None, threshold: float = 0.5, z: float = 1.645, prior_strength: float = 8.0) -> DataFrame:
     """One row per page: id, ``host``, ``path``, ``rule``, ``verdict``, ``bad_low`` (the bound that unruled pages are judged by).
 
     ``labels``: optional (url, bad) outcomes; by default the rules' verdicts on these pages are the outcomes.

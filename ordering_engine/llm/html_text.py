@@ -88,7 +88,7 @@ class LineReader(HTMLParser):
         return any(e.dropped and (k >= inner or e.tag in DROPPED) for k, e in enumerate(self.stack))
 
     def _dropped(self, tag: str, attrs: list) -> bool:
-        inside = any(e.article for e in self.stack)
+        inside = any(e.tag == "article" for e in self.stack)  # an article's own header holds its title
         if tag in DROPPED or tag == "header" and not inside:
             return True
         for name, value in attrs:

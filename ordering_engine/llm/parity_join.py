@@ -255,7 +255,7 @@ def bucket_links(digests: list[int], roots: list[int], own: list[int], sets: lis
         sketch[k] = np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
     block, forest, found = np.array(own), _Forest(), []
     label = np.array(roots)
-    for k in range(len(sets) - 1):
+    for k in range(len(sets)):
         if i != j and block[k] != i:
             continue
         fits = (label != label[k]) & (np.minimum(n, n[k]) * bands.den >= np.maximum(n, n[k]) * bands.num)
