@@ -32,7 +32,7 @@ def leaf_windows(state: DataFrame, p: int, k: int, seed: int) -> DataFrame:
         F.max("_mid").alias("_mid"), F.max("m").alias("m"), F.sort_array(F.collect_list(F.struct(F.lit(0).alias("cls"), F.col("key").alias("key")))).alias("_real")
     )
     every = state.sparkSession.range(p).select(F.col("id").cast("int").alias("pe"))
-    padded = every.join(real, "pe", "left").withColumn("_low", F.coalesce(F.expr(f"greatest(0, {k // 2} - _mid)"), F.lit(k // 2)))
+    padded = every.join(real, "pe", "left").withColumn("_low", F.expr(f"greatest(0, {k // 2} - coalesce(_mid, 0))"))
     low = f"array_repeat({_sentinel(kind, -1)}, cast(_low AS int))"
     high = f"array_repeat({_sentinel(kind, 1)}, {k})"
     real_or_none = f"coalesce(_real, array_repeat({_sentinel(kind, 0)}, 0))"

@@ -29,12 +29,12 @@ def cube_quicksort(state: DataFrame, p: int, pivot: str = "first_pe", shuffle: s
         s = medians.pivots(at, pivot, p, j + 1, k, seed + 101 * (j + 1))
         s = staged(s.select(F.col("subcube").cast("int").alias("subcube"), "s"), "pivots")
         splitters.append(s.withColumn("dims", F.lit(j + 1)))
-        # One row per subcube, never more than p / 2.
-        held = at.withColumn("subcube", cube.subcube(F.col("pe"), j + 1)).join(F.broadcast(s), "subcube")
+        # One row per subcube, never more than p / 2; without a pivot the elements keep together.
+        held = at.withColumn("subcube", cube.subcube(F.col("pe"), j + 1)).join(F.broadcast(s), "subcube", "left")
         sided = (ties.local_split if tie == "local" else ties.keys_only)(held)
         words = {"median_of_medians": 1 << (j + 1)}.get(pivot, k)
         ledger.append(costs.collective_rows(state.sparkSession, method, base + 2 * (d - 1 - j), p, j + 1, words))
-        state = cube.exchange(sided.select("pe", "key", "uid", "left"), cube.with_bit(F.col("pe"), j, ~F.col("left")), method, base + 2 * (d - 1 - j) + 1, p, ledger).drop("left")
+        state = cube.exchange(sided.select("pe", "key", "uid", "left"), cube.with_bit(F.col("pe"), j, ~F.coalesce("left", F.lit(True))), method, base + 2 * (d - 1 - j) + 1, p, ledger).drop("left")
     spark = state.sparkSession
     return SortResult(ranked(state), costs.union(ledger, spark), costs.union(splitters, spark) if splitters else None)
 
