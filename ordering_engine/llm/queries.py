@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import exact_dedup, host_reputation, html_text, imatch, language_id, packing, parity_join, source_mix, token_counts
+from . import exact_dedup, host_reputation, html_text, imatch, language_id, packing, parity_join, source_mix, surrogates, token_counts
 from .shared import table
 
 BYTE_BPE = "byte_bpe_50k.json"
@@ -20,6 +20,10 @@ def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return language_id.identify(table(spark, sf_dir, "documents"))
 
 
+def op2_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return surrogates.replace_entities(table(spark, sf_dir, "documents"))
+
+
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(table(spark, sf_dir, "documents"), vocabulary())
 
@@ -52,5 +56,5 @@ def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_groups(table(spark, sf_dir, "documents"), keep="max")
 
 
-QUERIES = {f.__name__: f for f in (op1_language_id, op3_token_counts, op4_host_reputation, op5_packing, op6_html_text, op7_parity_join, op8_imatch, op9_source_mix, op10_exact_dedup)}
+QUERIES = {f.__name__: f for f in (op1_language_id, op2_surrogates, op3_token_counts, op4_host_reputation, op5_packing, op6_html_text, op7_parity_join, op8_imatch, op9_source_mix, op10_exact_dedup)}
 ORACLE_SQL = {"op10_exact_dedup": exact_dedup.ORACLE_SQL}
