@@ -7,7 +7,8 @@ one of the same gender; a card number one that passes or fails the check digit a
 mail address one under a reserved domain. So one value has one surrogate wherever it occurs.
 
 Collision checks go over all distinct values: two values with one surrogate, or a surrogate that is itself
-a value of the corpus, draw again with the next attempt number, the smallest value staying, until none is left.
+a value of the corpus, draw again with the next attempt number, the smallest value staying, until none is left. Values that
+differ in letter case only are one value, and their surrogates differ in letter case only.
 Texts are cut at their entities, the entities' surrogates are looked up by a join on the value, and the
 pieces are put together; only texts with entities take part.
 
@@ -96,9 +97,9 @@ def surrogate_table(values: DataFrame, key: str, most_rounds: int = 50) -> DataF
     now = values.withColumn("attempt", F.lit(0))
     for k in range(most_rounds):
         now = materialize(now.withColumn("surrogate", surrogate(key=key)), "surrogates")
-        same = Window.partitionBy("kind", F.lower("surrogate")).orderBy("attempt", "value")
+        same = Window.partitionBy("kind", F.lower("surrogate")).orderBy("attempt", F.lower("value"))
         taken = values.select(F.col("kind").alias("_k"), F.lower("value").alias("_v")).distinct()
-        hit = now.withColumn("_place", F.row_number().over(same)).join(taken, (F.col("kind") == F.col("_k")) & (F.lower("surrogate") == F.col("_v")), "left")
+        hit = now.withColumn("_place", F.dense_rank().over(same)).join(taken, (F.col("kind") == F.col("_k")) & (F.lower("surrogate") == F.col("_v")), "left")
         again = ~free & ((F.col("_place") > 1) | F.col("_v").isNotNull())
         checked = materialize(hit.select("value", "kind", "attempt", "surrogate", again.alias("again")), "surrogates-checked")
         if checked.where("again").isEmpty():
