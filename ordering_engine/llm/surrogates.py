@@ -42,6 +42,9 @@ PATTERNS = (
 )
 ANY = "|".join(f"(?:{p})" for _, p in PATTERNS)
 
+#: Words without which no name is found.
+LEADS = rf"\b(?:{TITLES}|{'|'.join(FEMALE)}|{'|'.join(MALE)})\b"
+
 
 def kind_of(value: Column) -> Column:
     """The type of a value that ``ANY`` has found; what only its surroundings tell is a surname."""
@@ -110,10 +113,12 @@ def surrogate_table(values: DataFrame, key: str, most_rounds: int = 50) -> DataF
 
 def replace_entities(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", key: str = "key") -> DataFrame:
     """One row per input row: id, ``text`` with surrogates, ``n_entities``."""
-    found = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), F.regexp_extract_all(F.col(text_col), F.lit(ANY), F.lit(0)).alias("_found"))
-    found = found.withColumn("_n", F.coalesce(F.greatest(F.size("_found"), F.lit(0)), F.lit(0)))
-    untouched = found.where("_n = 0").select(F.col("_id").alias(id_col), F.col("_text").alias("text"), F.lit(0).alias("n_entities"))
-    held = materialize(found.where("_n > 0").withColumn("_row", F.monotonically_increasing_id()), "surrogates-texts")
+    read = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
+    # The full pattern is tried only on texts with a digit, an at sign or a word that leads a name.
+    has = F.coalesce((F.col("_text").rlike("[0-9@]") | F.col("_text").rlike(LEADS)) & F.col("_text").rlike(ANY), F.lit(False))
+    untouched = read.where(~has).select(F.col("_id").alias(id_col), F.col("_text").alias("text"), F.lit(0).alias("n_entities"))
+    held = read.where(has).select("_id", "_text", F.regexp_extract_all("_text", F.lit(ANY), F.lit(0)).alias("_found"), F.monotonically_increasing_id().alias("_row"))
+    held = materialize(held, "surrogates-texts").withColumn("_n", F.size("_found"))
     places = held.select("_row", F.posexplode("_found").alias("_at", "value"))
     values = places.select("value").distinct().withColumn("kind", kind_of(F.col("value")))
     table = surrogate_table(materialize(values, "surrogates-values"), key)
