@@ -5,6 +5,8 @@ the point falls into one source's share of the cumulative targets, so every stre
 schedule holds each source in proportion. A slot's rank within its source names the block of that
 source it takes. Blocks are equal numbers of words: the source's documents, shuffled by a keyed
 hash, laid end to end and cut into blocks of one slot's words; ranks past the last block start over.
+A source's slots come within few blocks of its target; the rest is settled word by word: reading goes
+on where its last slot ended, or stops that much earlier, so every source gets its target to the word.
 
 Both running sums (words before a document, slots before a slot) go over buckets first and rows
 second, so a source with a third of all rows is spread over all buckets and no task holds a source.
@@ -75,18 +77,15 @@ def schedule(targets: DataFrame, block_words: int, chunk: int = 1 << 14) -> Data
     return slots.withColumn("_within", within).join(offsets, ["_place", "_chunk"]).select("slot", "_place", (F.col("_before") + F.col("_within")).alias("rank"))
 
 
-def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (1, 2, 3), max_epochs: int = 3, slots: int = 1 << 17, buckets: int = 1024, seed: int = 0, shuffle_by: tuple[str, ...] | None = None) -> DataFrame:
+def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (1, 2, 3), max_epochs: int = 3, block_words: int = 256, buckets: int = 1024, seed: int = 0, shuffle_by: tuple[str, ...] | None = None) -> DataFrame:
     """One row per input row: id, ``size``, ``source_size``, ``target``, ``taken``.
 
-    ``slots`` is the length of the schedule, or 64 for each source if that is more; a block is the words of
-    one slot, 16 at least. A source's taken words differ from its target by few blocks. ``seed`` keys the shuffle
-    within sources, by the columns ``shuffle_by`` (id and text).
+    ``block_words`` are the words of one slot, whatever the corpus' size. A source's taken words are its target,
+    rounded. ``seed`` keys the shuffle within sources, by the columns ``shuffle_by`` (id and text).
     """
     sized = docs.select(F.col(id_col).alias("_id"), F.col(source_col).alias("_source"), n_words(F.col(text_col)).alias("_size"), F.xxhash64(F.lit(seed), *(shuffle_by or (id_col, text_col))).alias("_key"))
     sized = materialize(sized, "mix-sized")
     targets = materialize(source_targets(sized, weights, max_epochs), "mix-targets")
-    n_sources, total = targets.agg(F.count(F.lit(1)), F.sum("target")).first()
-    block_words = max(16, -(-int(total or 0) // max(slots, 64 * n_sources)))
     small = targets.select(F.col("_source").alias("_s"), "_place", "source_size", "target")
     rows = sized.join(small, F.col("_source").eqNullSafe(F.col("_s"))).withColumn("_bucket", F.pmod("_key", F.lit(buckets)))
 
@@ -102,15 +101,20 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     sizes = targets.select("_place", "source_size")
     asked = schedule(targets, block_words).join(sizes, "_place").where("source_size > 0")
     asked = asked.withColumn("_block", F.expr(f"rank % ((source_size + {block_words} - 1) div {block_words})"))
-    asked = asked.groupBy("_place", "_block").agg(F.count(F.lit(1)).alias("_times"))
+    asked = materialize(asked.groupBy("_place", "_block").agg(F.count(F.lit(1)).alias("_times"), F.first("source_size").alias("_of")), "mix-asked")
     lies_in = F.expr(f"explode(sequence(_start div {block_words}, (_start + _size - 1) div {block_words}))")
     pieces = placed.where("_size > 0").select("_place", "_bucket", "_order", "_start", "_size", lies_in.alias("_block"))
     overlap = F.expr(f"least(_start + _size, (_block + 1) * {block_words}) - greatest(_start, _block * {block_words})")
-    times = F.least(F.col("_times"), F.lit(max_epochs))
-    taken = pieces.join(asked, ["_place", "_block"]).groupBy("_place", "_bucket", "_order").agg(F.sum(overlap * times).alias("taken"))
-    return placed.join(taken, ["_place", "_bucket", "_order"], "left").select(
-        F.col("_id").alias(id_col), F.col("_size").alias("size"), "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken")
-    )
+    taken = pieces.join(asked.drop("_of"), ["_place", "_block"]).groupBy("_place", "_bucket", "_order").agg(F.sum(overlap * F.col("_times")).alias("_scheduled"))
+
+    # What the slots read of each source, and what its target asks for: the words between the two are added or left out.
+    block = F.expr(f"least({block_words}, _of - _block * {block_words})")
+    read = asked.groupBy("_place").agg(F.sum(block * F.col("_times")).alias("_read"))
+    read = targets.select("_place", F.round("target").cast("long").alias("_due")).join(read, "_place", "left").select("_place", "_due", F.coalesce("_read", F.lit(0)).alias("_read"))
+    among = lambda first: F.expr(f"IF(_size = 0, 0, {first} div source_size * _size + greatest(0, least(_size, {first} % source_size - _start)))")
+    settled = placed.join(F.broadcast(read), "_place").join(taken, ["_place", "_bucket", "_order"], "left")
+    settled = settled.withColumn("taken", F.coalesce("_scheduled", F.lit(0)) + among("_due") - among("_read"))
+    return settled.select(F.col("_id").alias(id_col), F.col("_size").alias("size"), "source_size", "target", F.col("taken").cast("long").alias("taken"))
 
 
 def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:

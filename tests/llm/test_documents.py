@@ -135,6 +135,19 @@ def test_targets_and_taken(documents, odd, none):
     assert source_mix.mix(none).count() == 0 and source_mix.mixed_documents(none).count() == 0
 
 
+def test_every_source_gets_its_target(spark, documents, odd):
+    """To the word, however small the source is beside the corpus."""
+    big = spark.range(2000).selectExpr("id AS doc_id", "repeat('w ', 5000) AS text", "'z' AS source")
+    few = spark.createDataFrame([(-1, "w " * 3, "a"), (-2, "w " * 100, "b"), (-3, "w " * 20, "b"), (-4, "w", "c")], big.schema)
+    for docs in (documents, odd, big.unionByName(few)):
+        for (source_size, target), part in source_mix.mix(docs).toPandas().groupby(["source_size", "target"]):
+            sources = max(1, round(part["size"].sum() / source_size)) if source_size else 1
+            assert part.taken.sum() == sources * int(target + 0.5)
+            assert (part.taken >= target // source_size * part["size"]).all() if source_size else not part.taken.any()
+    mixed = {r.doc_id: r["count"] for r in source_mix.mixed_documents(big.unionByName(few)).where("doc_id < 0").groupBy("doc_id").count().collect()}
+    assert mixed == dict.fromkeys((-1, -2, -3, -4), 3)
+
+
 def test_mixed_documents(documents):
     mixed = source_mix.mixed_documents(documents)
     assert mixed.columns == documents.columns
