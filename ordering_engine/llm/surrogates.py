@@ -24,9 +24,14 @@ from pyspark.sql import functions as F
 
 from .shared import materialize
 
-#: Given names by gender, from which surrogates for given names are drawn.
-FEMALE = "Anna Maria Laura Julia Sofia Emma Clara Helena Marta Paula Elena Louise Camille Alice Carmen Lucia Ingrid Katharina Margaret Susan".split()
-MALE = "Peter Thomas Michael Daniel Martin Paul Robert Andreas Stefan Pierre Louis Antoine Carlos Miguel Javier Diego Klaus Jürgen William George".split()
+#: Given names by gender that are found in texts.
+FOUND_FEMALE = "Anna Maria Laura Julia Sofia Emma Clara Helena Marta Paula Elena Louise Camille Alice Carmen Lucia Ingrid Katharina Margaret Susan".split()
+FOUND_MALE = "Peter Thomas Michael Daniel Martin Paul Robert Andreas Stefan Pierre Louis Antoine Carlos Miguel Javier Diego Klaus Jürgen William George".split()
+#: Those from which surrogates are drawn: more of them, and none that is found.
+FEMALE = """Agnes Amelie Beatrice Birgit Blanca Brigitte Cecilia Charlotte Claudia Colette Daniela Diana Dorothea Edith Eleanor Esther Eva Florence Frances Gabriela
+    Greta Hanna Harriet Ida Irene Isabel Jana Johanna Josefina Karin Lena Lydia Magdalena Miriam Monika Nora Olivia Petra Rosa Sabine""".split()
+MALE = """Adam Albert Alfonso Arthur Benjamin Bernard Bruno Christian Conrad David Edgar Emil Ernst Felipe Felix Francis Frank Gabriel Gustav Harold
+    Henri Hugo Ignacio Jakob Jonas Julian Karl Leon Lorenz Marcel Matthias Niklas Oliver Oscar Philip Ralph Samuel Simon Theodor Victor""".split()
 TITLES = "Mr|Mrs|Ms|Miss|Herr|Frau|Mme|Sra|Sr"
 #: Type and pattern, the first that fits decides.
 PATTERNS = (
@@ -37,13 +42,13 @@ PATTERNS = (
     ("ssn", r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])"),
     ("secret", r"(?<![0-9a-zA-Z])[0-9a-fA-F]{32,64}(?![0-9a-zA-Z])"),
     ("surname", rf"(?<=\b(?:{TITLES})\.? )\p{{Lu}}\p{{Ll}}+"),
-    ("female", rf"\b(?:{'|'.join(FEMALE)})(?= \p{{Lu}}\p{{Ll}})"),
-    ("male", rf"\b(?:{'|'.join(MALE)})(?= \p{{Lu}}\p{{Ll}})"),
+    ("female", rf"\b(?:{'|'.join(FOUND_FEMALE)})(?= \p{{Lu}}\p{{Ll}})"),
+    ("male", rf"\b(?:{'|'.join(FOUND_MALE)})(?= \p{{Lu}}\p{{Ll}})"),
 )
 ANY = "|".join(f"(?:{p})" for _, p in PATTERNS)
 
 #: Words without which no name is found.
-LEADS = rf"\b(?:{TITLES}|{'|'.join(FEMALE)}|{'|'.join(MALE)})\b"
+LEADS = rf"\b(?:{TITLES}|{'|'.join(FOUND_FEMALE)}|{'|'.join(FOUND_MALE)})\b"
 
 
 def kind_of(value: Column) -> Column:
@@ -84,26 +89,25 @@ def surrogate(value: str = "value", kind: str = "kind", attempt: str = "attempt"
     head = f"concat(substr({value}, 1, 1), substr({digits}, 2, length({value}) - 2))"
     fitting = f"filter(sequence(0, 9), d -> luhn_check(concat({plain.format(head)}, cast(d AS string))) = luhn_check({plain.format(value)}))"
     card = f"concat({head}, cast({fitting}[{number(5)} % size({fitting})] AS string))"
-    names = {g: "array(" + ", ".join(f"'{n}'" for n in ns) + ")" for g, ns in (("female", FEMALE), ("male", MALE))}
+    # The names to draw from in a keyed order, and of these the one at the value's own place: no two values share one.
+    listed = lambda names: "array(" + ", ".join(f"'{n}'" for n in names) + ")"
+    dealt = "array_sort(transform({}, n -> struct(sha2(concat_ws('|', '" + key + "', {}, n, cast({} AS string)), 256) AS h, n AS n)))[array_position({}, {}) - 1].n"
+    female, male = (dealt.format(listed(new), kind, attempt, listed(found), value) for new, found in ((FEMALE, FOUND_FEMALE), (MALE, FOUND_MALE)))
     cases = f"""CASE {kind} WHEN 'email' THEN {mail} WHEN 'ip' THEN {address} WHEN 'phone' THEN {phone} WHEN 'card' THEN {card} WHEN 'ssn' THEN {digits} WHEN 'secret' THEN {hexed}
-        WHEN 'female' THEN {names['female']}[{number(6)} % {len(FEMALE)}] WHEN 'male' THEN {names['male']}[{number(6)} % {len(MALE)}] ELSE {_redrawn(value, '_h')} END"""
+        WHEN 'female' THEN {female} WHEN 'male' THEN {male} ELSE {_redrawn(value, '_h')} END"""
     # The digest is bound once, as the one element of an array.
     return F.expr(f"transform(array({digest}), _h -> {cases})[0]")
 
 
 def surrogate_table(values: DataFrame, key: str, most_rounds: int = 50) -> DataFrame:
-    """``value``, ``kind``, ``surrogate`` for distinct values; within a type surrogates differ from each other and from all values.
-
-    Given names come from short lists, where many values must share; there only the gender is kept.
-    """
-    free = F.col("kind").isin("female", "male")
+    """``value``, ``kind``, ``surrogate`` for distinct values; within a type surrogates differ from each other and from all values."""
     now = values.withColumn("attempt", F.lit(0))
     for k in range(most_rounds):
         now = materialize(now.withColumn("surrogate", surrogate(key=key)), "surrogates")
         same = Window.partitionBy("kind", F.lower("surrogate")).orderBy("attempt", F.lower("value"))
         taken = values.select(F.col("kind").alias("_k"), F.lower("value").alias("_v")).distinct()
         hit = now.withColumn("_place", F.dense_rank().over(same)).join(taken, (F.col("kind") == F.col("_k")) & (F.lower("surrogate") == F.col("_v")), "left")
-        again = ~free & ((F.col("_place") > 1) | F.col("_v").isNotNull())
+        again = (F.col("_place") > 1) | F.col("_v").isNotNull()
         checked = materialize(hit.select("value", "kind", "attempt", "surrogate", again.alias("again")), "surrogates-checked")
         if checked.where("again").isEmpty():
             return checked.select("value", "kind", "surrogate")

@@ -48,6 +48,19 @@ def test_collisions_draw_again(spark):
     assert table.surrogate.nunique() == len(table) == 3000 and not set(table.surrogate) & set(table.value)
 
 
+def test_given_names_stay_distinct(spark):
+    """Every name that can be found gets one of its gender for itself, and never a name that can be found."""
+    found = [(n, "female") for n in surrogates.FOUND_FEMALE] + [(n, "male") for n in surrogates.FOUND_MALE]
+    values = spark.createDataFrame(found, "value string, kind string")
+    drawn = []
+    for key in ("k1", "k2"):
+        got = {r.value: (r.kind, r.surrogate) for r in surrogates.surrogate_table(values, key).collect()}
+        assert len(got) == len({s for _, s in got.values()}) == len(found) and not {s for _, s in got.values()} & set(got)
+        assert all(s in (surrogates.FEMALE if kind == "female" else surrogates.MALE) for kind, s in got.values())
+        drawn.append(got)
+    assert drawn[0] != drawn[1]
+
+
 def test_corpus_keeps_distinctness_and_coreference(spark, documents):
     rows = {r.doc_id: r.text for r in documents.collect()}
     got = surrogates.replace_entities(documents)
