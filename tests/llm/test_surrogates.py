@@ -61,6 +61,29 @@ def test_given_names_stay_distinct(spark):
     assert drawn[0] != drawn[1]
 
 
+def test_whole_names_and_more_formats(spark):
+    docs = spark.createDataFrame([
+        (1, "Maria Schmidt met Mr Peter J. Smith and Frau von Braun. Peter Smith left; Mrs Smith-Jones stayed."),
+        (2, "0171 2345678, (030) 123-4567, 555-123-4567, +49301234567 and 0049 30 1234567"),
+        (3, "DE89 3704 0044 0532 0130 00 or GB29NWBK60161331926819"), (4, "2001:db8:85a3::8a2e:370:7334 at 12:30:45"),
+        (5, "3782 822463 10005 and 378282246310005"), (6, "ghp_abcdefghijklmnopqrstuvwxyz0123456789 password: hunter2x9y"),
+    ], "doc_id bigint, text string")
+    got = {r.doc_id: (r.text, r.n_entities) for r in surrogates.replace_entities(docs, whole_names=True).collect()}
+    word = r"([A-Z][a-z]+)"
+    names = re.fullmatch(rf"{word} {word} met Mr {word} ([A-Z])\. {word} and Frau von {word}\. {word} {word} left; Mrs ([A-Z][a-z]+-[A-Z][a-z]+) stayed\.", got[1][0])
+    assert names and got[1][1] == 5 and names[1] in surrogates.FEMALE and names[3] == names[7] in surrogates.MALE and names[5] == names[8] and names[4] != "J"
+    assert not {"Maria", "Schmidt", "Peter", "Smith", "Braun", "Smith-Jones"} & set(names.groups())
+    assert [got[k][1] for k in (2, 3, 4, 5, 6)] == [5, 2, 1, 2, 2]
+    assert re.fullmatch(r"0\d{3} \d{7}, \(0\d\d\) \d{3}-\d{4}, \d{3}-\d{3}-\d{4}, \+4\d{10} and 0049 \d\d \d{7}", got[2][0]) and not any(x in got[2][0] for x in ("2345678", "1234567", "123-4567"))
+    spaced, plain = re.fullmatch(r"(DE\d\d(?: \d{4}){4} \d\d) or (GB\d\d[A-Z]{4}\d{14})", got[3][0]).groups()
+    for account in (spaced.replace(" ", ""), plain):
+        assert int("".join(str(int(c, 36)) for c in account[4:] + account[:4])) % 97 == 1 and "0532" not in account and "NWBK" not in account
+    assert re.fullmatch(r"2001:db8(:[0-9a-f]{4}){6} at 12:30:45", got[4][0])
+    cards = got[5][0].split(" and ")
+    assert all(luhn(c) and c.startswith("37") for c in cards) and "822463" not in got[5][0]
+    assert re.fullmatch(r"ghp_[a-z]{26}\d{10} password: [a-z]{6}\d[a-z]\d[a-z]", got[6][0]) and "abcdef" not in got[6][0] and "hunter" not in got[6][0]
+
+
 def test_corpus_keeps_distinctness_and_coreference(spark, documents):
     rows = {r.doc_id: r.text for r in documents.collect()}
     got = surrogates.replace_entities(documents)
