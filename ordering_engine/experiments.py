@@ -7,6 +7,8 @@ belongs to ``bench.py``.
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -29,18 +31,23 @@ METHODS = {
     "multilevel_noties": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=2, ties=False),
     "multilevel_noplan": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=2, plan="prefix"),
     "multilevel_bounded": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=2, plan="bounded"),
+    "multilevel_l3": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=3),
+    "multilevel_noplan_l3": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=3, plan="prefix"),
+    "multilevel_bounded_l3": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=3, plan="bounded"),
     "direct": lambda s, p: samplesort.direct_samplesort(s, p),
+    # Delivery alone: splitters that are known beforehand, for uniform keys.
+    "direct_given": lambda s, p: samplesort.direct_samplesort(s, p, splitters=[i * inputs.V // p for i in range(1, p)]),
 }
 SCHEMA = "method string, input string, p int, n bigint, n_over_p double, startups bigint, words bigint, time double, imbalance double, verdict string"
 
 
-def measure(spark: SparkSession, d: str, cases: list[tuple[str, str, int, int]], base: str = "orders") -> DataFrame:
-    """Run (method, input, p, n) cases; n rows of the base table by dense uid."""
+def measure(spark: SparkSession, d: str, cases: list[tuple[str, str, int, int | None]], base: str = "orders") -> DataFrame:
+    """Run (method, input, p, n) cases; the first n rows of the base table by dense uid, or all."""
     ids = {"orders": ["o_orderkey"], "lineitem": ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate"]}[base]
     uids = placement.dense_uid(table(spark, d, base, ids), ids).select("uid").persist()
     most, rows, made = uids.count(), [], {}
     for method, name, p, n in cases:
-        n = min(n, most)
+        n = most if n is None else min(n, most)
         state = made.get((name, p, n))
         if state is None:
             state = made[(name, p, n)] = inputs.make(name, uids, p, n=n)
@@ -55,7 +62,7 @@ def measure(spark: SparkSession, d: str, cases: list[tuple[str, str, int, int]],
 
 
 def vs_best(results: DataFrame) -> DataFrame:
-    return results.withColumn("to_best", F.col("time") / F.min("time").over(Window.partitionBy("input", "n_over_p")))
+    return results.withColumn("to_best", F.col("time") / F.min("time").over(Window.partitionBy("input", "p", "n_over_p")))
 
 
 def ratio(results: DataFrame, a: str, b: str) -> DataFrame:
@@ -122,6 +129,29 @@ def parameter_grid(spark, d, p: int = 16, n: int = 4096, levels=(1, 2), oversamp
     return spark.createDataFrame(rows, "levels int, oversample int, overpartition int, startups bigint, words bigint, imbalance double")
 
 
+def whole_size_sweep(spark, d) -> DataFrame:
+    """All methods over loads from 3^-5 to all that the table has rows for, at three numbers of PEs; equal sizes once."""
+    inputs_of, methods = ("uniform", "bucket_sorted", "det_dupl", "staggered"), ("gather_merge", "all_gather_merge", "grid_rank", "bitonic", "robust_cube_quicksort", "kway_cube", "multilevel")
+    loads = [3.0**-k for k in range(5, 0, -1)]
+    sizes = [(p, n) for p, most in ((16, 15), (64, 13), (256, 11)) for n in sorted({max(1, int(x * p)) for x in [*loads, *(2.0**k for k in range(most + 1))]})]
+    return vs_best(measure(spark, d, [(m, i, p, n) for i in inputs_of for p, n in sizes for m in methods], base="lineitem"))
+
+
+def mirrored_traces(spark, d, ps=(16, 64)) -> DataFrame:
+    """``mirrored_trace`` over all rows of orders, for each p."""
+    n = table(spark, d, "orders", ["o_orderkey"]).count()
+    return reduce(DataFrame.unionByName, [mirrored_trace(spark, d, p, n).withColumn("p", F.lit(p)) for p in ps])
+
+
+def whole_parameter_grid(spark, d) -> DataFrame:
+    return parameter_grid(spark, d, n=table(spark, d, "orders", ["o_orderkey"]).count())
+
+
+def crossed(methods, names, ps, base: str = "orders"):
+    """Every method on every input at every p, over all rows of the table."""
+    return lambda spark, d: measure(spark, d, [(m, i, p, None) for p in ps for i in names for m in methods], base=base)
+
+
 def _registered(f, **options):
     def run(spark, d):
         return f(spark, d, **options)
@@ -129,13 +159,15 @@ def _registered(f, **options):
     return run
 
 
+#: Over all rows of their tables, with the inputs and methods of the survey's workloads; README tells how long a case takes.
 QUERIES = {
-    "exp_size_sweep": _registered(size_sweep, loads=(1 / 4, 4, 64), names=("uniform",)),
-    "exp_quicksort_robustness": _registered(quicksort_robustness, n=1024, names=("uniform", "det_dupl", "mirrored")),
-    "exp_tie_ablation": _registered(tie_ablation, n=1024, names=("uniform", "zero")),
-    "exp_plan_ablation": _registered(plan_ablation, n=2048),
-    "exp_against_direct": _registered(against_direct, n=2048),
-    "exp_verdicts": _registered(verdict_matrix, n=1024, names=("uniform", "rand_dupl", "zero"), methods=("robust_cube_quicksort", "kway_cube", "multilevel")),
-    "exp_mirrored_trace": _registered(mirrored_trace, n=1024),
+    "exp_size_sweep": whole_size_sweep,
+    "exp_quicksort_robustness": crossed(("robust_cube_quicksort", "plain_cube_quicksort"), ("uniform", "bucket_sorted", "staggered", "det_dupl", "mirrored"), (16, 64)),
+    "exp_tie_ablation": crossed(("multilevel", "multilevel_noties"), ("uniform", "bucket_sorted", "staggered", "det_dupl", "zero"), (16,), "lineitem"),
+    "exp_plan_ablation": crossed(("multilevel_noplan_l3", "multilevel_bounded_l3"), ("uniform", "bucket_sorted", "staggered", "det_dupl", "all_to_one"), (64, 512), "lineitem"),
+    "exp_against_direct": crossed(("multilevel_l3", "direct", "direct_given"), ("uniform",), (16, 64, 256), "lineitem"),
+    "exp_verdicts": crossed(METHODS, inputs.NAMES, (16,)),
+    "exp_mirrored_trace": mirrored_traces,
+    "exp_parameter_grid": whole_parameter_grid,
     "exp_median_fit": _registered(median_fit),
 }

@@ -4,6 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from ordering_engine import experiments
 from ordering_engine.functions.keys import By, comparable, global_rank
 from ordering_engine.plans import bitonic, costs, cube, delivery, gather, gridrank, kway, medians, mergesort, placement, quicksort, samplesort, selector, shuffling, verify
 from ordering_engine.sources import inputs
@@ -139,3 +140,21 @@ def test_two_level_sort(spark, uids, tmp_path):
     out = samplesort.two_level_sort(df, "k", "id", 4, 8, str(tmp_path / "groups"))
     keys = [r.k for r in out.collect()]
     assert keys == sorted(keys) and len(keys) == 2000
+
+
+def test_experiments_are_registered_whole(spark, small, monkeypatch):
+    """All rows, inputs and methods; only the sweep over loads takes prefixes."""
+    asked = {}
+    monkeypatch.setattr(experiments, "measure", lambda s, d, cases, base="orders": asked.setdefault("cases", (cases, base)) and s.createDataFrame([], experiments.SCHEMA))
+
+    def cases(name):
+        asked.clear()
+        experiments.QUERIES[name](spark, small)
+        return asked["cases"]
+
+    for name in ("exp_quicksort_robustness", "exp_tie_ablation", "exp_plan_ablation", "exp_against_direct", "exp_verdicts"):
+        assert {n for *_, n in cases(name)[0]} == {None}
+    assert {(m, i) for m, i, *_ in cases("exp_verdicts")[0]} == {(m, i) for m in experiments.METHODS for i in experiments.inputs.NAMES}
+    sweep, base = cases("exp_size_sweep")
+    assert base == "lineitem" and len({i for _, i, *_ in sweep}) == 4 and max(n for *_, n in sweep) == 1 << 19
+    assert "direct_given" in {m for m, *_ in cases("exp_against_direct")[0]} and "exp_parameter_grid" in experiments.QUERIES
