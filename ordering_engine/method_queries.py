@@ -101,10 +101,13 @@ def sort_grid_robust(s, d):
     return r.data.select("uid", "key", F.col("rank").cast("long").alias("rank"), F.col("pe").alias("dst_pe"))
 
 
-def sort_one_per_pe(s, d):
-    based = placement.dense_uid(table(s, d, "customer", ["c_custkey", "c_acctbal"]), ["c_custkey"]).where("uid < 1024")
-    r = quicksort.one_per_pe_quicksort(based.select(F.col("uid").cast("int").alias("pe"), F.col("c_acctbal").alias("key"), F.col("uid").cast("long").alias("uid")))
-    return r.data.select(F.col("rank").alias("slot"), "key")
+def _one_per_pe(where="true"):
+    def run(s, d):
+        based = placement.dense_uid(table(s, d, "customer", ["c_custkey", "c_acctbal"]), ["c_custkey"]).where(where)
+        r = quicksort.one_per_pe_quicksort(based.select(F.col("uid").cast("int").alias("pe"), F.col("c_acctbal").alias("key"), F.col("uid").cast("long").alias("uid")))
+        return r.data.select(F.col("rank").alias("slot"), "key")
+
+    return run
 
 
 def sort_exact_split(s, d):
@@ -238,9 +241,11 @@ SQL_BITS = " + ".join(f"(({DUCK.hash('uid', 1 + 17 * j)} >> 7) & 1) * {1 << j}"
 
 QUERIES = {name: f for name, (f, _) in SORTS.items()}
 QUERIES |= {f.__name__: f for f in (
-    sort_adaptive_sparse, sort_adaptive_tiny, sort_all_gather_merge, sort_descending, rank_grid, sort_grid_robust, sort_one_per_pe, sort_exact_split, shuffle_direct, shuffle_cube, ties_local_split,
+    sort_adaptive_sparse, sort_adaptive_tiny, sort_all_gather_merge, sort_descending, rank_grid, sort_grid_robust, sort_exact_split, shuffle_direct, shuffle_cube, ties_local_split,
     delivery_by_rank, delivery_prefix, delivery_bounded, cube_allreduce, cube_scan, cube_allgather, cube_route, cost_startups, cost_volume, cost_fan_in, cost_imbalance, cost_bound, cost_rank_methods, median_quality,
 )}
+# The first has the 1,024 customers of its SQL, the other every customer.
+QUERIES |= {"sort_one_per_pe": _one_per_pe("uid < 1024"), "sort_one_per_pe_whole": _one_per_pe()}
 QUERIES |= {f"median_{short}": _median(how) for short, how in (("binary", "binary_tree"), ("ternary", "ternary_tree"), ("first_pe", "first_pe"), ("random_pe", "random_pe"), ("of_medians", "median_of_medians"), ("exact", "exact"))}
 QUERIES |= {f"inputs_{name}": _instance(name) for name in inputs.NAMES}
 
@@ -253,6 +258,7 @@ ORACLE |= {
     "rank_grid": f"SELECT uid, key, rank() OVER (ORDER BY key) - 1 AS rank FROM {_held('events', 'event_type')}",
     "sort_grid_robust": f"""SELECT uid, key, rank, cast(rank * {P} // n AS int) AS dst_pe FROM (SELECT uid, key, count(*) OVER () AS n, row_number() OVER (ORDER BY key, pe // 4, pe % 4, uid) - 1 AS rank FROM {_held('events', 'event_type')})""",
     "sort_one_per_pe": "SELECT row_number() OVER (ORDER BY c_acctbal) - 1 AS slot, c_acctbal AS key FROM (SELECT c_acctbal FROM customer ORDER BY c_custkey LIMIT 1024)",
+    "sort_one_per_pe_whole": "SELECT row_number() OVER (ORDER BY c_acctbal) - 1 AS slot, c_acctbal AS key FROM customer",
     "sort_exact_split": f"""SELECT cast(rank * {P} // n AS int) AS dst_pe, count(*) AS cnt, min(key) AS min_key, max(key) AS max_key FROM (SELECT l_extendedprice AS key, count(*) OVER () AS n, row_number() OVER (ORDER BY l_extendedprice) - 1 AS rank FROM lineitem) GROUP BY 1""",
     "shuffle_direct": f"SELECT uid, cast({DUCK.hash('uid', 1)} % {P} AS int) AS pe FROM {_held('orders', 'o_totalprice')}",
     "shuffle_cube": f"SELECT uid, cast({SQL_BITS} AS int) AS pe FROM {_held('orders', 'o_totalprice')}",

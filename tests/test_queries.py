@@ -51,3 +51,12 @@ def test_entry_imports_without_corpus_operators(tmp_path):
     shutil.copy(repo / "__spark_entry__.py", tmp_path)
     code = "import __spark_entry__ as e; q = e.queries(); assert len(q) > 150 and not any(n.startswith('op1') for n in q) and 'pipeline' not in q; print(len(q), len(e.oracle_sql()))"
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path, env=os.environ | {"PYTHONPATH": str(tmp_path)}, check=True)
+
+
+def test_every_customer_is_a_pe(spark):
+    """On more customers than the first 1,024."""
+    larger, name = "/root/testdata/sf0.01", "sort_one_per_pe_whole"
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW customer AS SELECT * FROM '{larger}/customer.parquet'")
+    got, want = QUERIES[name](spark, larger).toPandas(), con.execute(ORACLE[name]).df()
+    assert len(got) == 1500 and plain(got) == plain(want)
