@@ -3,8 +3,8 @@
 The standard library's parser streams a page into blocks (lines). Each has its text, the tags met
 in it and the containers around it. A line's ratio is its text length over its tags, links counting
 against it; the ratios are smoothed by a Gaussian, and lines above a threshold from their mean and
-deviation form content clusters. The clusters choose the region: the smallest container (an
-article or main element, or else any element) that holds most of their text. Every line of the region
+deviation form content clusters. The clusters choose the region: the article and main
+elements that aren't inside others, or else the smallest container of all clusters. Every line of the region
 is kept, short ones included, except what lies in menus, headers, footers, sidebars, notices,
 adverts, forms, scripts, styles or reader comments.
 
@@ -16,7 +16,6 @@ gives an empty result; other columns are ignored.
 from __future__ import annotations
 
 import re
-from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass
 from html.parser import HTMLParser
@@ -159,35 +158,36 @@ def smoothed(values: np.ndarray, sigma: float) -> np.ndarray:
     return np.convolve(values, kernel, "full")[reach : reach + len(values)] / weight
 
 
-def region(lines: list[Line], kinds: dict[int, str], sigma: float, share: float) -> list[Line]:
-    """The kept lines: of the smallest container that holds ``share`` of the content clusters' text."""
+def region(lines: list[Line], kinds: dict[int, str], sigma: float) -> list[Line]:
+    """The kept lines: of all outermost article or main elements, if they hold a good part of the content clusters' text, or of the smallest container of all clusters."""
     open_lines = [x for x in lines if not x.dropped]
     if not open_lines:
         return []
     ratio = np.array([max(0, len(x.text) - x.linked) / (1 + x.tags) for x in open_lines])
     level = smoothed(ratio, sigma)
     content = level >= max(0.0, level.mean() - 0.5 * level.std())
-    weight: dict[int, int] = defaultdict(int)
-    total = 0
+    total = inside = 0
+    holding = None
+    mains = {next((k for k in x.path if kinds[k] == "main"), None) for x in open_lines} - {None}
     for x, is_content in zip(open_lines, content, strict=True):
         if is_content:
             size = max(0, len(x.text) - x.linked)
             total += size
-            for number in x.path:
-                weight[number] += size
-    mains = [k for k in weight if kinds[k] == "main" and weight[k] > 0 and weight[k] >= 0.3 * total]
-    holding = [k for k in weight if weight[k] >= share * total and kinds[k] not in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "blockquote", "pre")]
+            inside += size if mains.intersection(x.path) else 0
+            holding = set(x.path) if holding is None else holding.intersection(x.path)
+    if inside and inside >= 0.3 * total:
+        return [x for x in open_lines if mains.intersection(x.path)]
     # Elements are numbered in page order, so of nested containers the innermost has the highest number.
-    chosen = max((k for k in mains if weight[k] >= 0.6 * max(weight[m] for m in mains)), default=None) or max(holding, default=None)
+    chosen = max((k for k in holding or () if kinds[k] not in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "blockquote", "pre")), default=None)
     return open_lines if chosen is None else [x for x in open_lines if chosen in x.path]
 
 
-def main_text(html: str, sigma: float = 1.0, share: float = 0.8) -> str:
+def main_text(html: str, sigma: float = 1.0) -> str:
     reader = LineReader()
     reader.feed(html)
     reader.close()
     reader._end_line()
-    return "\n".join(x.text for x in region(reader.lines, reader.kinds, sigma, share))
+    return "\n".join(x.text for x in region(reader.lines, reader.kinds, sigma))
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:

@@ -88,3 +88,14 @@ def test_parts_that_are_dropped(part):
     want = re.sub("</p><p>", "\n", text)[3:-4]
     for page in (f"<html><body>{part}<article>{text}</article></body>", f"<body><article>{text}</article>{part}", f"<body><main>{part}{text}</main>", f"<div class='page has-sidebar'>{part}<div class='content'>{text}</div></div>"):
         assert html_text.main_text(page) == want, page
+
+
+def test_all_clusters_and_all_articles_are_kept():
+    line = "A sentence of the text that goes on for a while, as sentences of a text do, and then ends."
+    body = "".join(f"<p>{line} {k}</p>" for k in range(12))
+    kept = [f"{line} {k}" for k in range(12)]
+    page = f"<body><ul><li><a href=x>Other page</a></li></ul><div id=c><h1>The title</h1><p>Intro. {line}</p><div class=body>{body}</div><p>Closing. {line}</p></div>"
+    assert html_text.main_text(page).split("\n") == ["The title", f"Intro. {line}", *kept, f"Closing. {line}"]
+    two = f"<body><article>{body}</article><article><p>Second. {line}</p>{body[: len(body) * 2 // 3]}</article>"
+    got = html_text.main_text(two).split("\n")
+    assert got[:13] == [*kept, f"Second. {line}"] and len(got) > 18
