@@ -1,23 +1,73 @@
-"""Shared storage for intermediate tables."""
+"""Shared storage for intermediate tables, and their removal."""
 
 from __future__ import annotations
 
+import atexit
 import uuid
+from collections.abc import Callable
+from contextvars import ContextVar
 
+from pyspark import SparkContext
 from pyspark.sql import DataFrame, SparkSession
 
-#: Used only where the session names no shared folder (tests on one machine).
+#: Used only by sessions on one machine that name no shared folder (tests).
 LOCAL_DEFAULT = "/tmp/checkpoints/ordering_engine"
 
+_left: set[str] = set()
+_inside: ContextVar[list[str] | None] = ContextVar("folders staged by the step that runs", default=None)
+
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; its place comes from the session."""
-    return spark.conf.get("spark.checkpoint.dir", None) or LOCAL_DEFAULT
+    """The folder that driver and executors share; its place comes from the session. A cluster without one is an error."""
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if folder:
+        return folder
+    if not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return LOCAL_DEFAULT
 
 
 def staged(df: DataFrame, label: str = "stage") -> DataFrame:
-    """``df`` written to the shared folder and read back. Lineage ends there, so a lost executor costs a reread."""
+    """``df`` written to the shared folder and read back. Lineage ends there, so a lost executor costs a reread.
+
+    The folder is removed by the ``settled`` step around it, or when the driver's process ends.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/tables/{label}-{uuid.uuid4().hex}"
+    _left.add(path)
+    if (inside := _inside.get()) is not None:
+        inside.append(path)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def settled(spark: SparkSession, make: Callable[[], DataFrame], label: str) -> DataFrame:
+    """The result of ``make``, staged; every other folder that was staged meanwhile is removed."""
+    mine: list[str] = []
+    token = _inside.set(mine)
+    try:
+        out = staged(make(), label)
+    finally:
+        _inside.reset(token)
+    for path in mine[:-1]:
+        remove(path)
+    if (outer := _inside.get()) is not None:
+        outer.append(mine[-1])
+    return out
+
+
+def remove(path: str) -> None:
+    jvm, context = SparkContext._gateway.jvm, SparkContext._active_spark_context
+    where = jvm.org.apache.hadoop.fs.Path(path)
+    config = context._jsc.hadoopConfiguration() if context else jvm.org.apache.hadoop.conf.Configuration()
+    where.getFileSystem(config).delete(where, True)
+    _left.discard(path)
+
+
+@atexit.register
+def _remove_what_is_left() -> None:
+    for path in list(_left):
+        try:
+            remove(path)
+        except Exception:  # the JVM may be gone before this process: then the folders stay
+            return
