@@ -38,7 +38,9 @@ def staged(df: DataFrame, label: str = "stage") -> DataFrame:
     if (inside := _inside.get()) is not None:
         inside.append(path)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    back = spark.read.schema(df.schema).parquet(path)
+    back.staged_at = path
+    return back
 
 
 def settled(spark: SparkSession, make: Callable[[], DataFrame], label: str) -> DataFrame:
