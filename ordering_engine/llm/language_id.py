@@ -8,11 +8,13 @@ So every context holds an exact probability distribution over all 256 bytes, and
 language is its exact code length in bits. The language with the shortest code wins; ``score`` is its
 posterior probability with equal priors.
 
-Workers turn the counts into one table: a row of costs for each context of the longest kind that
-was seen, and for each context one byte shorter; a text's bytes index it, whole texts in bounded slices.
+The trees are sparse: for each length there is one hash table of the grams that any language has seen, with their
+costs in every language, and one of the contexts, with their escapes. A byte is looked up with its longest context; where that
+gram is unknown, its context's escape is added and the next shorter gram is looked up. The tables grow with the grams
+of the sample, never with the alphabet or the corpus. Whole texts are scored in bounded slices.
 
-The counts come from a bounded sample of labelled rows: at most ``sample_rows`` per language, of at
-most ``sample_bytes`` each, chosen by smallest hash of the id.
+The counts come from a bounded sample of labelled rows: at most ``sample_rows`` whole texts per language, those of smallest hash
+of the id. The bound is on rows alone, so a language of long texts is learned as well as one of short ones.
 
 Defined results: a null text, or one without a letter, is ``und`` with score 0; with no labelled row
 every text is ``und``; rows with a null label teach nothing; ties go to the first language in
@@ -47,7 +49,11 @@ def prepared(raw: bytes) -> bytes:
 
 def grams(raw: bytes, order: int) -> np.ndarray:
     """Every byte with the ``order`` bytes before it, as one number; before the text stand zeros."""
-    b = np.frombuffer(b"\0" * order + prepared(raw), np.uint8).astype(np.uint64)
+    return _after(b"\0" * order + prepared(raw), order)
+
+
+def _after(raw: bytes, order: int) -> np.ndarray:
+    b = np.frombuffer(raw, np.uint8).astype(np.uint64)
     n = len(b) - order
     key = np.zeros(n, np.uint64)
     for k in range(order + 1):
@@ -66,87 +72,116 @@ class Model:
     counts: np.ndarray
 
 
-def _mixed(counts: np.ndarray, lower: np.ndarray) -> np.ndarray:
-    """Probabilities of all symbols in each context (row), from its counts and the shorter context's probabilities."""
-    seen = counts > 0
-    n, d = counts.sum(1, keepdims=True), seen.sum(1, keepdims=True)
-    left = 1.0 - np.where(seen, lower, 0.0).sum(1, keepdims=True)
-    with np.errstate(divide="ignore", invalid="ignore"):
-        p = np.where(seen, counts / (n + d), d / (n + d) * lower / np.maximum(left, 1e-12))
-    return np.where(n > 0, p, lower)
+class _Places:
+    """The place of each of some distinct keys, by open addressing in a table that is at most a quarter full."""
+
+    def __init__(self, keys: np.ndarray):
+        self.keys = keys
+        bits = max(6, (4 * len(keys)).bit_length())
+        self.shift, self.mask = np.uint64(64 - bits), (1 << bits) - 1
+        self.place = np.full(1 << bits, -1, np.int32)
+        at, left = self._start(keys), np.arange(len(keys))
+        while len(left):
+            free = left[self.place[at[left]] < 0]
+            self.place[at[free]] = free  # of several on one slot the last stays, the others go on
+            left = left[self.place[at[left]] != left]
+            at[left] = (at[left] + 1) & self.mask
+
+    def _start(self, keys: np.ndarray) -> np.ndarray:
+        return ((keys * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """Place of each key, -1 where there is none."""
+        at = self._start(keys)
+        place = self.place[at]
+        if not len(self.keys):
+            return place
+        on = np.flatnonzero((place >= 0) & (self.keys[place] != keys))
+        while len(on):
+            at[on] = (at[on] + 1) & self.mask
+            place[on] = self.place[at[on]]
+            on = on[(place[on] >= 0) & (self.keys[place[on]] != keys[on])]
+        return place
+
+
+def _tail(keys: np.ndarray, length: int) -> np.ndarray:
+    """The last ``length`` bytes of each gram."""
+    return keys & np.uint64((1 << 8 * length) - 1)
 
 
 class Scorer:
-    """The cost tables of a model. Bytes that no language has seen share symbol 0; their cost is that of one such byte."""
+    """The context trees of a model, all languages side by side."""
 
     def __init__(self, model: Model):
-        order = self.order = model.order
-        self.languages = model.languages
-        symbols = [((model.keys >> np.uint64(8 * k)) & np.uint64(255)).astype(np.int64) for k in range(order, -1, -1)]
-        used = np.unique(symbols[-1]) if len(model.keys) else np.zeros(0, np.int64)
-        self.symbol = np.zeros(256, np.int64)
-        self.symbol[used] = np.arange(1, len(used) + 1)
-        size = self.size = len(used) + 1
-        columns = [self.symbol[s] for s in symbols]  # zeros before a text are symbol 0 as well
-
-        def contexts(length: int) -> np.ndarray:
-            at = np.zeros(len(model.keys), np.int64)
-            for c in columns[order - length : order]:
-                at = at * size + c
-            return at
-
-        longest = contexts(order)
-        rows = np.unique(longest) if order > 1 else np.zeros(0, np.int64)
-        short = size ** (order - 1) if order > 1 else size**order
-        costs = np.empty((short + len(rows), size, len(model.languages)), np.float32)
-        for k in range(len(model.languages)):
-            own = model.lang == k
-            successor, count = columns[-1][own], model.counts[own].astype(np.float64)
-            base = np.zeros(size)
-            np.add.at(base, successor, count)
-            n, d = base.sum(), (base > 0).sum()
-            unseen = (d / (n + d) if n else 1.0) / (256 - d)
-            p = np.where(base > 0, base / max(n + d, 1), unseen)[None, :]
-            for length in range(1, order if order > 1 else order + 1):
-                counts = np.zeros((size**length, size))
-                np.add.at(counts, (contexts(length)[own], successor), count)
-                p = _mixed(counts, np.tile(p, (size, 1)))
-            costs[:short, :, k] = -np.log2(p)
-            if len(rows):
-                counts = np.zeros((len(rows), size))
-                np.add.at(counts, (np.searchsorted(rows, longest[own]), successor), count)
-                costs[short:, :, k] = -np.log2(_mixed(counts, p[rows % short]))
-        self.costs = costs.reshape(-1, len(model.languages))
-        self.row = np.arange(size**order, dtype=np.int64) % short
-        if len(rows):
-            self.row[rows] = short + np.arange(len(rows))
-        self.row = self.row.astype(np.int32)
+        self.order, self.languages = model.order, model.languages
+        self.symbol = np.arange(256, dtype=np.int64)
+        count = len(model.languages)
+        self.single = np.full((256, max(count, 1)), 8.0, np.float32)
+        self.grams: list[_Places] = []
+        self.costs: list[np.ndarray] = []
+        self.contexts: list[_Places] = []
+        self.escapes: list[np.ndarray] = []
+        if count:
+            self._grow(model, count)
+
+    def _grow(self, model: Model, count: int) -> None:
+        for length in range(self.order + 1):
+            keys, at = np.unique(_tail(model.keys, length + 1), return_inverse=True)
+            seen = np.stack([np.bincount(at[own], model.counts[own], len(keys)) for own in (model.lang == k for k in range(count))], 1)
+            before, of = np.unique(keys >> np.uint64(8), return_inverse=True)
+            added = lambda values, of=of, size=len(before): np.stack([np.bincount(of, v, size) for v in values.T], 1)
+            n, d = added(seen), added((seen > 0).astype(float))
+            with np.errstate(divide="ignore", invalid="ignore"):
+                own = -np.log2(seen / (n + d)[of])
+                if length:
+                    shorter = self._cost(_tail(keys, length), length - 1).astype(np.float64)
+                    left = 1.0 - added(np.where(seen > 0, np.exp2(-shorter), 0.0))
+                    escape = np.where(n > 0, np.log2(np.maximum(left, 1e-12)) - np.log2(d / (n + d)), 0.0)
+                    self.costs.append(np.where(seen > 0, own, escape[of] + shorter).astype(np.float32))
+                    self.contexts.append(_Places(before))
+                    self.escapes.append(np.append(escape, np.zeros((1, count)), 0).astype(np.float32))  # the last row is that of unknown contexts
+                    self.grams.append(_Places(keys))
+                else:
+                    unseen = np.where(n > 0, np.log2((n + d) / np.maximum(d, 1)), 0.0) + np.log2(np.maximum(256 - d, 1))
+                    self.single = np.broadcast_to(unseen, (256, count)).astype(np.float32)
+                    self.single[keys.astype(np.int64)] = np.where(seen > 0, own, unseen)
+
+    def _cost(self, keys: np.ndarray, length: int) -> np.ndarray:
+        """Cost of the last byte of each gram after the ``length`` bytes before it, in every language."""
+        if not length or not self.grams:
+            return self.single[_tail(keys, 1).astype(np.int64)]
+        place = self.grams[length - 1].find(keys)
+        out = self.costs[length - 1][place]
+        new = np.flatnonzero(place < 0)
+        if len(new):
+            out[new] = self.escapes[length - 1][self.contexts[length - 1].find(keys[new] >> np.uint64(8))] + self._cost(_tail(keys[new], length), length - 1)
+        return out
 
     def _bits(self, symbols: np.ndarray) -> np.ndarray:
-        """Cost of each symbol after the first ``order`` ones."""
+        """Cost of each byte after the first ``order`` ones."""
         n = len(symbols) - self.order
-        at = np.zeros(n, np.int32)
-        for k in range(self.order):
-            at = at * np.int32(self.size) + symbols[k : k + n]
-        return self.costs[self.row[at].astype(np.int64) * self.size + symbols[self.order :]]
+        keys, b = np.zeros(n, np.uint64), symbols.astype(np.uint64)
+        for k in range(self.order + 1):
+            keys = (keys << np.uint64(8)) | b[k : k + n]
+        return self._cost(keys, self.order)
 
     def code_lengths(self, texts: list[bytes]) -> np.ndarray:
         """Bits of each text in each language."""
         total = np.zeros((len(texts), len(self.languages)))
-        symbol = self.symbol.astype(np.int32)
+        symbol, most = self.symbol.astype(np.uint8), max(256, SLICE_BYTES * 4 // max(4, len(self.languages)))
         pad = b"\0" * self.order
         batch: list[int] = []
         held = 0
         for i, raw in enumerate(texts):
-            if len(raw) > SLICE_BYTES:
+            if len(raw) > most:
                 whole = pad + raw
-                for at in range(0, len(raw), SLICE_BYTES):
-                    part = np.frombuffer(whole[at : at + SLICE_BYTES + self.order], np.uint8)
+                for at in range(0, len(raw), most):
+                    part = np.frombuffer(whole[at : at + most + self.order], np.uint8)
                     total[i] += self._bits(symbol[part]).sum(0, dtype=np.float64)
                 continue
             batch.append(i)
             held += len(raw)
-            if held > SLICE_BYTES:
+            if held > most:
                 self._score(texts, batch, pad, symbol, total)
                 batch, held = [], 0
         self._score(texts, batch, pad, symbol, total)
@@ -165,18 +200,33 @@ class Scorer:
         total[batch] = np.add.reduceat(bits, cuts, axis=0, dtype=np.float64)[::2]
 
 
-def train(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", order: int = 3, sample_rows: int = 512, sample_bytes: int = 65_536, spread: int = 16) -> Model:
-    """Counts from at most ``sample_rows`` rows per language (within 1 in ``spread`` of it), whole texts of at most ``sample_bytes``."""
-    rows = labelled.where(F.col(lang_col).isNotNull() & (F.octet_length(F.col(text_col)) <= sample_bytes))
-    rows = rows.select(F.col(lang_col).alias("_lang"), F.col(text_col).alias("_text"), F.xxhash64(F.col(id_col)).alias("_h"))
-    ranked = Window.partitionBy("_lang", F.pmod("_h", F.lit(spread))).orderBy("_h")
-    rows = rows.withColumn("_r", F.row_number().over(ranked)).where(F.col("_r") <= -(-sample_rows // spread)).select("_lang", "_text")
+def sample(labelled: DataFrame, id_col: str, text_col: str, lang_col: str, sample_rows: int, spread: int) -> DataFrame:
+    """``_lang``, ``_text`` of at most ``sample_rows`` rows per language, those of smallest hash of the id.
+
+    First only labels and hashes are ranked, in ``spread`` parts a language, which gives each language's largest hash of the
+    sample; then the texts up to it are read. Where many rows share that hash, the last step keeps the bound.
+    """
+    rows = labelled.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(lang_col).alias("_lang"), F.col(text_col).alias("_text"), F.xxhash64(F.col(id_col)).alias("_h"))
+    part = Window.partitionBy("_lang", F.pmod("_h", F.lit(spread))).orderBy("_h")
+    few = rows.select("_lang", "_h").withColumn("_r", F.row_number().over(part)).where(F.col("_r") <= sample_rows)
+    own = Window.partitionBy("_lang").orderBy("_h")
+    # One row per language that is learned, as the model itself has.
+    last = few.withColumn("_r", F.row_number().over(own)).where(F.col("_r") <= sample_rows).groupBy("_lang").agg(F.max("_h").alias("_last"))
+    near = rows.join(F.broadcast(last), "_lang").where("_h <= _last").withColumn("_r", F.row_number().over(Window.partitionBy("_lang").orderBy("_h", F.xxhash64("_text"))))
+    return near.where(F.col("_r") <= sample_rows).select("_lang", "_text")
+
+
+def train(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", order: int = 3, sample_rows: int = 512, spread: int = 16) -> Model:
+    """Frozen counts from at most ``sample_rows`` whole texts per language."""
+    rows = sample(labelled, id_col, text_col, lang_col, sample_rows, spread).repartition(spread)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lang, raw in zip(batch.column(0).to_pylist(), raw_texts(batch.column(1)), strict=True):
-                keys, n = np.unique(grams(raw, order), return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(keys)), pa.array(keys.view(np.int64)), pa.array(n, pa.int64())], names=["lang", "gram", "n"])
+                whole = b"\0" * order + prepared(raw)
+                for at in range(0, len(whole) - order, SLICE_BYTES):
+                    keys, n = np.unique(_after(whole[at : at + SLICE_BYTES + order], order), return_counts=True)
+                    yield pa.RecordBatch.from_arrays([pa.array([lang] * len(keys), pa.string()), pa.array(keys.view(np.int64)), pa.array(n, pa.int64())], names=["lang", "gram", "n"])
 
     found = rows.mapInArrow(count, "lang string, gram bigint, n bigint").groupBy("lang", "gram").agg(F.sum("n").alias("n")).toPandas()
     found = found.sort_values(["lang", "gram"])

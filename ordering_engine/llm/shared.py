@@ -2,32 +2,17 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..storage import settled, shared_dir  # noqa: F401
+from ..storage import staged as materialize  # noqa: F401
+
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
-#: Used only where the session names no shared folder (tests on one machine).
-LOCAL_DEFAULT = "/tmp/checkpoints/ordering_engine"
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; its place comes from the session."""
-    return spark.conf.get("spark.checkpoint.dir", None) or LOCAL_DEFAULT
-
-
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: lineage ends there, so a lost executor costs a reread."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark).rstrip('/')}/tables/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

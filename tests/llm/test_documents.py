@@ -9,7 +9,7 @@ import public_tokenizers
 import pytest
 from tokenizers import Tokenizer
 
-from ordering_engine.llm import exact_dedup, imatch, language_id, packing, parity_join, source_mix, token_counts
+from ordering_engine.llm import components, exact_dedup, imatch, language_id, packing, parity_join, source_mix, token_counts
 
 PATH = public_tokenizers.path("byte_bpe_50k.json")
 LIBRARY = Tokenizer.from_file(PATH)
@@ -240,6 +240,18 @@ def test_parity_sketches_bound_the_difference_and_prefixes_share_words():
             assert len(np.intersect1d(bands.words(a), bands.words(b))) >= 2 or len(np.setxor1d(a, b)) == 0
 
 
+def test_components_of_long_chains(spark):
+    """Rounds go on until nothing changes."""
+    from pyspark.sql import functions as F
+
+    n = 3000
+    place = F.expr(f"(id * 1009) % {n}")  # neighbours on the chain aren't neighbours as numbers
+    chain = spark.range(n - 1).select(place.alias("a"), F.expr(f"((id + 1) * 1009) % {n}").alias("b"))
+    ring = spark.range(5).select((F.col("id") + n).alias("a"), (F.lit(n) + (F.col("id") + 1) % 5).alias("b"))
+    got = {r.node: r.root for r in components.components(chain.unionByName(ring)).collect()}
+    assert got == dict.fromkeys(range(1, n), 0) | dict.fromkeys(range(n + 1, n + 5), n)
+
+
 # Fingerprints
 
 
@@ -291,6 +303,47 @@ def test_language_of_awkward_rows(odd, none, documents):
     assert language_id.known_language(odd).columns == odd.columns
 
 
+def test_languages_of_long_texts_only_are_learned(spark):
+    rows = [(i, "habari ya asubuhi na jioni " * 4000, "sw") for i in range(10)] + [(100 + i, "good morning to all the people", "en") for i in range(30)] + [(7, "good morning to all the people", "en")] * 600
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    assert all(r.lang_pred == ("sw" if r.doc_id < 10 and r.doc_id != 7 else r.lang_pred) for r in language_id.identify(docs).collect())
+    assert {r.doc_id: r.lang_pred for r in language_id.identify(docs.where("doc_id <> 7")).collect()} == {i: t for i, _, t in rows if i != 7}
+    assert language_id.sample(docs, "doc_id", "text", "lang", 20, 4).groupBy("_lang").count().where("count > 20").isEmpty()
+
+
+def plain_code_length(texts, order, raw):
+    """The same model byte by byte, in plain Python: probabilities, exclusion and escapes from nested counts."""
+    counts = defaultdict(Counter)
+    for t in texts:
+        b = b"\0" * order + language_id.prepared(t)
+        for i in range(order, len(b)):
+            for k in range(order + 1):
+                counts[b[i - k : i]][b[i]] += 1
+
+    def p(context, symbol):
+        own = counts.get(context, {})
+        n, d = sum(own.values()), len(own)
+        if not context:
+            return own[symbol] / (n + d) if symbol in own else (d / (n + d) if n else 1) / (256 - d)
+        if not n:
+            return p(context[1:], symbol)
+        if symbol in own:
+            return own[symbol] / (n + d)
+        return d / (n + d) * p(context[1:], symbol) / max(1 - sum(p(context[1:], s) for s in own), 1e-12)
+
+    b = b"\0" * order + raw
+    return -sum(np.log2(p(b[i - order : i], b[i])) for i in range(order, len(b)))
+
+
+def test_code_lengths_match_plain_python(spark):
+    lessons = {"de": ["der Weg ist das Ziel und das Ziel ist weit", "die Katze auf dem Dach"], "en": ["the way is the goal", "a cat on the roof of the house"]}
+    docs = spark.createDataFrame([(i, t, lang) for i, (lang, t) in enumerate((lang, t) for lang, ts in lessons.items() for t in ts)], "doc_id bigint, text string, lang string")
+    scorer = language_id.Scorer(language_id.train(docs))
+    texts = [b"the cat is das ziel", "größe".encode(), b"x", b"qqqq \xff"]
+    want = [[plain_code_length([t.encode() for t in lessons[lang]], 3, raw) for lang in ("de", "en")] for raw in texts]
+    assert np.allclose(scorer.code_lengths(texts), want, rtol=1e-4)
+
+
 def test_code_lengths_are_those_of_a_distribution():
     """In any context the costs of all 256 bytes are a code: their probabilities add up to one."""
     keys, counts = np.unique(language_id.grams(b"the theory of the thing is thin " * 3, 3), return_counts=True)
