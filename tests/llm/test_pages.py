@@ -2,6 +2,7 @@
 
 import re
 
+import numpy as np
 import pytest
 
 from ordering_engine.llm import host_reputation, html_text
@@ -58,6 +59,66 @@ def test_reputation_is_shrunk_and_bounded(spark):
     assert {r.verdict for r in empty} == {"allow"}
 
 
+def plain_posteriors(counts, strength=8.0, most=1000.0):
+    """(a, b) per host from {host: (n, bad)}, level by level in plain Python."""
+    domain = lambda h: ".".join(h.split(".")[-2:])
+    suffix = lambda h: h.split(".")[-1]
+
+    def summed(level, up):
+        out = {}
+        for key, (n, bad) in level.items():
+            was = out.get(up(key), (0, 0))
+            out[up(key)] = (was[0] + n, was[1] + bad)
+        return out
+
+    def shrunk(level, up, parents):
+        q = s0 = s1 = 0.0
+        for key, (n, bad) in level.items():
+            a, b = parents[up(key)]
+            mean = a / (a + b)
+            if n:
+                q, s0, s1 = q + n * (bad / n - mean) ** 2, s0 + mean * (1 - mean), s1 + mean * (1 - mean) * (n - 1)
+        m = strength if s1 <= 0 else most if q <= s0 else min(max(s1 / (q - s0) - 1, strength), most)
+        means = {key: (lambda a, b: a / (a + b))(*parents[up(key)]) for key in level}
+        return {key: (means[key] * m + bad, (1 - means[key]) * m + n - bad) for key, (n, bad) in level.items()}
+
+    domains = summed(counts, domain)
+    suffixes = summed(domains, suffix)
+    n, bad = (sum(v[k] for v in suffixes.values()) for k in (0, 1))
+    top = {"": (bad + 1.0, n - bad + 1.0)}
+    return shrunk(counts, domain, shrunk(domains, suffix, shrunk(suffixes, lambda s: "", top))), (bad + 1) / (n + 2)
+
+
+def plain_quantile(a, b, q):
+    u = np.linspace(-60, 60, 400_001)
+    w = -a * np.logaddexp(0, -u) - b * np.logaddexp(0, u)
+    total = np.cumsum(np.exp(w - w.max()))
+    return 1 / (1 + np.exp(-u[np.searchsorted(total, q * total[-1])]))
+
+
+def test_verdicts_of_unruled_pages_follow_the_posteriors(spark, small):
+    """Against plain Python; a filter without reputation (all allowed, or all blocked) fails here."""
+    rng = np.random.default_rng(2)
+    rates = {f"{kind}{k}.{tld}": rate for kind, rate in (("bad", 0.9), ("mixed", 0.3), ("good", 0.02)) for k in range(6) for tld in ("com", "net", "io")}
+    labels = [(f"http://www.{h}/{i}", int(rng.random() < rate)) for h, rate in rates.items() for i in range(int(rng.integers(1, 60)))]
+    counts = {}
+    for url, bad in labels:
+        host = plain_host(url)[0]
+        counts[host] = (counts.get(host, (0, 0))[0] + 1, counts.get(host, (0, 0))[1] + bad)
+    hosts = [*counts, "new.bad0.com", "never.seen.io", "other.tld"]
+    want, rate = plain_posteriors(counts | dict.fromkeys(hosts[-3:], (0, 0)))
+    pages = spark.createDataFrame([(k, f"https://{h}/x") for k, h in enumerate(hosts)], "page_id bigint, url string")
+    got = host_reputation.judge(pages, rules=(), labels=spark.createDataFrame(labels, "url string, bad int")).collect()
+    for r in got:
+        low = plain_quantile(*want[r.host], 0.05)
+        assert abs(r.bad_low - low) < 2e-3 and (r.verdict == "block") == (r.bad_low > rate), r
+    verdict = {r.host: r.verdict for r in got}
+    assert {v for h, v in verdict.items() if "good" in h} == {"allow"} and sum(v == "block" for h, v in verdict.items() if "bad" in h) > 12
+    table = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
+    free = [r for r in host_reputation.judge(table).collect() if r.rule is None]
+    assert {r.verdict for r in free} == {"allow", "block"} and len({(r.host, r.verdict) for r in free}) == len({r.host for r in free})
+
+
 def test_reputation_plan_has_no_python(pages):
     plan = host_reputation.judge(pages)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Pandas" not in plan
