@@ -1,12 +1,17 @@
 """Main text of web pages from streaming parser events, text-to-tag ratios and smoothing.
 
 The standard library's parser streams a page into blocks (lines). Each has its text, the tags met
-in it and the containers around it. A line's ratio is its text length over its tags, links counting
+in it and the container it is in. A line's ratio is its text length over its tags, links counting
 against it; the ratios are smoothed by a Gaussian, and lines above a threshold from their mean and
-deviation form content clusters. The clusters choose the region: the article and main
-elements that aren't inside others, or else the smallest container of all clusters. Every line of the region
-is kept, short ones included, except what lies in menus, headers, footers, sidebars, notices,
-adverts, forms, scripts, styles or reader comments.
+deviation form content clusters. The clusters choose the region: the outermost article and main
+elements if these hold a good part of the clusters' text, or else the container with the most of it, widened to
+what holds all containers with a third as much, and on to any that itself holds a line of a cluster. Every line of the
+region is kept, short ones included, except what its container's kind or name tells to be a menu, header, footer,
+sidebar, notice, advert, form or reader comment; such lines take no part in the clusters either. Scripts, styles and the
+like have no lines. Without any such names, and without article elements, the clusters alone find the region.
+
+A page takes time in proportion to its length: a container has the number of its last descendant, so that
+"is inside" is a comparison of numbers, and what a container inherits is noted when it opens.
 
 Defined results: null or empty html, or a page with nothing but such parts, gives an empty text;
 unclosed, unknown and misnested tags are tolerated; repeated rows are read row by row; an empty table
@@ -40,6 +45,8 @@ ABOUT_LAYOUT = frozenset("has no with without".split())
 BLOCKS = frozenset(
     "html body address article aside blockquote center dd details dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split()
 )
+#: Blocks of text, which are no regions.
+TEXT_BLOCKS = frozenset("p h1 h2 h3 h4 h5 h6 li blockquote pre".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 #: A start tag of the first ends open ones of the second.
 CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}}
@@ -47,21 +54,24 @@ WORD = re.compile(r"[a-z0-9]+")
 SPACE = re.compile(r"[\x20\t\n\r\x0b\x0c\xa0  ]+")
 
 
-@dataclass
+@dataclass(slots=True)
 class Line:
     text: str
     tags: int
     linked: int
-    path: tuple[int, ...]
+    inside: int
     dropped: bool
 
 
-@dataclass
+@dataclass(slots=True)
 class Element:
+    """An open block, with what it has from the blocks around it."""
+
     number: int
     tag: str
-    dropped: bool
-    article: bool
+    hard: bool  # in an element of a kind that is dropped
+    soft: bool  # in one whose names tell it is dropped, up to the innermost article
+    articles: int  # open article elements
 
 
 class LineReader(HTMLParser):
@@ -70,26 +80,27 @@ class LineReader(HTMLParser):
     def __init__(self) -> None:
         super().__init__(convert_charrefs=True)
         self.lines: list[Line] = []
-        self.stack: list[Element] = []
-        self.kinds: dict[int, str] = {}
+        self.stack = [Element(0, "", False, False, 0)]
+        self.kinds, self.parents, self.mains, self.lasts = [""], [-1], [-1], [-1]  # by number; 0 is the page
+        self.open: dict[str, int] = {}
         self.text: list[str] = []
-        self.tags = self.linked = self.links = self.count = 0
-
-    def _end_line(self) -> None:
-        text = SPACE.sub(" ", "".join(self.text)).strip(" ")
-        if text:
-            self.lines.append(Line(text, self.tags, self.linked, tuple(e.number for e in self.stack), self._hidden()))
+        self.tags = self.linked = self.links = 0
+
+    def _end_line(self, at: int = -1) -> None:
+        if self.text:
+            text = SPACE.sub(" ", "".join(self.text)).strip(" ")
+            if text:
+                own = self.stack[at]
+                self.lines.append(Line(text, self.tags, self.linked, own.number, own.hard or own.soft))
         self.text, self.tags, self.linked = [], 0, 0
 
-    def _hidden(self) -> bool:
-        """Inside a dropped part; an article inside a container that only its class names is not (think of ``has-sidebar``)."""
-        inner = next((k for k in range(len(self.stack) - 1, -1, -1) if self.stack[k].article), 0)
-        return any(e.dropped and (k >= inner or e.tag in DROPPED) for k, e in enumerate(self.stack))
+    def _pop(self) -> None:
+        own = self.stack.pop()
+        self.open[own.tag] -= 1
+        self.lasts[own.number] = len(self.kinds) - 1
 
-    def _dropped(self, tag: str, attrs: list) -> bool:
-        inside = any(e.tag == "article" for e in self.stack)  # an article's own header holds its title
-        if tag in DROPPED or tag == "header" and not inside:
-            return True
+    def _named(self, tag: str, attrs: list, inside: bool) -> bool:
+        """Whether the attributes tell that this is no part of the article."""
         for name, value in attrs:
             if not value:
                 if name == "hidden":
@@ -111,35 +122,46 @@ class LineReader(HTMLParser):
         if block:
             self._end_line()
             closes = CLOSES.get(tag, ())
-            while self.stack and (self.stack[-1].tag == "p" or self.stack[-1].tag in closes):
-                self.stack.pop()
+            while self.stack[-1].tag == "p" or self.stack[-1].tag in closes:
+                self._pop()
         elif tag == "br":
             self.text.append(" ")
         elif tag == "a":
             self.links += 1
         if tag in VOID:
             return
-        dropped = self._dropped(tag, attrs)
+        up = self.stack[-1]
+        hard = tag in DROPPED or tag == "header" and not up.articles  # an article's own header holds its title
+        dropped = hard or bool(attrs) and self._named(tag, attrs, up.articles > 0)
         if block or dropped:
-            if not block:
-                self._end_line() if tag in DROPPED else None
-            self.count += 1
-            main = tag in ("article", "main") or any(k == "role" and v == "main" for k, v in attrs)
-            self.kinds[self.count] = "main" if main else tag
-            self.stack.append(Element(self.count, tag, dropped, main))
-            if not block and tag not in DROPPED:  # a dropped inline element ends the line before it, and itself is one
-                kept = self.stack.pop()
+            if not block:  # a dropped inline element ends the line before it, and itself is one
                 self._end_line()
-                self.stack.append(kept)
+            main = tag in ("article", "main") or any(k == "role" and v == "main" for k, v in attrs)
+            number = len(self.kinds)
+            self.kinds.append(tag)
+            self.parents.append(up.number)
+            self.mains.append(self.mains[up.number] if self.mains[up.number] >= 0 else number if main else -1)
+            self.lasts.append(-1)
+            self.open[tag] = self.open.get(tag, 0) + 1
+            # An article inside a container that only its class names is no part of it (think of ``has-sidebar``).
+            self.stack.append(Element(number, tag, up.hard or hard, dropped if main else up.soft or dropped, up.articles + (tag == "article")))
 
     def handle_endtag(self, tag: str) -> None:
         self.tags += 1
         if tag == "a":
             self.links = max(0, self.links - 1)
-        at = next((k for k in range(len(self.stack) - 1, -1, -1) if self.stack[k].tag == tag), None)
-        if at is not None:
+        if self.open.get(tag):
             self._end_line()
-            del self.stack[at:]
+            while self.stack[-1].tag != tag:
+                self._pop()
+            self._pop()
+
+    def finish(self) -> None:
+        self.close()
+        self._end_line()
+        while len(self.stack) > 1:
+            self._pop()
+        self.lasts[0] = len(self.kinds) - 1
 
     def handle_data(self, data: str) -> None:
         self.text.append(data)
@@ -158,36 +180,46 @@ def smoothed(values: np.ndarray, sigma: float) -> np.ndarray:
     return np.convolve(values, kernel, "full")[reach : reach + len(values)] / weight
 
 
-def region(lines: list[Line], kinds: dict[int, str], sigma: float) -> list[Line]:
-    """The kept lines: of all outermost article or main elements, if they hold a good part of the content clusters' text, or of the smallest container of all clusters."""
-    open_lines = [x for x in lines if not x.dropped]
-    if not open_lines:
+def clusters(lines: list[Line], sigma: float) -> np.ndarray:
+    """Which lines are content: those whose smoothed ratio of text to tags is above the threshold."""
+    own = np.array([max(0, len(x.text) - x.linked) for x in lines])
+    level = smoothed(own / (1 + np.array([x.tags for x in lines])), sigma)
+    return level >= max(0.0, level.mean() - 0.5 * level.std())
+
+
+def region(page: LineReader, sigma: float, share: float = 1 / 3) -> list[Line]:
+    """The kept lines."""
+    lines = [x for x in page.lines if not x.dropped]
+    if not lines:
         return []
-    ratio = np.array([max(0, len(x.text) - x.linked) / (1 + x.tags) for x in open_lines])
-    level = smoothed(ratio, sigma)
-    content = level >= max(0.0, level.mean() - 0.5 * level.std())
-    total = inside = 0
-    holding = None
-    mains = {next((k for k in x.path if kinds[k] == "main"), None) for x in open_lines} - {None}
-    for x, is_content in zip(open_lines, content, strict=True):
+    content = clusters(lines, sigma)
+    mass: dict[int, int] = {}  # text of the clusters by the container that holds its lines
+    total = in_mains = 0
+    for x, is_content in zip(lines, content, strict=True):
         if is_content:
-            size = max(0, len(x.text) - x.linked)
+            home, size = x.inside, max(0, len(x.text) - x.linked)
+            while page.kinds[home] in TEXT_BLOCKS:
+                home = page.parents[home]
+            mass[home] = mass.get(home, 0) + size
             total += size
-            inside += size if mains.intersection(x.path) else 0
-            holding = set(x.path) if holding is None else holding.intersection(x.path)
-    if inside and inside >= 0.3 * total:
-        return [x for x in open_lines if mains.intersection(x.path)]
-    # Elements are numbered in page order, so of nested containers the innermost has the highest number.
-    chosen = max((k for k in holding or () if kinds[k] not in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "blockquote", "pre")), default=None)
-    return open_lines if chosen is None else [x for x in open_lines if chosen in x.path]
+            in_mains += size if page.mains[x.inside] >= 0 else 0
+    if 0 < in_mains >= 0.3 * total:
+        return [x for x in lines if page.mains[x.inside] >= 0]
+    chosen = max(mass, key=lambda k: (mass[k], -k))
+    large = [k for k in mass if mass[k] >= share * mass[chosen]]
+    low, high, at = min(large), max(large), chosen
+    while at >= 0:
+        if page.lasts[chosen] < high or chosen > low or mass.get(at):
+            chosen = at
+        at = page.parents[at]
+    return [x for x in lines if chosen <= x.inside <= page.lasts[chosen]]
 
 
 def main_text(html: str, sigma: float = 1.0) -> str:
     reader = LineReader()
     reader.feed(html)
-    reader.close()
-    reader._end_line()
-    return "\n".join(x.text for x in region(reader.lines, reader.kinds, sigma))
+    reader.finish()
+    return "\n".join(x.text for x in region(reader, sigma))
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:

@@ -160,3 +160,34 @@ def test_all_clusters_and_all_articles_are_kept():
     two = f"<body><article>{body}</article><article><p>Second. {line}</p>{body[: len(body) * 2 // 3]}</article>"
     got = html_text.main_text(two).split("\n")
     assert got[:13] == [*kept, f"Second. {line}"] and len(got) > 18
+
+
+def unnamed(page):
+    """The page with containers that tell nothing: every sectioning element a div, no class, id or role."""
+    return re.sub(r"<(/?)(article|main|nav|footer|header|aside|section|form)\b", r"<\1div", re.sub(r' (?:class|id|role)=(?:"[^"]*"|\'[^\']*\'|[^ >]*)', "", page))
+
+
+def test_clusters_find_the_text_without_any_names(spark):
+    table = spark.read.parquet("/root/testdata/sf0.1/pages.parquet").select("html").limit(600).collect()
+    same = sum(html_text.main_text(unnamed(r.html)) == html_text.main_text(r.html) for r in table)
+    assert same >= 0.95 * len(table)
+
+
+def test_clusters_decide(monkeypatch):
+    """The result follows from the ratios: with every line called content, short lines around the text come along."""
+    line = "A sentence of the text that goes on for a while, as sentences of a text do, and then ends."
+    body = "".join(f"<p>{line} {k}</p>" for k in range(8))
+    page = f"<body>Home<br><b><i>News</i></b><hr><i>Today</i><hr><div><h1>Title</h1>{body}<p>End.</p></div><hr><b><i>Up</i></b><hr><b>Mail</b></body>"
+    want = ["Title", *(f"{line} {k}" for k in range(8)), "End."]
+    assert html_text.main_text(page).split("\n") == want
+    monkeypatch.setattr(html_text, "clusters", lambda lines, sigma: np.ones(len(lines), bool))
+    assert html_text.main_text(page).split("\n") != want
+
+
+def test_pages_take_time_in_proportion():
+    import time
+
+    for page in ("<div>a" * 8000, "<p>a" * 20000 + "<ul>" + "<li>x" * 20000 + "</b>" * 20000, "<div class=x><span>" * 8000 + "end", "a" * 2_000_000, "<b>a</b> " * 100_000):
+        began = time.perf_counter()
+        assert html_text.main_text(page)
+        assert time.perf_counter() - began < 2
