@@ -1,9 +1,9 @@
 """Best-fit packing with swap-based local search.
 
 Documents become pieces of at most ``capacity`` tokens; only longer ones are cut, the short piece
-first. Pieces are dealt by hash into blocks of bounded size, whatever their source. In a block a
-best-fit pass fills bins, then local search moves one document, exchanges one for one, or two for
-one, always from an emptier to a fuller bin, so the sum of squared fills grows until bins empty.
+first. Pieces are dealt by hash, with their row's number, into blocks of bounded size, whatever their source and however often
+they repeat. In a block a best-fit pass fills bins, then local search moves one document, exchanges one for one, or two for
+one, always from an emptier to a fuller bin, so the sum of squared fills grows until bins empty and no change is left.
 Bins that stay clearly underfull are released, and their pieces are packed together in a second
 round of fewer blocks. No block, and no task, depends on the number of documents.
 
@@ -15,7 +15,6 @@ from __future__ import annotations
 
 import zlib
 from collections.abc import Iterator
-from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -120,56 +119,85 @@ def best_fit(sizes: np.ndarray, capacity: int) -> list[list[int]]:
 
 
 class LocalSearch:
-    """Improves a packing by moves and exchanges that raise the sum of squared fills, until none does or the step bound is met."""
+    """Improves a packing by moves and exchanges that raise the sum of squared fills, until none does.
 
-    def __init__(self, sizes: np.ndarray, bins: list[list[int]], capacity: int, most_steps: int = 20_000):
-        self.size = sizes.tolist()
-        self.capacity, self.steps = capacity, most_steps
-        self.full = [b for b in bins if sum(self.size[i] for i in b) == capacity]
-        self.open = [b for b in bins if sum(self.size[i] for i in b) < capacity]
-        self.fill = [sum(self.size[i] for i in b) for b in self.open]
+    Each change raises the sum, a whole number with a bound, so the search ends. What a bin can give away is looked up for all
+    its documents and pairs at once: an item of a fuller bin can make way for as much as its own size and that bin's room,
+    and of the items that can make way for some size the smallest gives the largest gain.
+    """
+
+    def __init__(self, sizes: np.ndarray, bins: list[list[int]], capacity: int):
+        self.capacity = capacity
+        fills = [int(sizes[b].sum()) for b in bins]
+        self.full = [b for b, fill in zip(bins, fills, strict=True) if fill == capacity]
+        self.open = [list(b) for b, fill in zip(bins, fills, strict=True) if fill < capacity]
+        self.fill = np.array([fill for fill in fills if fill < capacity], np.int64)
+        items = [(i, k) for k, b in enumerate(self.open) for i in b]
+        # The items of open bins, largest first, with their bins.
+        self.item = np.array([i for i, _ in sorted(items, key=lambda x: (-sizes[x[0]], x[0]))], np.int64)
+        self.place = {int(i): at for at, i in enumerate(self.item)}
+        self.size = sizes[self.item].astype(np.int64)
+        bin_of = dict(items)
+        self.bin = np.array([bin_of[int(i)] for i in self.item], np.int64)
 
     def run(self) -> list[list[int]]:
         improved = True
-        while improved and self.steps > 0:
+        while improved:
             improved = False
-            for a in sorted(range(len(self.open)), key=self.fill.__getitem__):
-                while self.open[a] and self.steps > 0 and self._improve(a):
+            for a in np.argsort(self.fill, kind="stable").tolist():
+                while self.open[a] and self._improve(a):
                     improved = True
         return self.full + [b for b in self.open if b]
 
-    def _swap(self, a: int, give: list[int], b: int, take: list[int]) -> bool:
-        for i in give:
-            self.open[a].remove(i)
-        for i in take:
-            self.open[b].remove(i)
-        self.open[a] += take
-        self.open[b] += give
-        shift = sum(self.size[i] for i in give) - sum(self.size[i] for i in take)
-        self.fill[a] -= shift
-        self.fill[b] += shift
-        return True
+    def _swap(self, a: int, give: list[int], b: int, take: list[int]) -> None:
+        """Places ``give`` of bin a and ``take`` of bin b change sides."""
+        for places, source, target in ((give, a, b), (take, b, a)):
+            for at in places:
+                self.open[source].remove(int(self.item[at]))
+                self.open[target].append(int(self.item[at]))
+                self.bin[at] = target
+                self.fill[source] -= self.size[at]
+                self.fill[target] += self.size[at]
 
     def _improve(self, a: int) -> bool:
         """One change that takes tokens out of bin ``a`` into a bin at least as full."""
-        own = sorted(self.open[a], key=lambda i: -self.size[i])
-        others = sorted((b for b in range(len(self.open)) if b != a and self.open[b] and self.capacity > self.fill[b] >= self.fill[a]), key=lambda b: self.fill[b] - self.capacity)
-        self.steps -= 1 + len(others) // 64
-        for i in own:  # move one
-            for b in reversed(others):
-                if self.size[i] <= self.capacity - self.fill[b]:
-                    return self._swap(a, [i], b, [])
-        for i in own:  # one for one
-            best = max(((gain, b, j) for b in others for j in self.open[b] if 0 < (gain := self.size[i] - self.size[j]) <= self.capacity - self.fill[b]), default=None)
-            if best:
-                return self._swap(a, [i], best[1], [best[2]])
-        for i, k in combinations(own[-12:], 2):  # two for one
-            both = self.size[i] + self.size[k]
-            for b in others:
-                for j in self.open[b]:
-                    if 0 < both - self.size[j] <= self.capacity - self.fill[b]:
-                        return self._swap(a, [i, k], b, [j])
-        return False
+        fits = (self.fill >= self.fill[a]) & (self.fill < self.capacity)
+        fits[a] = False
+        room = np.where(fits, self.capacity - self.fill, 0)
+        most = int(room.max(initial=0))
+        if not most:
+            return False
+        own = sorted((self.place[i] for i in self.open[a]), key=lambda at: (-self.size[at], at))
+        sizes = self.size[own]
+        movable = np.flatnonzero(sizes <= most)
+        if len(movable):  # the largest that has room elsewhere goes to the bin it fills best
+            at = own[movable[0]]
+            self._swap(a, [at], int(np.where(room >= self.size[at], room, self.capacity + 1).argmin()), [])
+            return True
+        # The smallest item that can make way for a size, for every size.
+        among = np.flatnonzero(room[self.bin])
+        limit = np.minimum(self.size[among] + room[self.bin[among]], 2 * self.capacity)
+        smallest = np.full(2 * self.capacity + 2, 2 * self.capacity + 1)
+        smallest[limit] = self.size[among]  # the last one written is the smallest
+        smallest = np.minimum.accumulate(smallest[::-1])[::-1]
+        gain = sizes - smallest[sizes]
+        if gain.max() > 0:  # one for one
+            give = [own[int(gain.argmax())]]
+        else:  # two for one
+            distinct, first = np.unique(sizes, return_index=True)
+            twice = np.flatnonzero(sizes[:-1] == sizes[1:])
+            i, k = np.triu_indices(len(distinct), 1)
+            left, right = np.concatenate([first[i], twice]), np.concatenate([first[k], twice + 1])
+            both = sizes[left] + sizes[right]
+            gain = both - smallest[both]
+            if not len(both) or gain.max() <= 0:
+                return False
+            best = int(gain.argmax())
+            give = [own[left[best]], own[right[best]]]
+        total = int(self.size[give].sum())
+        take = among[np.flatnonzero((limit >= total) & (self.size[among] == smallest[total]))[0]]
+        self._swap(a, give, int(self.bin[take]), [int(take)])
+        return True
 
 
 def pack_block(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -188,7 +216,8 @@ def pack_block(sizes: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray
 def _packed(rows: DataFrame, capacity: int, block_rows: int, first_block: int) -> tuple[DataFrame, int]:
     count = rows.count()
     blocks = max(1, -(-count // block_rows))
-    dealt = rows.withColumn("_block", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(blocks)) + first_block)
+    # The row's number in its files deals repeated rows to all blocks.
+    dealt = rows.withColumn("_block", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32", F.monotonically_increasing_id()), F.lit(blocks)) + first_block)
 
     def pack(block: pa.Table) -> pa.Table:
         block = block.sort_by([("length", "descending"), ("doc_id", "ascending"), ("piece", "ascending"), ("ids_crc32", "ascending")])

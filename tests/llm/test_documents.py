@@ -105,6 +105,35 @@ def test_local_search_never_loses_and_improves_squares():
         assert sum(sizes[b].sum() ** 2 for b in after) > (sizes**2).sum()
 
 
+def test_local_search_frees_bins_that_best_fit_leaves():
+    rng = np.random.default_rng(3)
+    triples = []
+    for _ in range(400):
+        a = int(rng.integers(257, 450))
+        b = int(rng.integers(257, 768 - a))
+        triples += [a, b, 1024 - a - b]
+    for sizes, least in ((np.array(triples), 20), (rng.integers(200, 401, 4000), 20), (rng.integers(340, 521, 2000), 0)):
+        first = packing.best_fit(sizes, 1024)
+        after = packing.LocalSearch(sizes, [list(b) for b in first], 1024).run()
+        assert sorted(i for b in after for i in b) == list(range(len(sizes))) and all(sizes[b].sum() <= 1024 for b in after)
+        assert len(after) <= len(first) - least
+        # Nothing is left to move or to exchange, by trying everything.
+        open_bins = sorted((b for b in after if sizes[b].sum() < 1024), key=lambda b: sizes[b].sum())
+        for a in open_bins[:: max(1, len(open_bins) // 10)]:
+            for b in open_bins:
+                fill = sizes[b].sum()
+                if b is not a and fill >= sizes[a].sum():
+                    gives = {int(sizes[i]) for i in a} | {int(sizes[i] + sizes[k]) for i in a for k in a if i < k}
+                    assert not any(0 < give - take <= 1024 - fill for give in gives for take in sizes[b]) and min(sizes[a]) > 1024 - fill
+
+
+def test_repeated_rows_are_dealt_to_all_blocks(spark):
+    rows = spark.range(6000).selectExpr("1L AS doc_id", "0 AS piece", "0L AS start", "300L AS length", "7L AS ids_crc32")
+    packed = packing.pack(rows, block_rows=500).toPandas()
+    assert len(packed) == 6000 and packed.sequence_id.nunique() <= 2000 + 24
+    assert (packed.sequence_id // 2**32).value_counts().max() <= 750
+
+
 # Source mix
 
 
