@@ -9,7 +9,10 @@ A source's slots come within few blocks of its target; the rest is settled word
 on where its last slot ended, or stops that much earlier, so every source gets its target to the word.
 
 Both running sums (words before a document, slots before a slot) go over buckets first and rows
-second, so a source with a third of all rows is spread over all buckets and no task holds a source.
+second, so a source with a third of all rows is spread over all buckets and no task holds a source. Buckets are ranges of the
+shuffle's hash, and there are as many as the rows ask for. Rows with equal id and text are numbered, per part of the table
+first, and the number enters the hash, so repeated rows are spread as well. A slot finds its source among those of its
+bin of the range. Windows over all sources hold one row a source.
 
 Targets: every source gets its weight's share of the total, stops at ``max_epochs`` times its own
 size, and the excess goes to the others by weight until none is above.
@@ -65,10 +68,11 @@ def schedule(targets: DataFrame, block_words: int, chunk: int = 1 << 14) -> Data
     shares = targets.withColumn("_to", F.sum("target").over(upper) / F.lit(max(total, 1.0)) * RANGE_32)
     shares = shares.withColumn("_to", F.when(F.lead("_place").over(Window.orderBy("_place")).isNull(), F.lit(float(RANGE_32))).otherwise(F.col("_to")))
     shares = shares.withColumn("_from", F.coalesce(F.lag("_to").over(Window.orderBy("_place")), F.lit(0.0)))
-    # One row per source, kept as a sorted array that slots search: its size is the number of sources.
-    bounds = shares.agg(F.array_sort(F.collect_list(F.struct("_to", "_place"))).alias("_bounds"))
-    slots = spark.range(n).select(F.col("id").alias("slot"), ((F.col("id") * GOLDEN_32) % RANGE_32).cast("double").alias("_point"))
-    slots = slots.join(F.broadcast(bounds)).select("slot", F.expr("filter(_bounds, b -> b._to > _point)[0]._place").alias("_place"))
+    # Bins, a few for each source: a source is in the bins that its share touches, a slot in that of its point.
+    bin_width = RANGE_32 >> min(30, max(8, (4 * targets.count()).bit_length()))
+    bins = shares.where("_from < _to").select("_place", "_from", "_to", F.explode(F.expr(f"sequence(cast(_from AS bigint) div {bin_width}, cast(ceil(_to) - 1 AS bigint) div {bin_width})")).alias("_bin"))
+    slots = spark.range(n).select(F.col("id").alias("slot"), ((F.col("id") * GOLDEN_32) % RANGE_32).alias("_point")).withColumn("_bin", F.expr(f"_point div {bin_width}"))
+    slots = slots.join(bins, "_bin").where("_point >= _from AND _point < _to").select("slot", "_place")
     slots = slots.withColumn("_chunk", F.expr(f"slot div {chunk}"))
     per_chunk = slots.groupBy("_place", "_chunk").count()
     earlier = Window.partitionBy("_place").orderBy("_chunk").rowsBetween(Window.unboundedPreceding, -1)
@@ -77,7 +81,18 @@ def schedule(targets: DataFrame, block_words: int, chunk: int = 1 << 14) -> Data
     return slots.withColumn("_within", within).join(offsets, ["_place", "_chunk"]).select("slot", "_place", (F.col("_before") + F.col("_within")).alias("rank"))
 
 
-def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (1, 2, 3), max_epochs: int = 3, block_words: int = 256, buckets: int = 1024, seed: int = 0, shuffle_by: tuple[str, ...] | None = None) -> DataFrame:
+def _numbered(sized: DataFrame) -> DataFrame:
+    """``sized`` with ``_number``, 0.. among the rows of one ``_key``: places in a part of the table, after those of earlier parts."""
+    rows = sized.withColumn("_row", F.monotonically_increasing_id()).withColumn("_part", F.shiftright("_row", 33))
+    earlier = Window.partitionBy("_key").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    counts = rows.groupBy("_key", "_part").agg(F.count(F.lit(1)).alias("_n")).select(F.col("_key").alias("_k"), F.col("_part").alias("_p"), F.coalesce(F.sum("_n").over(earlier), F.lit(0)).alias("_first"))
+    later = counts.where("_first > 0")
+    place = F.row_number().over(Window.partitionBy("_key", "_part").orderBy("_row")) - 1
+    found = rows.withColumn("_in", place).join(later, (F.col("_key") == F.col("_k")) & (F.col("_part") == F.col("_p")), "left")
+    return found.withColumn("_number", F.col("_in") + F.coalesce("_first", F.lit(0))).drop("_row", "_part", "_in", "_k", "_p", "_first")
+
+
+def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[float, ...] = (1, 2, 3), max_epochs: int = 3, block_words: int = 256, bucket_rows: int = 1 << 16, seed: int = 0, shuffle_by: tuple[str, ...] | None = None) -> DataFrame:
     """One row per input row: id, ``size``, ``source_size``, ``target``, ``taken``.
 
     ``block_words`` are the words of one slot, whatever the corpus' size. A source's taken words are its target,
@@ -87,13 +102,15 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     sized = materialize(sized, "mix-sized")
     targets = materialize(source_targets(sized, weights, max_epochs), "mix-targets")
     small = targets.select(F.col("_source").alias("_s"), "_place", "source_size", "target")
-    rows = sized.join(small, F.col("_source").eqNullSafe(F.col("_s"))).withColumn("_bucket", F.pmod("_key", F.lit(buckets)))
+    bits = max(6, (sized.count() // bucket_rows).bit_length())
+    rows = _numbered(sized).withColumn("_key", F.xxhash64("_key", "_number")).withColumn("_bucket", F.shiftrightunsigned("_key", 64 - bits))
+    rows = materialize(rows.join(small, F.col("_source").eqNullSafe(F.col("_s"))).drop("_s", "_source"), "mix-rows")
 
     per_bucket = rows.groupBy("_place", "_bucket").agg(F.sum("_size").alias("_words"))
     earlier = Window.partitionBy("_place").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
     offsets = per_bucket.select("_place", "_bucket", F.coalesce(F.sum("_words").over(earlier), F.lit(0)).alias("_before"))
-    inside = Window.partitionBy("_place", "_bucket").orderBy("_key", "_id").rowsBetween(Window.unboundedPreceding, -1)
-    placed = rows.withColumn("_inner", F.coalesce(F.sum("_size").over(inside), F.lit(0))).withColumn("_order", F.row_number().over(Window.partitionBy("_place", "_bucket").orderBy("_key", "_id")))
+    order = Window.partitionBy("_place", "_bucket").orderBy("_key", "_id")
+    placed = rows.withColumn("_inner", F.coalesce(F.sum("_size").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).withColumn("_order", F.row_number().over(order))
     placed = placed.join(offsets, ["_place", "_bucket"]).withColumn("_start", F.col("_before") + F.col("_inner"))
     placed = materialize(placed.select("_id", "_place", "_size", "source_size", "target", "_bucket", "_order", "_start"), "mix-placed")
 

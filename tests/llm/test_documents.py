@@ -177,6 +177,26 @@ def test_every_source_gets_its_target(spark, documents, odd):
     assert mixed == dict.fromkeys((-1, -2, -3, -4), 3)
 
 
+def test_repeated_rows_are_spread_and_many_sources_found(spark):
+    from pyspark.sql import functions as F
+
+    same = spark.range(50_000).selectExpr("1L AS doc_id", "'a b c' AS text", "if(id % 2 = 0, 'x', 'y') AS source")
+    sized = same.select(F.lit(3).alias("_key"), F.col("source"))
+    numbers = source_mix._numbered(sized.repartition(5)).groupBy("_number").count()
+    assert numbers.count() == 50_000 and numbers.agg(F.max("_number")).first()[0] == 49_999
+    got = source_mix.mix(same, bucket_rows=1000).groupBy("source_size").agg(F.sum("taken").alias("taken"), F.max("taken").alias("most"))
+    assert [(r.source_size, r.most) for r in got.collect()] == [(75_000, 6)] and got.first().taken == 150_000
+    many = spark.range(3000).selectExpr("id AS doc_id", "repeat('w ', cast(1 + id % 40 AS int)) AS text", "concat('s', id % 500) AS source")
+    per = source_mix.mix(many, block_words=16).join(many.select("doc_id", "source"), "doc_id").groupBy("source").agg(F.sum("taken").alias("taken"), F.first("target").alias("target"))
+    assert all(r.taken == int(r.target + 0.5) for r in per.collect())
+    points = [(i * source_mix.GOLDEN_32) % source_mix.RANGE_32 for i in range(400)]
+    targets = spark.createDataFrame([(k, float(k % 7)) for k in range(300)], "_place int, target double")
+    ends = np.cumsum([k % 7 for k in range(300)]) / sum(k % 7 for k in range(300)) * source_mix.RANGE_32
+    got = {r.slot: (r._place, r.rank) for r in source_mix.schedule(targets, 2).collect()}
+    place = [int(np.searchsorted(ends, x, "right")) for x in points]
+    assert all(got[i] == (place[i], place[:i].count(place[i])) for i in range(400))
+
+
 def test_mixed_documents(documents):
     mixed = source_mix.mixed_documents(documents)
     assert mixed.columns == documents.columns
