@@ -40,11 +40,9 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import materialize, raw_texts
+from .shared import STEP, materialize, mixed, raw_texts
 
 FOLD = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
-#: Odd constants of a public 64-bit mixing function.
-MIX_1, MIX_2, STEP = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 #: Sizes below this use one segment per shingle, so that enough segments are occupied for certain.
 FINE_BELOW = 64
 MEMO_ENTRIES = 500_000
@@ -56,12 +54,6 @@ BLOCK_SHINGLES = 1 << 20
 BROADCAST_ROWS = 100_000
 
 
-def mixed(x: np.ndarray) -> np.ndarray:
-    x = (x ^ (x >> np.uint64(30))) * MIX_1
-    x = (x ^ (x >> np.uint64(27))) * MIX_2
-    return x ^ (x >> np.uint64(31))
-
-
 class _WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
         value = xxhash.xxh3_64_intdigest(word)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -11,6 +12,8 @@ from pyspark.sql import functions as F
 from ..storage import settled, shared_dir  # noqa: F401
 from ..storage import staged as materialize  # noqa: F401
 
+#: Odd constants of a public 64-bit mixing function.
+MIX_1, MIX_2, STEP = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 LOWER = UPPER.lower()
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -27,3 +30,10 @@ def raw_texts(column: pa.Array | pa.ChunkedArray) -> Iterator[bytes]:
     column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
     for value in column.cast(pa.large_binary()):
         yield value.as_py() or b""
+
+
+def mixed(x: np.ndarray) -> np.ndarray:
+    """A public one-to-one mixing of 64-bit numbers."""
+    x = (x ^ (x >> np.uint64(30))) * MIX_1
+    x = (x ^ (x >> np.uint64(27))) * MIX_2
+    return x ^ (x >> np.uint64(31))

@@ -7,9 +7,10 @@ from collections import Counter, defaultdict
 import numpy as np
 import public_tokenizers
 import pytest
+import xxhash
 from tokenizers import Tokenizer
 
-from ordering_engine.llm import components, exact_dedup, imatch, language_id, packing, parity_join, source_mix, token_counts
+from ordering_engine.llm import components, exact_dedup, imatch, language_id, packing, parity_join, shared, source_mix, token_counts
 
 PATH = public_tokenizers.path("byte_bpe_50k.json")
 LIBRARY = Tokenizer.from_file(PATH)
@@ -323,6 +324,68 @@ def test_fingerprints(odd, none, documents):
     assert imatch.fingerprints(none).count() == 0
 
 
+def plain_fingerprint(raw, words, seed=0):
+    """The fingerprint term by term and subset by subset, in whole numbers."""
+    mask = (1 << 64) - 1
+
+    def mix(x):
+        x = ((x ^ x >> 30) * int(shared.MIX_1)) & mask
+        x = ((x ^ x >> 27) * int(shared.MIX_2)) & mask
+        return x ^ x >> 31
+
+    def section(chosen, groups):
+        out = ""
+        for k in range(groups * imatch.PER_GROUP):
+            salt, least = mix((k + 1 + seed * 1_000_003) * int(shared.STEP) & mask), int(imatch.SHARES[k // imatch.PER_GROUP] * 2**64)
+            inside = [xxhash.xxh64_intdigest(t) for t in sorted(chosen)]
+            inside = [h for h in inside if mix(h ^ salt) < least]
+            out += xxhash.xxh64_hexdigest(b"".join(h.to_bytes(8, "little") for h in inside))[:4] if inside else "----"
+        return out
+
+    own = imatch.terms(raw)
+    known = own & set(words)
+    return section(known, 5) + ("+" + section(own, 2) if len(known) < 4 else "")
+
+
+def plain_likeness(a, b):
+    if a == b:
+        return 1.0
+    found = [0.0]
+    for x, y in zip(a.split("+"), b.split("+")):
+        for g in range(0, len(x), 128):
+            cells = [(x[k : k + 4], y[k : k + 4]) for k in range(g, g + 128, 4)]
+            cells = [c for c in cells if c != ("----", "----")]
+            if len(cells) >= 16:
+                found.append(sum(p == q for p, q in cells) / len(cells))
+    return max(found)
+
+
+def test_fingerprints_against_plain_python(documents, odd):
+    for docs in (documents.where("doc_id % 4 = 0"), odd.where("doc_id is null or doc_id <> 2")):
+        given = sorted(docs.select("doc_id", "text").collect(), key=lambda r: -(r.doc_id if r.doc_id is not None else -(1 << 63)))
+        texts = [(r.text or "").encode() for r in given]
+        df = Counter(t for raw in texts for t in imatch.terms(raw))
+        words = sorted(t for t, n in df.items() if max(2, 0.001 * len(texts)) <= n <= 0.1 * len(texts))
+        got = {r.doc_id: r for r in imatch.fingerprints(docs).collect()}
+        for r, raw, after in zip(given, texts, texts[1:] + texts[:1]):
+            text, row = raw.decode(), got[r.doc_id]
+            edited = (text[: len(text) - len(text) // 2] + after.decode()[: len(text) // 2]).encode()
+            own, changed, other = (plain_fingerprint(x, words) for x in (raw, edited, after))
+            assert (row.fingerprint, row.edited_fingerprint) == (own, changed)
+            assert row.near_edited == plain_likeness(own, changed) and row.near_next == plain_likeness(own, other)
+
+
+def test_ranges_of_repeated_ids():
+    rng = np.random.default_rng(4)
+    pairs = [(int(rng.integers(0, 6)), int(rng.integers(-3, 3))) for _ in range(200)]
+    pairs += [(2, k) for k in range(50)]
+    tops = sorted(set(pairs[::17]) | {max(pairs)})
+    places = imatch._Ranges(tops).places(*(np.array([p[c] for p in pairs]) for c in (0, 1)))
+    for pair, got in zip(pairs, places):
+        own = len(tops) - 1 - next(k for k, t in enumerate(tops) if t >= pair)
+        assert got == [2 * own] + ([2 * ((own - 1) % len(tops)) + 1] if pair in tops else [])
+
+
 def test_lexicon_counts_all_documents(documents):
     texts = [r.text.encode() for r in documents.collect()]
     df = Counter(t for raw in texts for t in imatch.terms(raw))
