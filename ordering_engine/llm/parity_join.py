@@ -12,14 +12,19 @@ document (in one common order: most shingles first) at least two are shared. Doc
 buckets of equal segment words. Each document is in its own band and, if near its lower edge, in the
 band below.
 
-No bucket is expanded into all pairs. First every member is paired with the bucket's least only; pairs
+No bucket is expanded into all pairs of rows. First every member is paired with the bucket's least only; pairs
 that pass the sketch bound are verified on the whole sets, and verified links are joined to components.
 A bucket whose members are one component is settled. A pair left open shares two unsettled buckets,
-so only members of two of them stay. Inside an unsettled bucket, in blocks, these are compared by
-sketches; what leaves it is which components may link, at most one row per component, and which sets
-have a possible partner. Components that may link form a group, to which each such set goes once,
+so only members of two of them stay. Inside an unsettled bucket these are compared by
+sketches; what leaves it is which components may link, at most one row per component and block, and which sets
+have a possible partner. Components that may link form a group, to which each such set goes,
 whole; there pairs are compared by finer sketches and then exactly, unless their components have met
-already. So no link between components is lost, and no step makes more rows than it has members.
+already. So no link between components is lost.
+
+A bucket's least comes from a combining aggregation, and its members find it by a join that adaptive execution splits
+where a bucket is hot; so are the pairs of a hub split, which meet the leaf's set first and the hub's last. A bucket or group over
+the size of a block is dealt into blocks, and each pair of blocks is a task's work of its own: m members in blocks of b
+are sent to m / b places, so of a bucket that stays unsettled the work grows with the square of its members, while no task holds more than two blocks.
 
 Equal sets are one class from the start: a task emits the segments of a set once.
 
@@ -36,11 +41,11 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import STEP, materialize, mixed, raw_texts
+from .shared import STEP, materialize, mixed, raw_texts, settled
 
 FOLD = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 #: Sizes below this use one segment per shingle, so that enough segments are occupied for certain.
@@ -160,11 +165,12 @@ def document_sets(docs: DataFrame, id_col: str, text_col: str, width: int, bands
 
 
 def buckets(sets: DataFrame) -> DataFrame:
-    """Members of buckets that hold two sets or more: ``word``, ``d1``, ``least`` (the bucket's), ``members``."""
+    """Members of buckets that hold two sets or more: ``word``, ``d1``, ``least`` (the bucket's), each once."""
     rows = sets.select(F.explode("words").alias("word"), "d1")
-    own = Window.partitionBy("word")
-    found = rows.withColumn("least", F.min("d1").over(own)).withColumn("most", F.max("d1").over(own)).where("least < most")
-    return found.groupBy("word", "d1").agg(F.min("least").alias("least"))
+    shared = rows.groupBy("word").agg(F.min("d1").alias("least"), F.max("d1").alias("_most")).where("least < _most").select("word", "least")
+    # Written before the next aggregation, which would forbid splitting the partition of a hot word.
+    found = materialize(rows.join(shared, "word"), "join-members")
+    return found.groupBy("d1", "word").agg(F.min("least").alias("least")).select("word", "d1", "least")
 
 
 def _near(pairs: DataFrame, sketches: DataFrame, bands: Bands) -> DataFrame:
@@ -212,7 +218,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, id_col: str, t
     """The pairs of digests whose whole sets link."""
     pairs = materialize(pairs, "join-candidates")
     whole = _whole_sets(pairs.select(F.col("a").alias("d1")).union(pairs.select("b")).distinct(), sets, docs, id_col, text_col, width)
-    both = pairs.join(whole.select(F.col("d1").alias("b"), F.col("s").alias("t")), "b").join(whole.select(F.col("d1").alias("a"), "s"), "a")
+    both = pairs.join(whole.select(F.col("d1").alias("a"), "s"), "a").join(whole.select(F.col("d1").alias("b"), F.col("s").alias("t")), "b")
     common = F.size(F.array_intersect("s", "t"))
     return both.where(common * bands.den >= (F.size("s") + F.size("t") - common) * bands.num).select("a", "b")
 
@@ -331,17 +337,15 @@ def _arrays(column: pa.ListArray) -> list[np.ndarray]:
     return [flat[a:b].copy() for a, b in zip(cuts, cuts[1:], strict=False)]
 
 
-def linked_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 80, den: int = 100) -> DataFrame:
-    """One row per document: id, ``n_shingles``, ``component_id`` (the smallest id reachable by links)."""
-    bands = Bands(num, den)
-    sets = materialize(document_sets(docs, id_col, text_col, width, bands), "join-sets-by-document")
-    met = materialize(buckets(sets), "join-buckets")
+def _components_of_sets(sets: DataFrame, docs: DataFrame, id_col: str, text_col: str, width: int, bands: Bands) -> DataFrame:
+    """``node``, ``root``: the component, by its least digest, of every set that links with another."""
+    met = settled(docs.sparkSession, lambda: buckets(sets), "join-buckets")
     involved = met.select("d1").distinct()
     sketches = sets.where("sketch is not null").join(involved, "d1", "left_semi").groupBy("d1").agg(F.min("n").alias("n"), F.min("sketch").alias("sketch"))
     sketches = materialize(sketches, "join-sketches")
 
     stars = materialize(met.where("d1 > least").select(F.col("d1").alias("a"), F.col("least").alias("b")).distinct(), "join-stars")
-    links = materialize(_verified(_near(stars, sketches, bands), sets, docs, id_col, text_col, width, bands), "join-links")
+    links = settled(docs.sparkSession, lambda: _verified(_near(stars, sketches, bands), sets, docs, id_col, text_col, width, bands), "join-links")
     roots = components(links, "join-rounds")
 
     labelled = met.join(roots.withColumnRenamed("node", "d1"), "d1", "left").withColumn("root", F.coalesce("root", "d1"))
@@ -364,7 +368,14 @@ def linked_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     link = lambda own, d, root, s, i, j: bucket_links(d, root, own, s, i, j, bands)
     more = materialize(_by_group(possible.join(sizes, "group"), "group", "shingles", BLOCK_SHINGLES, ["d1", "root", "s"], link, "a bigint, b bigint").distinct(), "join-more-links")
     roots = components(links.unionByName(more), "join-rounds")
-    roots = materialize(roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct()), "join-roots")
+    return roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
+
+
+def linked_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 80, den: int = 100) -> DataFrame:
+    """One row per document: id, ``n_shingles``, ``component_id`` (the smallest id reachable by links)."""
+    spark, bands = docs.sparkSession, Bands(num, den)
+    sets = materialize(document_sets(docs, id_col, text_col, width, bands), "join-sets-by-document")
+    roots = settled(spark, lambda: _components_of_sets(sets, docs, id_col, text_col, width, bands), "join-roots")
 
     rows = sets.where("n > 0").select("_id", "n", "d1", "d2").join(roots.withColumnRenamed("node", "d1"), "d1", "left")
     # A set without links is a class by its whole digest.
