@@ -11,7 +11,10 @@ Collision checks go over all distinct values: two values with one surrogate, or
 a value of the corpus, draw again with the next attempt number, the smallest value staying, until none is left. Values that
 differ in letter case only are one value, and their surrogates differ in letter case only.
 Texts are cut at their entities, the entities' surrogates are looked up by a join on the value, and the
-pieces are put together; only texts with entities take part.
+pieces are put together; only texts with entities take part. Where a text names a person in full or with a title, the parts of that name
+are replaced wherever else the text has them as words of their own, so that who is meant stays clear and the name is gone.
+
+The key is secret: without one each call draws its own, and with one replacements agree between calls.
 
 Defined results: a null text stays null and has no entities; texts without entities stay as they are;
 repeated rows are treated alike; an empty table gives an empty result; other columns are kept or ignored by
@@ -20,6 +23,9 @@ the caller, whatever their names.
 
 from __future__ import annotations
 
+import hashlib
+import secrets
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -37,6 +43,7 @@ TITLES = "Mr|Mrs|Ms|Miss|Herr|Frau|Mme|Sra|Sr"
 GIVEN = "|".join(FOUND_FEMALE + FOUND_MALE)
 #: A part of a name: a capitalised word (also O'Neil, McDonald, Weber-Braun) or an initial; words between parts that tell nobody.
 WORD = r"\p{Lu}(?:['’]\p{Lu})?\p{Ll}+(?:\p{Lu}\p{Ll}+)*(?:-\p{Lu}\p{Ll}+)*"
+WORD_SQL = WORD.replace("'", "\\u0027")
 INITIAL = r"\b[A-Z]\."
 PARTICLE = r"(?:(?:von|van|vom|zu|zur|der|den|de|del|della|di|da|dos|du|la|le) ){1,3}"
 NAME = rf"(?:{INITIAL} )*(?:{PARTICLE})?{WORD}(?: (?:{PARTICLE})?{WORD}| {INITIAL})*"
@@ -163,8 +170,17 @@ def surrogate_table(values: DataFrame, key: str, most_rounds: int = 50) -> DataF
     raise RuntimeError("a type has more distinct values than its format has surrogates")
 
 
-def replace_entities(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", key: str = "key", whole_names: bool = False) -> DataFrame:
-    """One row per input row: id, ``text`` with surrogates, ``n_entities``. ``whole_names``: with a given name, the words that follow it are replaced too."""
+def _mentions(gap: str) -> str:
+    """SQL: a stretch between entities with the words that are parts of the text's names (map ``_own``) replaced."""
+    return f"array_join(zip_with(split({gap}, r'{WORD_SQL}', -1), regexp_extract_all({gap}, r'{WORD_SQL}', 0), (g, w) -> concat(g, coalesce(_own[w], w, ''))), '')"
+
+
+def replace_entities(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", key: str | None = None, whole_names: bool = True) -> DataFrame:
+    """One row per input row: id, ``text`` with surrogates, ``n_entities``.
+
+    With ``whole_names`` the words that follow a given name are replaced too; without, only the given name is.
+    """
+    secret = hashlib.sha256((key or secrets.token_hex(32)).encode()).hexdigest()
     found = any_pattern(whole_names)
     read = docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("_text"))
     # The full pattern is tried only on texts with a digit, an at sign or a word that leads a name.
@@ -174,9 +190,13 @@ def replace_entities(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     held = materialize(held, "surrogates-texts").withColumn("_n", F.size("_found"))
     places = held.select("_row", F.posexplode("_found").alias("_at", "_entity")).select("_row", "_at", F.posexplode(parts_of(F.col("_entity"))).alias("_part", "_piece")).select("_row", "_at", "_part", "_piece.*")
     values = places.select("value").distinct().withColumn("kind", kind_of(F.col("value")))
-    table = surrogate_table(materialize(values, "surrogates-values"), key)
-    new = places.join(table.select("value", "surrogate"), "value").groupBy("_row").agg(F.array_sort(F.collect_list(F.struct("_at", "_part", "lead", "surrogate"))).alias("_new"))
+    table = surrogate_table(materialize(values, "surrogates-values"), secret)
+    new = places.join(table, "value").groupBy("_row").agg(F.array_sort(F.collect_list(F.struct("_at", "_part", "lead", "surrogate", "kind", "value"))).alias("_new"))
+    names = "filter(_new, x -> x.kind IN ('surname', 'male', 'female'))"
+    new = new.withColumn("_own", F.expr(f"map_from_entries(array_distinct(transform({names}, x -> struct(x.value, x.surrogate))))"))
     # Before the first part of an entity comes the text since the last one.
-    woven = held.join(new, "_row").withColumn("_gaps", F.split("_text", found, -1))
+    woven = held.join(new, "_row").withColumn("_between", F.split("_text", found, -1))
+    woven = woven.withColumn("_gaps", F.expr(f"IF(size(_own) = 0, _between, transform(_between, gap -> {_mentions('gap')}))"))
     text = F.expr("concat(array_join(transform(_new, x -> concat(IF(x._part = 0, _gaps[x._at], ''), x.lead, x.surrogate)), ''), _gaps[_n])")
-    return untouched.unionByName(woven.select(F.col("_id").alias(id_col), text.alias("text"), F.col("_n").alias("n_entities")))
+    more = F.expr(f"IF(size(_own) = 0, 0, aggregate(_between, 0, (n, gap) -> n + size(filter(regexp_extract_all(gap, r'{WORD_SQL}', 0), w -> _own[w] IS NOT NULL))))")
+    return untouched.unionByName(woven.select(F.col("_id").alias(id_col), text.alias("text"), (F.col("_n") + more).alias("n_entities")))

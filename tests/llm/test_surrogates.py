@@ -22,7 +22,7 @@ def luhn(s):
 
 def test_replacements(spark):
     docs = spark.createDataFrame(TEXTS, "doc_id bigint, text string").withColumn("kind", F.lit("x")).withColumn("surrogate", F.lit(1))
-    got = [tuple(r) for r in surrogates.replace_entities(docs, key="k1").collect()]
+    got = [tuple(r) for r in surrogates.replace_entities(docs, key="k1", whole_names=False).collect()]
     assert len(got) == len(TEXTS)
     text = {i: t for i, t, n in got if i not in (6, 7)}
     assert text[5] is None and (6, "", 0) in got and (6, "nothing here 2.0.", 0) in got
@@ -36,7 +36,7 @@ def test_replacements(spark):
     assert names and names[1] == names[5] != "Smith" and names[3] in surrogates.FEMALE and names[4] in surrogates.MALE
     russian = {t for i, t, n in got if i == 7}
     assert len(russian) == 1 and re.fullmatch(r"Mr [А-Я][а-я]+ wrote", russian.pop()) and re.fullmatch(r"\d{3}-\d{2}-\d{4}", text[None])
-    other = {r.doc_id: r.text for r in surrogates.replace_entities(docs, key="k2").collect()}
+    other = {r.doc_id: r.text for r in surrogates.replace_entities(docs, key="k2", whole_names=False).collect()}
     assert other[3] != text[3]
     assert surrogates.replace_entities(docs.where("doc_id < 0")).count() == 0
 
@@ -84,6 +84,39 @@ def test_whole_names_and_more_formats(spark):
     assert re.fullmatch(r"ghp_[a-z]{26}\d{10} password: [a-z]{6}\d[a-z]\d[a-z]", got[6][0]) and "abcdef" not in got[6][0] and "hunter" not in got[6][0]
 
 
+def test_persons_stay_one_and_their_names_go(spark):
+    """Against the names the texts were made from: one surrogate a part, none for two, nothing left."""
+    import itertools
+    import random
+
+    rng = random.Random(5)
+    families = [a + b for a, b in itertools.product(("Kra", "Ober", "Sand", "Wil", "Hart"), ("mann", "berg", "son", "feld", "lin", "stein"))]
+    given = surrogates.FOUND_FEMALE + surrogates.FOUND_MALE
+    rows, parts = [], []
+    for k in range(60):
+        first, last, other = rng.choice(given), *rng.sample(families, 2)
+        rows.append((k, f"{first} {last} wrote to {rng.choice(('Mr', 'Frau', 'Ms'))} {other}. Then {last} and {other} agreed; Ms {last} said \"{last}'s\" house, not {last}ville, was {first}'s. The end, {other}!"))
+        parts.append((first, last, other))
+    got = {r.doc_id: r for r in surrogates.replace_entities(spark.createDataFrame(rows, "doc_id bigint, text string"), key="k").collect()}
+    word, new = r"([A-Z][a-z]+)", {}
+    for (k, text), (first, last, other) in zip(rows, parts):
+        pattern = re.escape(text)
+        for name in (first, last, other):
+            pattern = re.sub(rf"\b{name}\b", lambda m: word, pattern)
+        order = re.findall(rf"\b(?:{first}|{last}|{other})\b", text)
+        match = re.fullmatch(pattern, got[k].text)
+        assert match and got[k].n_entities == 8, got[k]
+        for old, surrogate in zip(order, match.groups()):
+            assert new.setdefault(old, surrogate) == surrogate != old
+    assert len(set(new.values())) == len(new) and not set(new) & set(new.values())
+
+
+def test_without_a_key_each_call_draws_one(spark):
+    docs = spark.createDataFrame([(1, "call +1 (017) 555-7713 or write to ann@mail.com")], "doc_id bigint, text string")
+    assert surrogates.replace_entities(docs).first().text != surrogates.replace_entities(docs).first().text
+    assert surrogates.replace_entities(docs, key="it's").first() == surrogates.replace_entities(docs, key="it's").first()
+
+
 def test_corpus_keeps_distinctness_and_coreference(spark, documents):
     rows = {r.doc_id: r.text for r in documents.collect()}
     got = surrogates.replace_entities(documents)
