@@ -53,9 +53,9 @@ def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     identity = lambda c: F.struct(F.coalesce(c.cast("string"), F.lit("")).alias("id"), c.isNull().alias("none"))
     found = groups(docs, id_col, text_col, keep, normalise).select(identity(F.col("keep_id")).alias("_row_id"), F.col("_hash").alias("_row_hash"))
     text = NORMALISE[normalise](F.coalesce(F.col(text_col), F.lit("")))
-    rows = docs.withColumn("_row_id", identity(F.col(id_col))).withColumn("_row_hash", md5_128(text))
+    rows = docs.select(F.struct("*").alias("_doc"), identity(F.col(id_col)).alias("_row_id"), md5_128(text).alias("_row_hash"))
     kept = rows.join(found, ["_row_id", "_row_hash"], "left_semi").dropDuplicates(["_row_id", "_row_hash"])
-    return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
+    return kept.select("_doc.*")
 
 
 ORACLE_SQL = """

@@ -397,4 +397,5 @@ def one_per_class(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     go = classes.where(~least).select(F.col(id_col).alias("_go")).distinct()
     go = materialize(go.join(stay, F.col("_go").eqNullSafe(F.col("_stay")), "left_anti"), "join-dropped")
     side = F.broadcast(go) if go.count() <= BROADCAST_ROWS else go
-    return docs.join(side, F.col(id_col).eqNullSafe(F.col("_go")), "left_anti")
+    rows = docs.select(F.struct("*").alias("_doc"), F.col(id_col).alias("_id"))
+    return rows.join(side, F.col("_id").eqNullSafe(F.col("_go")), "left_anti").select("_doc.*")

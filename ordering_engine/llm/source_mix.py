@@ -134,11 +134,13 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     return settled.select(F.col("_id").alias(id_col), F.col("_size").alias("size"), "source_size", "target", F.col("taken").cast("long").alias("taken"))
 
 
-def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **options) -> DataFrame:
     """``docs`` as the mix takes them: each row as many times as its taken words go into its size, rounded; a row without words stays once."""
-    numbered = materialize(docs.withColumn("_mix_row", F.struct(F.spark_partition_id(), F.monotonically_increasing_id())), "mix-docs")
-    counted = mix(numbered, "_mix_row", text_col, shuffle_by=(id_col, text_col), **options)
+    # The documents' own columns stay in one, so that none can clash with those of the mix.
+    numbered = docs.select(F.struct("*").alias("_doc"), F.col(id_col).alias("_id"), F.col(text_col).alias("_text"), F.col(source_col).alias("_source"))
+    numbered = materialize(numbered.withColumn("_mix_row", F.monotonically_increasing_id()), "mix-docs")
+    counted = mix(numbered, "_mix_row", "_text", "_source", shuffle_by=("_id", "_text"), **options)
     times = F.when(F.col("size") == 0, F.lit(1)).otherwise(F.round(F.col("taken") / F.col("size")).cast("int"))
     counted = counted.select(F.col("_mix_row").alias("_row"), times.alias("_times")).where("_times > 0")
     joined = numbered.join(counted, F.col("_mix_row") == F.col("_row"))
-    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    return joined.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_times")))).select("_doc.*")
