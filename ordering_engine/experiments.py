@@ -2,74 +2,96 @@
 
 Every function returns a long table (method, input, p, n, n_over_p, startups, words, time, imbalance, verdict).
 ``time`` is the counted cost alpha * startups + beta * words of the ledger, in units of one word's transfer; wall clock
-belongs to ``bench.py``.
+belongs to ``bench.py``. To it come ``time_per_load`` (time over n/p, the published axis), ``to_best`` (time over the
+best method's of the same input and load) and, in ablations, ``ratio`` (time over the reference method's).
+
+All inputs and loads of one method and number of PEs run as machines side by side in one plan, so an experiment takes one run per method,
+whatever its number of cases.
 """
 
 from __future__ import annotations
 
-from functools import reduce
+from functools import partial, reduce
+from itertools import product
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .plans import bitonic, costs, gather, gridrank, kway, medians, placement, quicksort, samplesort, verify
+from .plans import bitonic, gather, gridrank, kway, medians, placement, quicksort, samplesort, verify
 from .sources import inputs
 from .sources.io import table
+from .storage import staged
 
 #: A startup costs as much as so many words.
 ALPHA, BETA = 1000.0, 1.0
+#: A PE that would hold more than so many times the mean runs out of memory.
+CAPACITY = 8.0
 
 METHODS = {
-    "gather_merge": lambda s, p: gather.gather_merge_sort(s, p),
-    "all_gather_merge": lambda s, p: gather.all_gather_merge_sort(s, p),
-    "grid_rank": lambda s, p: gridrank.grid_rank_sort(s, p),
-    "bitonic": lambda s, p: bitonic.bitonic_sort(s, p),
-    "robust_cube_quicksort": lambda s, p: quicksort.robust_cube_quicksort(s, p),
-    "plain_cube_quicksort": lambda s, p: quicksort.plain_cube_quicksort(s, p),
-    "kway_cube": lambda s, p: kway.kway_cube_sort(s, p),
-    "multilevel": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=2),
-    "multilevel_noties": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=2, ties=False),
-    "multilevel_noplan": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=2, plan="prefix"),
-    "multilevel_bounded": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=2, plan="bounded"),
-    "multilevel_l3": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=3),
-    "multilevel_noplan_l3": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=3, plan="prefix"),
-    "multilevel_bounded_l3": lambda s, p: samplesort.multilevel_samplesort(s, p, levels=3, plan="bounded"),
-    "direct": lambda s, p: samplesort.direct_samplesort(s, p),
+    "gather_merge": gather.gather_merge_sort,
+    "all_gather_merge": gather.all_gather_merge_sort,
+    "grid_rank": gridrank.grid_rank_sort,
+    "bitonic": bitonic.bitonic_sort,
+    "robust_cube_quicksort": quicksort.robust_cube_quicksort,
+    "plain_cube_quicksort": quicksort.plain_cube_quicksort,
+    "kway_cube": kway.kway_cube_sort,
+    "multilevel": partial(samplesort.multilevel_samplesort, levels=2),
+    "multilevel_noties": partial(samplesort.multilevel_samplesort, levels=2, ties=False),
+    "multilevel_noplan": partial(samplesort.multilevel_samplesort, levels=2, plan="prefix"),
+    "multilevel_bounded": partial(samplesort.multilevel_samplesort, levels=2, plan="bounded"),
+    "multilevel_l3": partial(samplesort.multilevel_samplesort, levels=3),
+    "multilevel_noplan_l3": partial(samplesort.multilevel_samplesort, levels=3, plan="prefix"),
+    "multilevel_bounded_l3": partial(samplesort.multilevel_samplesort, levels=3, plan="bounded"),
+    "direct": samplesort.direct_samplesort,
     # Delivery alone: splitters that are known beforehand, for uniform keys.
-    "direct_given": lambda s, p: samplesort.direct_samplesort(s, p, splitters=[i * inputs.V // p for i in range(1, p)]),
+    "direct_given": lambda s, p, cubes=1: samplesort.direct_samplesort(s, p, splitters=[i * inputs.V // p for i in range(1, p)], cubes=cubes),
 }
 SCHEMA = "method string, input string, p int, n bigint, n_over_p double, startups bigint, words bigint, time double, imbalance double, verdict string"
 
 
+def summary(result: placement.SortResult, p: int) -> DataFrame:
+    """Per machine: ``startups`` and ``words`` (the largest of a step, summed), ``last`` (the largest final load), ``most`` (the largest load ever)."""
+    steps = result.ledger.groupBy(placement.cube_of(p).alias("cube"), "step").agg(F.max("startups").alias("s"), F.max(F.greatest("words_out", "words_in")).alias("w"), F.max("held_after").alias("h"))
+    return steps.groupBy("cube").agg(F.sum("s").alias("startups"), F.sum("w").alias("words"), F.max_by("h", F.when(F.col("h").isNotNull(), F.col("step"))).alias("last"), F.max("h").alias("most"))
+
+
 def measure(spark: SparkSession, d: str, cases: list[tuple[str, str, int, int | None]], base: str = "orders") -> DataFrame:
-    """Run (method, input, p, n) cases; the first n rows of the base table by dense uid, or all."""
+    """Run (method, input, p, n) cases; the first n rows of the base table by dense uid, or all. Cases that are equal are run once."""
     ids = {"orders": ["o_orderkey"], "lineitem": ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate"]}[base]
-    uids = placement.dense_uid(table(spark, d, base, ids), ids).select("uid").persist()
-    most, rows, made = uids.count(), [], {}
+    uids = staged(placement.dense_uid(table(spark, d, base, ids), ids).select("uid"), "uids")
+    most, runs, made, rows = uids.count(), {}, {}, []
     for method, name, p, n in cases:
-        n = most if n is None else min(n, most)
-        state = made.get((name, p, n))
-        if state is None:
-            state = made[(name, p, n)] = inputs.make(name, uids, p, n=n)
-        result = METHODS[method](state, p)
-        summed = costs.per_step(result.ledger).agg(F.sum("startups"), F.sum("words")).first()
-        starts, words = summed[0] or 0, summed[1] or 0
-        verdict = result.verdict if result.verdict != "ok" else verify.verdict(result.ledger, n, p)
-        imbalance = 0.0 if method == "all_gather_merge" else round(verify.imbalance(result.data, p), 4)
-        rows.append((method, name, p, n, n / p, starts, words, ALPHA * starts + BETA * words, imbalance, verdict))
-    uids.unpersist()
+        runs.setdefault((method, p), {})[(name, most if n is None else min(n, most))] = None
+    for (method, p), wanted in runs.items():
+        machines = tuple(wanted)
+        if (machines, p) not in made:
+            made[(machines, p)] = inputs.make_many(list(machines), uids, p)
+        result = METHODS[method](made[(machines, p)], p, cubes=len(machines))
+        for r in summary(result, p).collect():  # one row per machine
+            name, n = machines[r.cube]
+            stalled = r.cube in result.notes.get("stalled", ())
+            factor = lambda held: (held or 0) * p / n  # noqa: B023, E731
+            verdict = "no_progress" if stalled else "overflow" if factor(r.most) > CAPACITY else "imbalanced" if factor(r.most) > 2.0 else "ok"
+            imbalance = 0.0 if method == "all_gather_merge" else round(factor(r["last"]) - 1, 4)
+            rows.append((method, name, p, n, n / p, r.startups, r.words, ALPHA * r.startups + BETA * r.words, imbalance, verdict))
     return spark.createDataFrame(rows, SCHEMA)
 
 
-def vs_best(results: DataFrame) -> DataFrame:
-    return results.withColumn("to_best", F.col("time") / F.min("time").over(Window.partitionBy("input", "p", "n_over_p")))
+def time_per_load(results: DataFrame) -> DataFrame:
+    """With the time over the elements per PE, as published curves have it."""
+    return results.withColumn("time_per_load", F.col("time") / F.col("n_over_p"))
+
+
+def over(results: DataFrame, references: dict[str, str]) -> DataFrame:
+    """With ``ratio``: a method's time over that of the reference named for it, for the same input, p and load; null for others."""
+    base = results.select(F.col("method").alias("_m"), F.col("input").alias("_i"), F.col("p").alias("_p"), F.col("n").alias("_n"), F.col("time").alias("_t"))
+    named = F.create_map(*[F.lit(x) for pair in references.items() for x in pair])[F.col("method")]
+    same = (F.col("_m") == named) & (F.col("_i") == F.col("input")) & (F.col("_p") == F.col("p")) & (F.col("_n") == F.col("n"))
+    return results.join(base, same, "left").withColumn("ratio", F.col("time") / F.col("_t")).drop("_m", "_i", "_p", "_n", "_t")
 
 
-def ratio(results: DataFrame, a: str, b: str) -> DataFrame:
-    """Time of a over time of b for each input and load."""
-    x = results.where(F.col("method") == a).select("input", "n_over_p", F.col("time").alias("_a"))
-    y = results.where(F.col("method") == b).select("input", "n_over_p", F.col("time").alias("_b"))
-    return x.join(y, ["input", "n_over_p"]).select("input", "n_over_p", F.lit(f"{a} / {b}").alias("ratio"), (F.col("_a") / F.col("_b")).alias("value"))
+def vs_best(results: DataFrame) -> DataFrame:
+    return results.withColumn("to_best", F.col("time") / F.min("time").over(Window.partitionBy("input", "p", "n")))
 
 
 def fluctuation(runs: DataFrame) -> DataFrame:
@@ -77,31 +99,6 @@ def fluctuation(runs: DataFrame) -> DataFrame:
     return runs.groupBy("method").agg(((F.max("seconds") - F.min("seconds")) / F.median("seconds")).alias("fluctuation"))
 
 
-def size_sweep(spark, d, p: int = 16, loads=(1 / 4, 1, 16, 256), names=("uniform", "det_dupl"), methods=("gather_merge", "all_gather_merge", "grid_rank", "bitonic", "robust_cube_quicksort", "kway_cube", "multilevel")) -> DataFrame:
-    cases = [(m, i, p, max(1, int(x * p))) for i in names for x in loads for m in methods if not (m in ("grid_rank", "all_gather_merge") and x > 64)]
-    return vs_best(measure(spark, d, cases))
-
-
-def quicksort_robustness(spark, d, p: int = 16, n: int = 4096, names=("uniform", "bucket_sorted", "staggered", "det_dupl", "mirrored")) -> DataFrame:
-    return measure(spark, d, [(m, i, p, n) for i in names for m in ("robust_cube_quicksort", "plain_cube_quicksort")])
-
-
-def tie_ablation(spark, d, p: int = 16, n: int = 4096, names=("uniform", "rand_dupl", "zero")) -> DataFrame:
-    return measure(spark, d, [(m, i, p, n) for i in names for m in ("multilevel", "multilevel_noties")])
-
-
-def plan_ablation(spark, d, p: int = 64, n: int = 8192, names=("uniform", "all_to_one")) -> DataFrame:
-    return measure(spark, d, [(m, i, p, n) for i in names for m in ("multilevel_noplan", "multilevel_bounded")])
-
-
-def against_direct(spark, d, ps=(16, 64), n: int = 8192) -> DataFrame:
-    return measure(spark, d, [(m, "uniform", p, n) for p in ps for m in ("multilevel", "direct")])
-
-
-def verdict_matrix(spark, d, p: int = 16, n: int = 2048, names=inputs.NAMES, methods=("robust_cube_quicksort", "kway_cube", "multilevel", "multilevel_noties")) -> DataFrame:
-    return measure(spark, d, [(m, i, p, n) for i in names for m in methods])
-
-
 def mirrored_trace(spark, d, p: int = 16, n: int = 4096) -> DataFrame:
     """Largest load over the mean after each round of quicksort with exact medians on the mirrored input: up to sqrt(p)."""
     uids = placement.dense_uid(table(spark, d, "orders", ["o_orderkey"]), ["o_orderkey"])
@@ -110,31 +107,39 @@ def mirrored_trace(spark, d, p: int = 16, n: int = 4096) -> DataFrame:
     return verify.imbalance_trace(result.ledger, state.count(), p).select("step", F.round("factor", 4).alias("factor"))
 
 
-def median_fit(spark, d, sizes=(64, 128, 256, 512, 1024), seeds: int = 60, tree: str = "binary") -> DataFrame:
-    errors = medians.study(spark, list(sizes), seeds, tree=tree).groupBy("n").agg(F.avg("error").alias("error"))
-    return medians.fit(errors).select(F.lit(tree).alias("tree"), F.round("c", 3).alias("c"), F.round("gamma", 3).alias("gamma"))
+def median_fit(spark, d, sizes=(64, 128, 256, 512, 1024), seeds: int = 60, trees=(("binary", 2), ("binary", 4), ("binary", 8), ("ternary", 3))) -> DataFrame:
+    """Fit of the mean error by size, the bias, and of how many seeds, for binary trees of several window sizes and the tree of threes."""
+    parts = []
+    for tree, k in trees:
+        ranks = medians.study(spark, list(sizes), seeds, k if tree == "binary" else 2, tree)
+        per = ranks.groupBy("n").agg(F.avg("error").alias("error"))
+        truth = medians.bias(ranks).agg(F.round(F.avg("mean_over_half"), 6).alias("bias"))
+        parts.append(medians.fit(per).crossJoin(truth).select(F.lit(tree).alias("tree"), F.lit(k).alias("k"), F.round("c", 3).alias("c"), F.round("gamma", 3).alias("gamma"), "bias"))
+    return reduce(DataFrame.unionByName, parts)
 
 
-def parameter_grid(spark, d, p: int = 16, n: int = 4096, levels=(1, 2), oversample=(4, 16), overpartition=(1, 4)) -> DataFrame:
-    """Balance and cost of the multi-level method over its parameters."""
+def parameter_grid(spark, d, p: int = 16, levels=(1, 2), oversample=(4, 16), overpartition=(1, 4)) -> DataFrame:
+    """Balance and cost of the multi-level method over its parameters, on all rows of orders."""
     uids = placement.dense_uid(table(spark, d, "orders", ["o_orderkey"]), ["o_orderkey"])
-    state = inputs.make("uniform", uids, p, n=min(n, uids.count()))
-    rows = []
-    for l in levels:
-        for a in oversample:
-            for b in overpartition:
-                r = samplesort.multilevel_samplesort(state, p, l, a, b)
-                s = costs.per_step(r.ledger).agg(F.sum("startups"), F.sum("words")).first()
-                rows.append((l, a, b, s[0], s[1], round(verify.imbalance(r.data, p), 4)))
-    return spark.createDataFrame(rows, "levels int, oversample int, overpartition int, startups bigint, words bigint, imbalance double")
+    n, rows = uids.count(), []
+    state = inputs.make("uniform", uids, p, n=n)
+    for setting in product(levels, oversample, overpartition):
+        r = summary(samplesort.multilevel_samplesort(state, p, *setting), p).first()
+        time = ALPHA * r.startups + BETA * r.words
+        rows.append((*setting, r.startups, r.words, time, time / (n / p), round(r["last"] * p / n - 1, 4)))
+    return spark.createDataFrame(rows, "levels int, oversample int, overpartition int, startups bigint, words bigint, time double, time_per_load double, imbalance double")
 
 
 def whole_size_sweep(spark, d) -> DataFrame:
-    """All methods over loads from 3^-5 to all that the table has rows for, at three numbers of PEs; equal sizes once."""
-    inputs_of, methods = ("uniform", "bucket_sorted", "det_dupl", "staggered"), ("gather_merge", "all_gather_merge", "grid_rank", "bitonic", "robust_cube_quicksort", "kway_cube", "multilevel")
+    """All methods over loads from 3^-5 to all that the table has rows for; equal sizes once."""
+    names, methods = ("uniform", "bucket_sorted", "det_dupl", "staggered"), ("gather_merge", "all_gather_merge", "grid_rank", "bitonic", "robust_cube_quicksort", "kway_cube", "multilevel")
     loads = [3.0**-k for k in range(5, 0, -1)]
-    sizes = [(p, n) for p, most in ((16, 15), (64, 13), (256, 11)) for n in sorted({max(1, int(x * p)) for x in [*loads, *(2.0**k for k in range(most + 1))]})]
-    return vs_best(measure(spark, d, [(m, i, p, n) for i in inputs_of for p, n in sizes for m in methods], base="lineitem"))
+    sizes = [(p, n) for p, most in SWEEP for n in sorted({max(1, int(x * p)) for x in [*loads, *(2.0**k for k in range(most + 1))]})]
+    return time_per_load(vs_best(measure(spark, d, [(m, i, p, n) for i in names for p, n in sizes for m in methods], base="lineitem")))
+
+
+#: Numbers of PEs of the sweep over loads, and the power of two of the largest load.
+SWEEP = ((16, 15), (64, 13))
 
 
 def mirrored_traces(spark, d, ps=(16, 64)) -> DataFrame:
@@ -143,31 +148,25 @@ def mirrored_traces(spark, d, ps=(16, 64)) -> DataFrame:
     return reduce(DataFrame.unionByName, [mirrored_trace(spark, d, p, n).withColumn("p", F.lit(p)) for p in ps])
 
 
-def whole_parameter_grid(spark, d) -> DataFrame:
-    return parameter_grid(spark, d, n=table(spark, d, "orders", ["o_orderkey"]).count())
-
-
-def crossed(methods, names, ps, base: str = "orders"):
-    """Every method on every input at every p, over all rows of the table."""
-    return lambda spark, d: measure(spark, d, [(m, i, p, None) for p in ps for i in names for m in methods], base=base)
-
+def crossed(methods, names, ps, base: str = "orders", references: dict[str, str] | None = None):
+    """Every method on every input at every p, over all rows of the table; with ratios to reference methods."""
 
-def _registered(f, **options):
     def run(spark, d):
-        return f(spark, d, **options)
+        found = time_per_load(vs_best(measure(spark, d, [(m, i, p, None) for p in ps for i in names for m in methods], base=base)))
+        return over(found, references) if references else found
 
     return run
 
 
-#: Over all rows of their tables, with the inputs and methods of the survey's workloads; README tells how long a case takes.
+#: Over all rows of their tables, with the inputs and methods of the survey's workloads; README tells how long they take.
 QUERIES = {
     "exp_size_sweep": whole_size_sweep,
-    "exp_quicksort_robustness": crossed(("robust_cube_quicksort", "plain_cube_quicksort"), ("uniform", "bucket_sorted", "staggered", "det_dupl", "mirrored"), (16, 64)),
-    "exp_tie_ablation": crossed(("multilevel", "multilevel_noties"), ("uniform", "bucket_sorted", "staggered", "det_dupl", "zero"), (16,), "lineitem"),
-    "exp_plan_ablation": crossed(("multilevel_noplan_l3", "multilevel_bounded_l3"), ("uniform", "bucket_sorted", "staggered", "det_dupl", "all_to_one"), (64, 512), "lineitem"),
-    "exp_against_direct": crossed(("multilevel_l3", "direct", "direct_given"), ("uniform",), (16, 64, 256), "lineitem"),
+    "exp_quicksort_robustness": crossed(("robust_cube_quicksort", "plain_cube_quicksort"), ("uniform", "bucket_sorted", "staggered", "det_dupl", "mirrored"), (16, 64), references={"robust_cube_quicksort": "plain_cube_quicksort"}),
+    "exp_tie_ablation": crossed(("multilevel", "multilevel_noties"), ("uniform", "bucket_sorted", "staggered", "det_dupl", "zero"), (16,), "lineitem", {"multilevel": "multilevel_noties"}),
+    "exp_plan_ablation": crossed(("multilevel_noplan_l3", "multilevel_bounded_l3", "multilevel_l3"), ("uniform", "bucket_sorted", "staggered", "det_dupl", "all_to_one"), (64, 512), "lineitem", {"multilevel_l3": "multilevel_noplan_l3", "multilevel_bounded_l3": "multilevel_noplan_l3"}),
+    "exp_against_direct": crossed(("multilevel_l3", "direct", "direct_given"), ("uniform",), (16, 64, 256), "lineitem", {"direct": "multilevel_l3", "direct_given": "multilevel_l3"}),
     "exp_verdicts": crossed(METHODS, inputs.NAMES, (16,)),
     "exp_mirrored_trace": mirrored_traces,
-    "exp_parameter_grid": whole_parameter_grid,
-    "exp_median_fit": _registered(median_fit),
+    "exp_parameter_grid": parameter_grid,
+    "exp_median_fit": median_fit,
 }

@@ -77,17 +77,20 @@ def sort_columns(df: DataFrame, order) -> list[Column]:
 
 
 def global_rank(df: DataFrame, order, rank: str = "rank", tie: str | None = None, partitions: int | None = None) -> DataFrame:
-    """Dense 0-based ranks without a window over everything.
+    """Dense 0-based ranks by one range exchange, without a window.
 
-    One range exchange, then counts per partition, whose prefix sums (one row per partition) go to
-    every row. The tie column, if any, takes part in the exchange, so equal keys spread over partitions.
+    Rows are numbered where the exchange puts them, in sorted partitions; the prefix sums of the partitions' sizes (one row per
+    partition) go to every row. The tie column, or the row's place in the input where there is none, takes part in the exchange,
+    so equal keys spread over partitions.
     """
-    by = sort_columns(df, order) + ([F.col(tie).asc()] if tie else [])
-    n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     from ..storage import staged
 
-    dealt = staged(df.repartitionByRange(n, *by).withColumn("__part", F.spark_partition_id()), "rank")
+    n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    keyed = df if tie else df.withColumn("__tie", F.monotonically_increasing_id())
+    by = [*sort_columns(df, order), F.col(tie or "__tie").asc()]
+    dealt = keyed.repartitionByRange(n, *by).sortWithinPartitions(*by).drop("__tie").withColumn("__at", F.monotonically_increasing_id())
+    dealt = staged(dealt, "rank").withColumn("__part", F.shiftright("__at", 33))
     sizes = dealt.groupBy("__part").agg(F.count(F.lit(1)).alias("__n"))
     before = sizes.select("__part", F.coalesce(F.sum("__n").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("__before"))
-    local = F.row_number().over(Window.partitionBy("__part").orderBy(*by)) - 1
-    return dealt.withColumn("__local", local).join(F.broadcast(before), "__part").withColumn(rank, F.col("__before") + F.col("__local")).drop("__part", "__local", "__before")
+    local = F.col("__at").bitwiseAND(F.lit((1 << 33) - 1))
+    return dealt.join(F.broadcast(before), "__part").withColumn(rank, F.col("__before") + local).drop("__part", "__at", "__before")

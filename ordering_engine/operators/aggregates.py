@@ -5,24 +5,26 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.search import count_below
+
 
 def runs_of_equal(df: DataFrame, column: str) -> DataFrame:
     """Value and length of each run of equal values in sorted order: the sort-based form of grouping.
 
-    Partitions are ranges, so a value's run is inside one of them, and the count is taken there without a further exchange.
+    Equal values are counted in every task before they move, so a hot value is one row a task; the runs are then put in order.
     """
-    dealt = df.repartitionByRange(column)
-    return dealt.groupBy(column).agg(F.count(F.lit(1)).alias("run_length"))
+    runs = df.groupBy(column).agg(F.count(F.lit(1)).alias("run_length"))
+    return runs.repartitionByRange(column).sortWithinPartitions(column)
 
 
 def bucket_of(column: str, splitters: list[float]) -> Column:
-    """Number of splitters below the value: nested conditions for few, an array search for many."""
+    """Number of splitters below the value: nested conditions for few, a binary search for many."""
     if len(splitters) <= 16:
         out = F.lit(0)
         for s in sorted(splitters):
             out = out + (F.col(column) > s).cast("int")
         return out
-    return F.size(F.filter(F.array(*map(F.lit, sorted(splitters))), lambda s: s < F.col(column)))
+    return count_below(f"array({', '.join(f'{float(s)!r}D' for s in sorted(splitters))})", column)
 
 
 def bucket_counts(df: DataFrame, column: str, splitters: list[float]) -> DataFrame:

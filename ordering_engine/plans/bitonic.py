@@ -7,17 +7,19 @@ from pyspark.sql import functions as F
 
 from ..storage import staged
 from . import costs
-from .placement import SortResult, log2, ranked
+from .placement import SortResult, cube_of, log2, per_cube, ranked
 
 
-def bitonic_sort(state: DataFrame, p: int) -> SortResult:
+def bitonic_sort(state: DataFrame, p: int, cubes: int = 1) -> SortResult:
     """Blocks are filled up to equal size with sentinels above all keys, which are dropped at the end."""
     d, ledger, spark = log2(p), [], state.sparkSession
-    m = state.groupBy("pe").count().agg(F.max("count")).first()[0] or 0
+    loads = state.groupBy("pe").count()
+    top = {r.cube: r.m for r in loads.groupBy(cube_of(p).alias("cube")).agg(F.max("count").alias("m")).collect()}
+    m = per_cube([top.get(c, 0) for c in range(cubes)], p).cast("long")
     kind = state.schema["key"].dataType
-    every = spark.range(p).select(F.col("id").cast("int").alias("pe")).join(state.groupBy("pe").count(), "pe", "left").na.fill(0)
-    missing = every.where(f"count < {m}").withColumn("i", F.explode(F.expr(f"sequence(1, cast({m} - count AS int))")))
-    fill = missing.select("pe", F.lit(1).alias("cls"), F.lit(None).cast(kind).alias("key"), (-(F.col("pe").cast("long") * m + F.col("i"))).alias("uid"))
+    every = spark.range(p * cubes).select(F.col("id").cast("int").alias("pe")).join(loads, "pe", "left").na.fill(0).withColumn("_m", m)
+    missing = every.where("count < _m").withColumn("i", F.explode(F.expr("sequence(1L, _m - count)")))
+    fill = missing.select("pe", F.lit(1).alias("cls"), F.lit(None).cast(kind).alias("key"), (-(F.col("pe").cast("long") * F.col("_m") + F.col("i"))).alias("uid"))
     now = staged(state.select("pe", F.lit(0).alias("cls"), "key", "uid").unionByName(fill), "bitonic")
     step = 0
     for s in range(d):
@@ -27,9 +29,9 @@ def bitonic_sort(state: DataFrame, p: int) -> SortResult:
             place = F.row_number().over(Window.partitionBy(pair).orderBy("cls", "key", "uid"))
             low = (place <= m) == up
             moved = staged(now.withColumn("src", F.col("pe")).withColumn("pe", F.when(low, pair).otherwise(pair.bitwiseOR(F.lit(1 << j))).cast("int")), f"bitonic-{step}")
-            notes = costs.exchange_rows(moved, "bitonic_sort", step, p)
+            notes = costs.exchange_rows(moved, "bitonic_sort", step, p * cubes)
             # Compare-split sends the whole block, whatever part of it stays.
-            ledger.append(notes.withColumn("words_out", F.lit(m).cast("long")).withColumn("words_in", F.lit(m).cast("long")).withColumn("startups", F.lit(2).cast("long")))
+            ledger.append(notes.withColumn("words_out", m).withColumn("words_in", m).withColumn("startups", F.lit(2).cast("long")))
             now = moved.drop("src")
             step += 1
     return SortResult(ranked(now.where("cls = 0").select("pe", "key", "uid")), costs.union(ledger, spark))

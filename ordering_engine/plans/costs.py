@@ -13,6 +13,8 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .placement import per_cube
+
 COLUMNS = "method string, step int, pe int, startups bigint, words_out bigint, words_in bigint, held_after bigint"
 
 
@@ -22,20 +24,20 @@ def empty(spark: SparkSession) -> DataFrame:
 
 def exchange_rows(moved: DataFrame, method: str, step: int, p: int, dense: bool = False, words: int = 1) -> DataFrame:
     """Ledger of one exchange from rows with ``src`` and ``pe`` (their destination). ``dense``: every PE pays for all peers."""
-    sent = moved.groupBy("src", "pe").agg(F.count(F.lit(1)).alias("c"))
-    crossed = sent.where("src <> pe")
-    out = crossed.groupBy(F.col("src").alias("pe")).agg(F.count(F.lit(1)).alias("to"), F.sum("c").alias("wo"))
-    into = crossed.groupBy("pe").agg(F.count(F.lit(1)).alias("from"), F.sum("c").alias("wi"))
-    load = sent.groupBy("pe").agg(F.sum("c").alias("h"))
-    every = moved.sparkSession.range(p).select(F.col("id").cast("int").alias("pe"))
-    joined = every.join(out, "pe", "left").join(into, "pe", "left").join(load, "pe", "left").na.fill(0)
-    startups = F.lit(p - 1) if dense else F.col("to") + F.col("from")
-    return joined.select(F.lit(method).alias("method"), F.lit(step).alias("step"), "pe", startups.cast("long").alias("startups"), (F.col("wo") * words).cast("long").alias("words_out"), (F.col("wi") * words).cast("long").alias("words_in"), F.col("h").cast("long").alias("held_after"))
-
-
-def collective_rows(spark: SparkSession, method: str, step: int, p: int, rounds: int, words: int) -> DataFrame:
-    """Ledger of a collective: ``rounds`` startups on every PE and ``words`` both ways."""
-    return spark.range(p).select(F.lit(method).alias("method"), F.lit(step).alias("step"), F.col("id").cast("int").alias("pe"), F.lit(rounds).cast("long").alias("startups"), F.lit(words).cast("long").alias("words_out"), F.lit(words).cast("long").alias("words_in"), F.lit(None).cast("long").alias("held_after"))
+    sent = moved.groupBy("src", "pe").agg(F.count(F.lit(1)).alias("c")).withColumn("x", (F.col("src") != F.col("pe")).cast("long"))
+    # A pair of PEs counts at both of its ends; PEs without any part have a row of zeros.
+    ends = sent.select(F.explode(F.expr("array(struct(src AS pe, x AS n, x * c AS wo, 0L AS wi, 0L AS h), struct(pe AS pe, x AS n, 0L AS wo, x * c AS wi, c AS h))")).alias("e")).select("e.*")
+    every = moved.sparkSession.range(p).select(F.col("id").cast("int").alias("pe"), *[F.lit(0).cast("long").alias(c) for c in ("n", "wo", "wi", "h")])
+    per = ends.select(F.col("pe").cast("int").alias("pe"), "n", "wo", "wi", "h").unionByName(every).groupBy("pe").agg(*[F.sum(c).alias(c) for c in ("n", "wo", "wi", "h")])
+    startups = F.lit(p - 1) if dense else F.col("n")
+    return per.select(F.lit(method).alias("method"), F.lit(step).alias("step"), "pe", startups.cast("long").alias("startups"), (F.col("wo") * words).alias("words_out"), (F.col("wi") * words).alias("words_in"), F.col("h").alias("held_after"))
+
+
+def collective_rows(spark: SparkSession, method: str, step: int, p: int, rounds: int, words: int | list[int]) -> DataFrame:
+    """Ledger of a collective: ``rounds`` startups on every PE and ``words`` both ways (a list: those of machines side by side, p PEs in all)."""
+    words = words if isinstance(words, list) else [words]
+    sent = per_cube(words, p // len(words), "id").cast("long")
+    return spark.range(p).select(F.lit(method).alias("method"), F.lit(step).alias("step"), F.col("id").cast("int").alias("pe"), F.lit(rounds).cast("long").alias("startups"), sent.alias("words_out"), sent.alias("words_in"), F.lit(None).cast("long").alias("held_after"))
 
 
 def union(parts: list[DataFrame], spark: SparkSession) -> DataFrame:

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..storage import staged
 from . import costs
-from .placement import log2
+from .placement import local_positions, log2
 
 
 def subcube(pe: Column, dims: int) -> Column:
@@ -27,16 +27,20 @@ def with_bit(pe: Column, j: int, one: Column) -> Column:
 
 
 def run(state, p: int, step: Callable, descending: bool = True):
-    """Apply ``step(state, j)`` for every dimension, highest first unless told otherwise."""
+    """Apply ``step(state, j, number)`` for every dimension j, highest first unless told otherwise."""
     d = log2(p)
-    for j in range(d - 1, -1, -1) if descending else range(d):
-        state = step(state, j)
+    for number, j in enumerate(range(d - 1, -1, -1) if descending else range(d)):
+        state = step(state, j, number)
     return state
 
 
-def exchange(state: DataFrame, to: Column, method: str, step: int, p: int, ledger: list[DataFrame], dense: bool = False) -> DataFrame:
-    """Move rows to the PE ``to``, note it in the ledger and end the lineage. Extra columns of ``state`` travel along."""
-    moved = staged(state.withColumn("src", F.col("pe")).withColumn("pe", to.cast("int")), f"{method}-{step}")
+def exchange(state: DataFrame, to: Column, method: str, step: int, p: int, ledger: list[DataFrame], dense: bool = False, positions: bool = False) -> DataFrame:
+    """Move rows to the PE ``to``, note it in the ledger and end the lineage. Extra columns of ``state`` travel along.
+
+    With ``positions`` rows arrive sorted: ``pos`` and ``m`` are written with them, so the next step needs no shuffle for these.
+    """
+    moved = state.withColumn("src", F.col("pe")).withColumn("pe", to.cast("int"))
+    moved = staged(local_positions(moved) if positions else moved, f"{method}-{step}")
     ledger.append(costs.exchange_rows(moved, method, step, p, dense))
     return moved.drop("src")
 
@@ -47,7 +51,7 @@ def reduce(values: DataFrame, total: Column) -> DataFrame:
 
 
 def bcast(value: DataFrame, p: int) -> DataFrame:
-    """The one row on every PE."""
+    """The one row on every PE. Broadcasts here carry a row, or one per subcube: never more than p."""
     return value.sparkSession.range(p).select(F.col("id").cast("int").alias("pe")).join(F.broadcast(value))
 
 
@@ -76,11 +80,9 @@ def all_gather(values: DataFrame, p: int, most_rows: int = 1_000_000) -> DataFra
 def route(state: DataFrame, dst: str, p: int, method: str = "route", descending: bool = True, hops: bool = True) -> tuple[DataFrame, DataFrame]:
     """Rows at PE ``dst``: bit by bit with a ledger of every hop, or (``hops=False``) in one exchange."""
     ledger: list[DataFrame] = []
-    d = log2(p)
     if not hops:
         return exchange(state, F.col(dst), method, 0, p, ledger), ledger[0]
-    for step, j in enumerate(range(d - 1, -1, -1) if descending else range(d)):
-        state = exchange(state, with_bit(F.col("pe"), j, F.shiftright(dst, j).bitwiseAND(F.lit(1)) == 1), method, step, p, ledger)
+    state = run(state, p, lambda now, j, step: exchange(now, with_bit(F.col("pe"), j, F.shiftright(dst, j).bitwiseAND(F.lit(1)) == 1), method, step, p, ledger), descending)
     return state, costs.union(ledger, state.sparkSession)
 
 

@@ -48,19 +48,21 @@ def prefix(pieces: DataFrame, p: int, k: int) -> DataFrame:
     return _overlaps(senders, receivers)
 
 
-def bounded_messages(pieces: DataFrame, p: int, k: int) -> DataFrame:
-    """At most k small and 2k + 2 large messages to any receiver, and no more than its quota of elements.
+def bounded_messages(pieces: DataFrame, p: int, k: int, fan_out: int | None = None) -> DataFrame:
+    """At most k small and 2k + 2 large messages to any receiver, and no more than its quota of elements; k is the fan-out.
 
+    ``k`` groups share the p PEs; a level splits each set of PEs into ``fan_out`` of them (all, if not given).
     Pieces of at most quota / 2k elements are small: k consecutive ones go whole to each receiver,
     half its quota at most. The large ones and the rooms that are left are laid on one line, and
     where a piece and a room overlap there is a message.
     """
-    rooms = _receivers(pieces, p, k)
+    groups, k = k, fan_out or k
+    rooms = _receivers(pieces, p, groups)
     quota = rooms.select("grp", "quota").distinct()
     sized = pieces.where("cnt > 0").join(F.broadcast(quota), "grp")
     small = sized.where(F.col("cnt") * (2 * k) <= F.col("quota"))
     number = F.row_number().over(Window.partitionBy("grp").orderBy("src_pe")) - 1
-    small = small.withColumn("dst_pe", (F.col("grp") * (p // k) + F.floor(number / k)).cast("int"))
+    small = small.withColumn("dst_pe", (F.col("grp") * (p // groups) + F.floor(number / k)).cast("int"))
     used = small.groupBy("grp", "dst_pe").agg(F.sum("cnt").alias("used"))
     left = rooms.join(used, ["grp", "dst_pe"], "left").withColumn("room", F.col("quota") - F.coalesce("used", F.lit(0)))
     large = _line(sized.where(F.col("cnt") * (2 * k) > F.col("quota")), "cnt", "src_pe")
@@ -73,12 +75,26 @@ def fan_in(transfers: DataFrame) -> DataFrame:
     return transfers.groupBy("dst_pe").agg(F.countDistinct("src_pe").alias("senders"), F.sum(F.col("hi") - F.col("lo")).alias("received"))
 
 
-def choose(pieces: DataFrame, p: int, k: int) -> tuple[str, DataFrame]:
-    """The bounded plan only where the prefix plan would give some PE more than 8k messages per level, and more than k PEs could send."""
-    plan = prefix(pieces, p, k)
-    busiest = fan_in(plan).agg(F.max("senders")).first()[0] or 0
-    sent = plan.groupBy("src_pe").agg(F.countDistinct("dst_pe").alias("c")).agg(F.max("c")).first()[0] or 0
-    return ("bounded", bounded_messages(pieces, p, k)) if max(busiest, sent) > min(8 * k, 3 * k + 2) else ("prefix", plan)
+def choose(pieces: DataFrame, p: int, k: int, fan_out: int | None = None, cubes: int = 1) -> tuple[str, DataFrame]:
+    """The bounded plan for the machines where it helps, else the prefix plan.
+
+    It helps where the prefix plan gives some PE more messages than the bounded plan ever would, 3k + 2, and messages are
+    worth saving: from 8k elements a PE on, k being the fan-out.
+    """
+    fan, plan = fan_out or k, prefix(pieces, p, k)
+    per, groups = p // cubes, k // cubes
+    busiest = fan_in(plan).groupBy(F.expr(f"cast(dst_pe div {per} AS int)").alias("cube")).agg(F.max("senders").alias("c"))
+    sent = plan.groupBy("src_pe").agg(F.countDistinct("dst_pe").alias("c")).groupBy(F.expr(f"cast(src_pe div {per} AS int)").alias("cube")).agg(F.max("c").alias("c"))
+    load = pieces.groupBy(F.expr(f"cast(src_pe div {per} AS int)").alias("cube")).agg((F.sum("cnt") / per).alias("load"))
+    most = busiest.unionByName(sent).groupBy("cube").agg(F.max("c").alias("c")).join(load, "cube")
+    helped = [r.cube for r in most.where((F.col("c") > 3 * fan + 2) & (F.col("load") > 8 * fan)).select("cube").collect()]
+    if not helped:
+        return "prefix", plan
+    bounded = bounded_messages(pieces, p, k, fan_out)
+    if len(helped) == cubes:
+        return "bounded", bounded
+    inside = F.expr(f"cast(grp div {groups} AS int)").isin(helped)
+    return "mixed", bounded.where(inside).unionByName(plan.where(~inside))
 
 
 def apply(state: DataFrame, transfers: DataFrame) -> DataFrame:

@@ -9,20 +9,15 @@ from . import costs, cube
 from .placement import SortResult, log2, ranked
 
 
-def gather_merge_sort(state: DataFrame, p: int) -> SortResult:
+def gather_merge_sort(state: DataFrame, p: int, cubes: int = 1) -> SortResult:
     """Along a binomial tree: in round j the PEs with bit j as their lowest set bit send all they hold to the PE without it."""
     ledger: list[DataFrame] = []
     for j in range(log2(p)):
         low = F.col("pe").bitwiseAND(F.lit((1 << (j + 1)) - 1)) == (1 << j)
-        state = cube.exchange(state, F.when(low, F.col("pe") - (1 << j)).otherwise(F.col("pe")), "gather_merge_sort", j, p, ledger)
+        state = cube.exchange(state, F.when(low, F.col("pe") - (1 << j)).otherwise(F.col("pe")), "gather_merge_sort", j, p * cubes, ledger)
     return SortResult(ranked(state), costs.union(ledger, state.sparkSession))
 
 
-def gather_sorted(df: DataFrame, *by) -> DataFrame:
-    """The same for use: one partition, sorted. Only for inputs that one task can hold."""
-    return df.coalesce(1).sortWithinPartitions(*by)
-
-
 def all_gather_merge(state: DataFrame, p: int, tagged: bool = False) -> DataFrame:
     """Per PE the whole sorted input (pe, rank, key, uid), built round by round along the cube's dimensions.
 
@@ -39,11 +34,11 @@ def all_gather_merge(state: DataFrame, p: int, tagged: bool = False) -> DataFram
     return out.withColumn("side", side).drop("origin") if tagged else out.drop("origin")
 
 
-def all_gather_merge_sort(state: DataFrame, p: int) -> SortResult:
+def all_gather_merge_sort(state: DataFrame, p: int, cubes: int = 1) -> SortResult:
     """Every PE ends with all elements; the ledger has each round's doubling volume."""
     spark, ledger, d = state.sparkSession, [], log2(p)
     loads = state.groupBy("pe").count()
-    every = spark.range(p).select(F.col("id").cast("int").alias("pe")).join(loads, "pe", "left").na.fill(0)
+    every = spark.range(p * cubes).select(F.col("id").cast("int").alias("pe")).join(loads, "pe", "left").na.fill(0)
     for j in range(d):
         groups = every.groupBy(F.shiftright("pe", j).alias("g")).agg(F.sum("count").alias("own"))
         own = every.select("pe", F.shiftright("pe", j).alias("g")).join(F.broadcast(groups), "g")

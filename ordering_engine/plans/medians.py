@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import SPARK, uid_hash
+from ..functions.keys import global_rank
 from .placement import local_positions
 
 ROUNDS = 4
@@ -42,7 +43,7 @@ def leaf_windows(state: DataFrame, p: int, k: int, seed: int) -> DataFrame:
 def _fold(windows: DataFrame, levels: int, arity: int, keep: int) -> DataFrame:
     """Fold ``levels`` levels: groups of arity^levels neighbours become one window of ``keep`` middle elements."""
     group = arity**levels
-    packed = windows.groupBy(F.expr(f"cast(pe div {group} AS int)").alias("pe")).agg(F.array_sort(F.collect_list(F.struct("pe", "w"))).alias("_l"))
+    packed = windows.groupBy(F.expr(f"pe div {group}").alias("pe")).agg(F.array_sort(F.collect_list(F.struct("pe", "w"))).alias("_l"))
     ws = "transform(_l, x -> x.w)"
     for level in range(levels):
         packed = packed.withColumn(f"_w{level}", F.expr(ws))
@@ -74,20 +75,20 @@ def binary_tree(state: DataFrame, p: int, dims: int, k: int = 2, seed: int = 1)
     return w.where(F.expr(f"size({real}) > 0")).select(F.col("pe").alias("subcube"), F.expr(pick).alias("s"))
 
 
-def ternary_tree(state: DataFrame, p: int, dims: int | None = None, permute: bool = False, seed: int = 1) -> DataFrame:
+def ternary_tree(state: DataFrame, p: int, dims: int | None = None, permute: bool = True, seed: int = 1) -> DataFrame:
     """subcube, s: medians of three, passed up from single elements. ``dims`` None: one tree over everything.
 
-    Elements are the leaves, in PE and local order or randomly permuted; a tree whose size is no power of three is unbalanced.
+    Elements are the leaves, randomly permuted, as the bound on the error asks for; ``permute=False`` leaves them in PE and local
+    order. A tree whose size is no power of three is unbalanced; of two elements the smaller goes up.
     """
-    sub = F.lit(0) if dims is None else F.shiftright("pe", dims)
-    order = [uid_hash("uid", seed), F.col("uid")] if permute else [F.col("pe"), F.col("key"), F.col("uid")]
-    leaves = state.select(sub.alias("subcube"), "key", (F.row_number().over(Window.partitionBy(sub).orderBy(*order)) - 1).alias("leaf"))
-    while True:
-        triples = leaves.groupBy("subcube", F.expr("leaf div 3").alias("leaf")).agg(F.sort_array(F.collect_list("key")).alias("_v"))
-        leaves = triples.select("subcube", "leaf", F.expr("_v[cast(size(_v) div 2 AS int)]").alias("key"))
-        size = leaves.agg(F.max("leaf")).first()[0]
-        if not size:
-            return leaves.select("subcube", F.col("key").alias("s"))
+    subcubed = state.withColumn("subcube", (F.lit(0) if dims is None else F.shiftright("pe", dims)).cast("long"))
+    subcubed = subcubed.withColumn("_mix", uid_hash("uid", seed))
+    numbered = global_rank(subcubed.select("subcube", "pe", "key", "uid", "_mix"), ["subcube", "_mix"] if permute else ["subcube", "pe", "key"], tie="uid")
+    per = numbered.groupBy("subcube").agg(F.min("rank").alias("_first"), F.count(F.lit(1)).alias("_n"))
+    most = per.agg(F.max("_n")).first()[0] or 1
+    depth = next(d for d in range(64) if 3**d >= most)
+    leaves = numbered.join(F.broadcast(per), "subcube").select((F.col("subcube") * 3**depth + F.col("rank") - F.col("_first")).alias("pe"), F.array(F.struct(F.lit(0).alias("cls"), "key")).alias("w"))
+    return _tree(leaves, depth, 3, 1).select(F.col("pe").cast("int").alias("subcube"), F.col("w")[0]["key"].alias("s"))
 
 
 def _local_medians(state: DataFrame) -> DataFrame:
@@ -108,7 +109,7 @@ def random_pe(state: DataFrame, dims: int, seed: int = 1) -> DataFrame:
 
 
 def median_of_medians(state: DataFrame, dims: int) -> DataFrame:
-    """The median of the PEs' local medians, gathered."""
+    """The median of the PEs' local medians, gathered: one row per PE enters the window."""
     own = _local_medians(state).withColumn("subcube", F.shiftright("pe", dims))
     per = Window.partitionBy("subcube")
     place = own.withColumn("_r", F.row_number().over(per.orderBy("key", "pe"))).withColumn("_n", F.count(F.lit(1)).over(per))
@@ -116,10 +117,10 @@ def median_of_medians(state: DataFrame, dims: int) -> DataFrame:
 
 
 def exact(state: DataFrame, dims: int) -> DataFrame:
-    """The lower median itself."""
-    per = Window.partitionBy(F.shiftright("pe", dims))
-    place = state.withColumn("subcube", F.shiftright("pe", dims)).withColumn("_r", F.row_number().over(per.orderBy("key", "uid"))).withColumn("_n", F.count(F.lit(1)).over(per))
-    return place.where("_r = (_n + 1) div 2").select("subcube", F.col("key").alias("s"))
+    """The lower median itself, by ranks in the order of subcubes and keys."""
+    ranks = global_rank(state.select(F.shiftright("pe", dims).alias("subcube"), "key", "uid"), ["subcube", "key"], tie="uid")
+    per = ranks.groupBy("subcube").agg(F.min("rank").alias("_first"), F.count(F.lit(1)).alias("_n"))
+    return ranks.join(F.broadcast(per), "subcube").where("rank = _first + (_n + 1) div 2 - 1").select("subcube", F.col("key").alias("s"))
 
 
 def pivots(state: DataFrame, how: str, p: int, dims: int, k: int, seed: int) -> DataFrame:

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.keys import comparable, global_rank
@@ -42,6 +42,22 @@ def held(df: DataFrame, order, p: int, uid: str = "uid", sparse: bool = False) -
     return staged(keyed.select(pe.cast("int").alias("pe"), "key", "uid"), "held")
 
 
+def cube_of(p: int, pe: str = "pe") -> Column:
+    """Which of several machines of p PEs a PE is in; they work side by side in one plan, numbered one after the other."""
+    return F.expr(f"cast({pe} div {p} AS int)")
+
+
+def per_cube(values: list, p: int, pe: str = "pe") -> Column:
+    """The entry of a PE's machine in a list of one value each."""
+    return F.lit(values[0]) if len(values) == 1 else F.element_at(F.array(*map(F.lit, values)), cube_of(p, pe) + 1)
+
+
+def cube_sizes(state: DataFrame, p: int, cubes: int) -> list[int]:
+    """Number of elements of every machine."""
+    found = {r.cube: r.n for r in state.groupBy(cube_of(p).alias("cube")).agg(F.count(F.lit(1)).alias("n")).collect()}
+    return [found.get(c, 0) for c in range(cubes)]
+
+
 def local_positions(state: DataFrame, *tie: str) -> DataFrame:
     """1-based ``pos`` and ``m``, the sorted place of each element on its PE and the PE's load."""
     per = Window.partitionBy("pe")
@@ -49,12 +65,12 @@ def local_positions(state: DataFrame, *tie: str) -> DataFrame:
 
 
 def ranked(state: DataFrame) -> DataFrame:
-    """pe, rank, key, uid of a state that is sorted across PEs: counts of earlier PEs plus the local place."""
+    """pe, rank, key, uid of a state that is sorted across PEs: counts of earlier PEs plus the local place (``pos``, where the state has it)."""
     loads = state.groupBy("pe").agg(F.count(F.lit(1)).alias("m"))
     before = Window.orderBy("pe").rowsBetween(Window.unboundedPreceding, -1)
     offsets = loads.select("pe", F.coalesce(F.sum("m").over(before), F.lit(0)).alias("before"))
-    place = F.row_number().over(Window.partitionBy("pe").orderBy("key", "uid"))
-    return state.withColumn("pos", place).join(F.broadcast(offsets), "pe").select("pe", (F.col("before") + F.col("pos") - 1).alias("rank"), "key", "uid")
+    placed = state if "pos" in state.columns else state.withColumn("pos", F.row_number().over(Window.partitionBy("pe").orderBy("key", "uid")))
+    return placed.join(F.broadcast(offsets), "pe").select("pe", (F.col("before") + F.col("pos") - 1).alias("rank"), "key", "uid")
 
 
 def grid(p: int) -> tuple[int, int]:

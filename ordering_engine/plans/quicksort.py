@@ -11,41 +11,46 @@ from . import costs, cube, medians, shuffling, ties
 from .placement import SortResult, local_positions, log2, ranked
 
 
-def cube_quicksort(state: DataFrame, p: int, pivot: str = "first_pe", shuffle: str = "none", tie: str = "none", k: int = 2, seed: int = 1, method: str = "cube_quicksort") -> SortResult:
+def cube_quicksort(state: DataFrame, p: int, pivot: str = "first_pe", shuffle: str = "none", tie: str = "none", k: int = 2, seed: int = 1, method: str = "cube_quicksort", cubes: int = 1) -> SortResult:
     """Halve the elements of every subcube at a pivot, highest dimension first.
 
     In each round a PE's elements up to the pivot go to the side whose bit is 0, the others to the
     other side. ``pivot``: see ``medians.pivots``; ``shuffle``: none, direct or cube; ``tie``: none or local.
-    A subcube without elements has no pivot and takes no part.
+    A subcube without elements has no pivot and takes no part. A round shuffles and writes the elements once: they arrive sorted,
+    and pivots and splits come from summaries of a row per PE. ``cubes`` machines of p PEs sort side by side.
     """
-    d, ledger, splitters = log2(p), [], []
+    spark, d, ledger, splitters = state.sparkSession, log2(p), [], []
     if shuffle == "direct":
-        state = shuffling.direct(state, p, seed, ledger, 0, method)
-    elif shuffle == "cube":
-        state = shuffling.by_dimension(state, p, seed, ledger, 0, method)
-    base = len(ledger)
-    for j in range(d - 1, -1, -1):
+        at = shuffling.direct(state, p, seed, ledger, 0, method, cubes, positions=True)
+    else:
+        if shuffle == "cube":
+            state = shuffling.by_dimension(state, p, seed, ledger, 0, method, cubes=cubes)
         at = staged(local_positions(state), "local")
-        s = medians.pivots(at, pivot, p, j + 1, k, seed + 101 * (j + 1))
+    base = len(ledger)
+
+    def halve(at: DataFrame, j: int, number: int) -> DataFrame:
+        s = medians.pivots(at, pivot, p * cubes, j + 1, k, seed + 101 * (j + 1))
         s = staged(s.select(F.col("subcube").cast("int").alias("subcube"), "s"), "pivots")
         splitters.append(s.withColumn("dims", F.lit(j + 1)))
         # One row per subcube, never more than p / 2; without a pivot the elements keep together.
         held = at.withColumn("subcube", cube.subcube(F.col("pe"), j + 1)).join(F.broadcast(s), "subcube", "left")
         sided = (ties.local_split if tie == "local" else ties.keys_only)(held)
         words = {"median_of_medians": 1 << (j + 1)}.get(pivot, k)
-        ledger.append(costs.collective_rows(state.sparkSession, method, base + 2 * (d - 1 - j), p, j + 1, words))
-        state = cube.exchange(sided.select("pe", "key", "uid", "left"), cube.with_bit(F.col("pe"), j, ~F.coalesce("left", F.lit(True))), method, base + 2 * (d - 1 - j) + 1, p, ledger).drop("left")
-    spark = state.sparkSession
-    return SortResult(ranked(state), costs.union(ledger, spark), costs.union(splitters, spark) if splitters else None)
+        ledger.append(costs.collective_rows(spark, method, base + 2 * number, p * cubes, j + 1, words))
+        to = cube.with_bit(F.col("pe"), j, ~F.coalesce("left", F.lit(True)))
+        return cube.exchange(sided.select("pe", "key", "uid", "left"), to, method, base + 2 * number + 1, p * cubes, ledger, positions=True).drop("left")
+
+    at = cube.run(at, p, halve)
+    return SortResult(ranked(at), costs.union(ledger, spark), costs.union(splitters, spark) if splitters else None)
 
 
-def robust_cube_quicksort(state: DataFrame, p: int, k: int = 2, seed: int = 1, shuffle: str = "direct") -> SortResult:
-    return cube_quicksort(state, p, "binary_tree", shuffle, "local", k, seed, "robust_cube_quicksort")
+def robust_cube_quicksort(state: DataFrame, p: int, k: int = 2, seed: int = 1, shuffle: str = "direct", cubes: int = 1) -> SortResult:
+    return cube_quicksort(state, p, "binary_tree", shuffle, "local", k, seed, "robust_cube_quicksort", cubes)
 
 
-def plain_cube_quicksort(state: DataFrame, p: int, k: int = 2, seed: int = 1, shuffle: str = "none", tie: str = "none") -> SortResult:
+def plain_cube_quicksort(state: DataFrame, p: int, k: int = 2, seed: int = 1, shuffle: str = "none", tie: str = "none", cubes: int = 1) -> SortResult:
     """The robust method less its measures; the two switches also give the mixed forms."""
-    return cube_quicksort(state, p, "binary_tree", shuffle, tie, k, seed, "plain_cube_quicksort")
+    return cube_quicksort(state, p, "binary_tree", shuffle, tie, k, seed, "plain_cube_quicksort", cubes)
 
 
 def one_per_pe_quicksort(state: DataFrame, permute: bool = False, seed: int = 1, most_levels: int = 200) -> SortResult:

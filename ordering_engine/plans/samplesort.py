@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions.hashing import uid_hash
+from ..functions.search import count_below
 from ..storage import staged
 from . import costs, cube, delivery, shuffling
 from .gridrank import grid_rank
-from .placement import SortResult, local_positions, ranked
+from .placement import SortResult, cube_of, local_positions, ranked
 
 
 def fan_outs(p: int, levels: int) -> list[int]:
@@ -49,7 +53,7 @@ def assign(counts: list[int], k: int) -> list[int]:
 def splitter_table(state: DataFrame, group: str, k: int, oversample: int, overpartition: int, seed: int, tie: bool) -> DataFrame:
     """group, i, s: b*k - 1 splitters per group, every a-th of a*b*k sampled elements with their origins.
 
-    The sample is the elements of smallest hash. It is small, and ranked on the grid of its own size.
+    The sample is the elements of smallest hash: at most a*b*k per group, which the windows sort.
     """
     size = oversample * overpartition * k
     w = Window.partitionBy(group).orderBy(uid_hash("uid", seed), "uid")
@@ -67,71 +71,70 @@ def ranked_sample(sample: DataFrame, p: int = 16) -> DataFrame:
     return grid_rank(sample.withColumn("pe", F.col("pe") % p), p, unique=True)
 
 
-def multilevel_samplesort(state: DataFrame, p: int, levels: int | None = None, oversample: int = 16, overpartition: int = 4, eps: float = 0.1, ties: bool = True, plan: str = "auto", exchange: str = "sparse", seed: int = 1, method: str = "multilevel_samplesort") -> SortResult:
+def multilevel_samplesort(state: DataFrame, p: int, levels: int | None = None, oversample: int = 16, overpartition: int = 4, eps: float = 0.1, ties: bool = True, plan: str = "auto", exchange: str = "sparse", seed: int = 1, method: str = "multilevel_samplesort", cubes: int = 1) -> SortResult:
     """Each level splits every group of PEs k ways and moves the elements once.
 
-    Per level: sampled splitters with origins, b*k buckets, contiguous buckets to k groups with least
+    Per level: sampled splitters with origins, b*k buckets found by binary search, contiguous buckets to k groups with least
     largest load, a message plan (``prefix``, ``bounded`` or by need), the exchange. ``ties=False`` compares
     keys only: a level that leaves some group as it was is reported as ``no_progress``. ``exchange="dense"``
-    charges a startup for every peer, as in the bulk-synchronous model.
+    charges a startup for every peer, as in the bulk-synchronous model. ``cubes`` machines of p PEs sort side by side.
     """
-    spark, ledger, notes = state.sparkSession, [], {}
-    now, verdict, size = staged(state.select("pe", "key", "uid"), "levels"), "ok", p
-    outs = fan_outs(p, levels or default_levels(p))
+    spark, ledger, notes, stalled = state.sparkSession, [], {}, set()
+    at, size = staged(local_positions(state.select("pe", "key", "uid")), "levels"), p
     splitters = None
-    for level, k in enumerate(outs):
-        at = staged(local_positions(now).withColumn("group", F.expr(f"pe div {size}")), "level")
-        s = splitter_table(at, "group", k, oversample, overpartition, seed + level, ties)
-        splitters = staged(s, "splitters")
+    for level, k in enumerate(fan_outs(p, levels or default_levels(p))):
+        at = at.withColumn("group", F.expr(f"pe div {size}"))
+        splitters = staged(splitter_table(at, "group", k, oversample, overpartition, seed + level, ties), "splitters")
         # b * k splitters per group as one sorted array: p * b at most in all, bounded by the machine, not the data.
         arrays = splitters.groupBy("group").agg(F.sort_array(F.collect_list("s")).alias("ss"))
         own = F.struct("key", "pe", "pos") if ties else F.struct("key", F.lit(0).alias("pe"), F.lit(0).alias("pos"))
-        cut = at.withColumn("_own", own).join(F.broadcast(arrays), "group", "left")
-        bucket = F.coalesce(F.size(F.filter("ss", lambda x: x < F.col("_own"))), F.lit(0))
-        cut = staged(cut.select("pe", "key", "uid", "group", bucket.alias("bucket")), "buckets")
+        cut = at.withColumn("_own", own).join(F.broadcast(arrays), "group", "left").withColumn("bucket", count_below("ss", "_own"))
         sizes = {}
         for g, b, c in cut.groupBy("group", "bucket").agg(F.count(F.lit(1)).alias("c")).orderBy("group", "bucket").collect():
             sizes.setdefault(g, {})[b] = c
         rows = []
         for g, counts in sizes.items():
             dense = [counts.get(b, 0) for b in range(max(counts) + 1)]
-            to = assign(dense, k)
-            rows += [(g, b, g * k + t) for b, t in enumerate(to)]
+            rows += [(g, b, g * k + t) for b, t in enumerate(assign(dense, k))]
             if not ties and k > 1 and sum(1 for c in dense if c) == 1 and dense and sum(dense) > size:
-                verdict = "no_progress"
+                stalled.add(g * size // p)
         assigned = spark.createDataFrame(rows or [(0, 0, 0)], "group int, bucket int, grp int")
         placed = cut.join(F.broadcast(assigned), ["group", "bucket"])
-        gpos = F.row_number().over(Window.partitionBy("pe", "grp").orderBy("key", "uid")) - 1
-        placed = staged(placed.select("pe", "key", "uid", "grp", gpos.alias("gpos")), "placed")
-        pieces = placed.groupBy(F.col("pe").alias("src_pe"), "grp").agg(F.count(F.lit(1)).alias("cnt"))
-        parts = p // size * k
+        # A PE's buckets are ranges of its order, so the groups are too: a place in the piece is the place on the PE less that of the piece's first.
+        pieces = staged(placed.groupBy(F.col("pe").alias("src_pe"), "grp").agg(F.count(F.lit(1)).alias("cnt"), F.min("pos").alias("first")), "pieces")
+        parts = p * cubes // size * k
         if plan == "auto":
-            name, transfers = delivery.choose(pieces, p, parts)
+            name, transfers = delivery.choose(pieces.drop("first"), p * cubes, parts, k, cubes)
         else:
-            name, transfers = plan, (delivery.bounded_messages if plan == "bounded" else delivery.prefix)(pieces, p, parts)
+            name, transfers = plan, delivery.bounded_messages(pieces.drop("first"), p * cubes, parts, k) if plan == "bounded" else delivery.prefix(pieces.drop("first"), p * cubes, parts)
         notes[level] = name
-        routed = delivery.apply(placed, F.broadcast(staged(transfers, "transfers")))
-        ledger.append(costs.collective_rows(spark, method, 2 * level, p, max(1, size.bit_length() - 1), oversample * overpartition * k))
-        now = cube.exchange(routed.select("pe", "key", "uid", "to"), F.col("to"), method, 2 * level + 1, p, ledger, dense=exchange == "dense").drop("to")
+        found = staged(transfers.join(pieces.select("src_pe", "grp", "first"), ["src_pe", "grp"]).withColumn("lo", F.col("lo") + F.col("first")).withColumn("hi", F.col("hi") + F.col("first")), "transfers")
+        # Transfers are at most a few k per PE: p * k rows.
+        routed = delivery.apply(placed.withColumn("gpos", F.col("pos")), F.broadcast(found))
+        ledger.append(costs.collective_rows(spark, method, 2 * level, p * cubes, max(1, size.bit_length() - 1), oversample * overpartition * k))
+        at = cube.exchange(routed.select("pe", "key", "uid", "to"), F.col("to"), method, 2 * level + 1, p * cubes, ledger, dense=exchange == "dense", positions=True).drop("to")
         size //= k
-    return SortResult(ranked(now), costs.union(ledger, spark), splitters, verdict, notes)
+    notes["stalled"] = sorted(stalled)
+    return SortResult(ranked(at), costs.union(ledger, spark), splitters, "no_progress" if stalled else "ok", notes)
 
 
-def direct_samplesort(state: DataFrame, p: int, shuffle_first: bool = False, splitters: list | None = None, oversample: int = 16, seed: int = 1, method: str = "direct_samplesort") -> SortResult:
+def direct_samplesort(state: DataFrame, p: int, shuffle_first: bool = False, splitters: list | None = None, oversample: int = 16, seed: int = 1, method: str = "direct_samplesort", cubes: int = 1) -> SortResult:
     """One exchange: p - 1 splitters from a sample, or given ones, and every element to its final PE. Any p."""
     spark, ledger = state.sparkSession, []
     if shuffle_first:
-        state = shuffling.direct(state, p, seed, ledger, 0, method)
+        state = shuffling.direct(state, p, seed, ledger, 0, method, cubes)
+    cut = state.withColumn("group", cube_of(p))
     if splitters is None:
-        s = splitter_table(local_positions(state).withColumn("group", F.lit(0)), "group", p, oversample, 1, seed, True)
+        s = staged(splitter_table(cut.withColumn("pos", F.col("uid")), "group", p, oversample, 1, seed, True), "splitters")
         arrays = s.groupBy("group").agg(F.sort_array(F.collect_list("s.key")).alias("ss"))
-        ledger.append(costs.collective_rows(spark, method, len(ledger), p, p - 1, oversample * p))
+        ledger.append(costs.collective_rows(spark, method, len(ledger), p * cubes, p - 1, oversample * p))
     else:
         kind = state.schema["key"].dataType.simpleString()
-        arrays = spark.createDataFrame([(0, sorted(splitters))], f"group int, ss array<{kind}>")
-    cut = state.withColumn("group", F.lit(0)).join(F.broadcast(arrays), "group", "left")
-    to = F.coalesce(F.size(F.filter("ss", lambda x: x < F.col("key"))), F.lit(0))
-    now = cube.exchange(cut.select("pe", "key", "uid", to.alias("to")), F.col("to"), method, len(ledger), p, ledger).drop("to")
+        arrays = spark.createDataFrame([(c, sorted(splitters)) for c in range(cubes)], f"group int, ss array<{kind}>")
+    # p - 1 splitters, on every PE.
+    cut = cut.join(F.broadcast(arrays), "group", "left")
+    to = F.col("group") * p + count_below("ss", "key")
+    now = cube.exchange(cut.select("pe", "key", "uid", to.alias("to")), F.col("to"), method, len(ledger), p * cubes, ledger).drop("to")
     return SortResult(ranked(now), costs.union(ledger, spark))
 
 
@@ -143,19 +146,19 @@ def planned_sort(df: DataFrame, *by: str, partitions: int, tie: str | None = Non
     return dealt.sortWithinPartitions(*by)
 
 
-def two_level_sort(df: DataFrame, key: str, uid: str, groups: int, partitions: int, path: str) -> DataFrame:
+def two_level_sort(df: DataFrame, key: str, uid: str, groups: int, partitions: int, path: str, sample: int = 64) -> DataFrame:
     """For sizes where one exchange has too many blocks: key ranges to staged group folders, then each group sorted on its own.
 
-    The group bounds come from a quantile sketch of the key and the hash of the id, so a key held by
-    many rows is spread over groups as well. Reading a group back is a partition-pruned scan.
+    The group bounds are those of a bounded sample, ``sample`` rows of smallest hash per group, in the order of key and
+    hash of the id, so a key held by many rows is spread over groups as well. The first exchange has ``groups`` targets of a few tasks; then
+    every group is a pruned scan of its folder with an exchange of its own, and the groups follow each other in the result.
     """
-    spark = df.sparkSession
-    bounds = df.where(uid_hash(uid, 11) % 64 == 0).select(F.struct(F.col(key).alias("key"), uid_hash(uid, 7).alias("h")).alias("b"))
-    n = bounds.count()
-    place = F.row_number().over(Window.orderBy("b"))
-    chosen = bounds.withColumn("_i", place).where(F.expr(f"_i * {groups} div {max(n, 1)} > (_i - 1) * {groups} div {max(n, 1)}")).where(F.col("_i") < n)
-    arrays = chosen.agg(F.sort_array(F.collect_list("b")).alias("bs"))
-    own = F.struct(F.col(key).alias("key"), uid_hash(uid, 7).alias("h"))
-    keyed = df.join(F.broadcast(arrays)).withColumn("sort_group", F.size(F.filter("bs", lambda x: x < own))).drop("bs")
-    keyed.repartition("sort_group", F.pmod(uid_hash(uid, 13), F.lit(max(1, partitions // groups)))).write.partitionBy("sort_group").parquet(path)
-    return spark.read.parquet(path).repartitionByRange(partitions, "sort_group", key, uid_hash(uid, 7)).sortWithinPartitions("sort_group", key, uid).drop("sort_group")
+    spark, share = df.sparkSession, max(1, partitions // groups)
+    drawn = df.select(F.struct(F.col(key).alias("key"), uid_hash(uid, 7).alias("h")).alias("b"), uid_hash(uid, 11).alias("_draw")).orderBy("_draw", "b").limit(sample * groups)
+    arrays = drawn.agg(F.sort_array(F.collect_list("b")).alias("_all")).select(F.expr(f"transform(sequence(1, {groups}), i -> _all[cast(i * size(_all) div {groups} AS int) - 1])").alias("_bs"))
+    arrays = arrays.select(F.expr(f"slice(filter(_bs, x -> x IS NOT NULL), 1, {groups - 1})").alias("_bs"))  # one row of at most ``groups`` bounds
+    keyed = df.withColumn("_own", F.struct(F.col(key).alias("key"), uid_hash(uid, 7).alias("h"))).join(F.broadcast(arrays)).withColumn("sort_group", count_below("_bs", "_own")).drop("_bs", "_own")
+    keyed.repartition(F.col("sort_group"), F.pmod(uid_hash(uid, 13), F.lit(share))).write.partitionBy("sort_group").parquet(path)
+    whole = spark.read.schema(T.StructType([*df.schema.fields, T.StructField("sort_group", T.IntegerType())])).parquet(path)
+    each = [whole.where(F.col("sort_group") == g).drop("sort_group").repartitionByRange(share, key, uid_hash(uid, 7)).sortWithinPartitions(key, uid) for g in range(groups)]
+    return reduce(DataFrame.unionAll, each)

@@ -7,15 +7,16 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import uid_hash
 from . import costs, cube
-from .placement import local_positions, log2
+from .placement import cube_of, local_positions, log2
 
 
-def direct(state: DataFrame, p: int, seed: int = 1, ledger: list[DataFrame] | None = None, step: int = 0, method: str = "shuffle_direct") -> DataFrame:
-    """Each element to a random PE in one exchange: up to p startups a PE."""
-    return cube.exchange(state, uid_hash("uid", seed) % p, method, step, p, [] if ledger is None else ledger)
+def direct(state: DataFrame, p: int, seed: int = 1, ledger: list[DataFrame] | None = None, step: int = 0, method: str = "shuffle_direct", cubes: int = 1, positions: bool = False) -> DataFrame:
+    """Each element to a random PE (of its machine) in one exchange: up to p startups a PE."""
+    to = cube_of(p) * p + uid_hash("uid", seed) % p
+    return cube.exchange(state, to, method, step, p * cubes, [] if ledger is None else ledger, positions=positions)
 
 
-def by_dimension(state: DataFrame, p: int, seed: int = 1, ledger: list[DataFrame] | None = None, step: int = 0, method: str = "shuffle_cube", exact_halves: bool = False) -> DataFrame:
+def by_dimension(state: DataFrame, p: int, seed: int = 1, ledger: list[DataFrame] | None = None, step: int = 0, method: str = "shuffle_cube", exact_halves: bool = False, cubes: int = 1) -> DataFrame:
     """In each dimension a random half of each PE's elements changes sides: log p startups. For small inputs.
 
     A coin per element and dimension decides, or with ``exact_halves`` the lower half by hash.
@@ -25,10 +26,10 @@ def by_dimension(state: DataFrame, p: int, seed: int = 1, ledger: list[DataFrame
         if exact_halves:
             coin = local_positions(state.withColumn("_h", uid_hash("uid", seed + 17 * j)).withColumnRenamed("key", "_key").withColumnRenamed("_h", "key"))
             coin = coin.withColumn("_one", (F.col("pos") * 2 <= F.col("m")) == (F.shiftright("pe", j).bitwiseAND(F.lit(1)) == 0)).withColumnRenamed("key", "_h").withColumnRenamed("_key", "key").drop("_h", "pos", "m")
-            state = cube.exchange(coin, cube.with_bit(F.col("pe"), j, F.col("_one")), method, step + k, p, notes).drop("_one")
+            state = cube.exchange(coin, cube.with_bit(F.col("pe"), j, F.col("_one")), method, step + k, p * cubes, notes).drop("_one")
         else:
             one = F.shiftright(uid_hash("uid", seed + 17 * j), 7).bitwiseAND(F.lit(1)) == 1
-            state = cube.exchange(state, cube.with_bit(F.col("pe"), j, one), method, step + k, p, notes)
+            state = cube.exchange(state, cube.with_bit(F.col("pe"), j, one), method, step + k, p * cubes, notes)
     return state
 
 

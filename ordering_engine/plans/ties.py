@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
@@ -17,11 +17,11 @@ def local_split(state: DataFrame, splitter: str = "s") -> DataFrame:
     The PE keeps the order of its elements, so with lt smaller and eq equal ones the left part has
     lt + x elements, x in 0..eq nearest to m / 2 - lt.
     """
-    per = Window.partitionBy("pe")
-    lt = F.sum(F.when(F.col("key") < F.col(splitter), 1).otherwise(0)).over(per)
-    eq = F.sum(F.when(F.col("key") == F.col(splitter), 1).otherwise(0)).over(per)
+    # Counts by a combining aggregation, one row per PE, so no element moves for them.
+    lt, eq = (F.sum(test.cast("int")) for test in (F.col("key") < F.col(splitter), F.col("key") == F.col(splitter)))
+    counts = state.groupBy(F.col("pe").alias("_pe")).agg(F.coalesce(lt, F.lit(0)).alias("lt"), F.coalesce(eq, F.lit(0)).alias("eq"))
     x = F.least(F.greatest(F.expr("(m + 1) div 2") - F.col("lt"), F.lit(0)), F.col("eq"))
-    return state.withColumn("lt", lt).withColumn("eq", eq).withColumn("left", F.col("pos") <= F.col("lt") + x)
+    return state.join(F.broadcast(counts), F.col("pe") == F.col("_pe")).drop("_pe").withColumn("left", F.col("pos") <= F.col("lt") + x)
 
 
 def keys_only(state: DataFrame, splitter: str = "s") -> DataFrame:
@@ -32,12 +32,3 @@ def keys_only(state: DataFrame, splitter: str = "s") -> DataFrame:
 def grid_order(columns: int) -> list[Column]:
     """Sort columns of the implied total order (key, row, column, position): the last three follow from placement."""
     return [F.col("key"), F.expr(f"pe div {columns}"), F.expr(f"pe % {columns}"), F.col("pos")]
-
-
-def above_splitter(splitter: str = "s") -> Column:
-    """Whether an element comes after a splitter that carries its origin; origins count only where keys tie.
-
-    ``splitter``: struct (key, pe, pos).
-    """
-    s = F.col(splitter)
-    return (F.col("key") > s["key"]) | ((F.col("key") == s["key"]) & ((F.col("pe") > s["pe"]) | ((F.col("pe") == s["pe"]) & (F.col("pos") > s["pos"]))))

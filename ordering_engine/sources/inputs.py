@@ -67,6 +67,13 @@ def make(name: str, base: DataFrame, p: int, seed: int = 42, n: int | None = Non
     return staged(base.sparkSession.sql(instance_sql(name, "SELECT uid FROM __instance_base", size, p, SPARK, seed)), f"instance-{name}")
 
 
+def make_many(cases: list[tuple[str, int]], base: DataFrame, p: int, seed: int = 42) -> DataFrame:
+    """Instances (name, n) side by side: that of case c on the PEs c * p to c * p + p - 1."""
+    base.select("uid").createOrReplaceTempView("__instance_base")
+    parts = [f"SELECT cast(pe + {c * p} AS int) AS pe, key, uid FROM ({instance_sql(name, f'SELECT uid FROM __instance_base WHERE uid < {n}', n, p, SPARK, seed)}) AS made" for c, (name, n) in enumerate(cases)]
+    return staged(base.sparkSession.sql(" UNION ALL ".join(parts)), "instances")
+
+
 def oracle(name: str, table: str, id_column: str, n: int, p: int, seed: int = 42) -> str:
     """The same in DuckDB, with uids from a row number over the id."""
     return instance_sql(name, f"SELECT row_number() OVER (ORDER BY {id_column}) - 1 AS uid FROM {table}", n, p, DUCK, seed)
