@@ -17,6 +17,7 @@ from itertools import product
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import method_sql
 from .plans import bitonic, gather, gridrank, kway, medians, placement, quicksort, samplesort, verify
 from .sources import inputs
 from .sources.io import table
@@ -170,3 +171,6 @@ QUERIES = {
     "exp_parameter_grid": parameter_grid,
     "exp_median_fit": median_fit,
 }
+
+SIZES, SEEDS, TREES = [64, 128, 256, 512, 1024], 60, (("binary", 2), ("binary", 4), ("binary", 8), ("ternary", 3))
+ORACLE = {"exp_median_fit": " UNION ALL ".join(f"SELECT * FROM ({method_sql.study_fit(SIZES, SEEDS, k if tree == 'binary' else 2, tree)})" for tree, k in TREES)}

@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+from functools import partial
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from . import method_sql
 from .functions.hashing import DUCK, uid_hash
 from .functions.keys import By, global_rank
 from .plans import bitonic, costs, cube, delivery, gather, gridrank, kway, medians, mergesort, placement, quicksort, samplesort, selector, shuffling, ties
@@ -43,19 +46,37 @@ def _held(name: str, column: str, p: int = P) -> str:
     return f"(SELECT cast(uid * {p} // n AS int) AS pe, {column} AS key, uid FROM {_uids(name, column)})"
 
 
+def _placed(run, sql: str, name="orders", column="o_totalprice", p=P, **options):
+    """With the PE of every element, against SQL of the method itself."""
+
+    def query(s, d):
+        return run(elements(s, d, name, column, p), p, **options).data.select("pe", F.col("rank").cast("long").alias("rank"), "key")
+
+    return query, sql
+
+
+def _quick(run, name="orders", column="o_totalprice", p=8, how="first_pe", shuffle=False, local_ties=False, **options):
+    steps, _ = method_sql.quicksort(_held(name, column, p), p, how, shuffle, local_ties)
+    return _placed(run, f"{steps} {method_sql.ranked('done')}", name, column, p, **options)
+
+
 MULTI = samplesort.multilevel_samplesort
+GIVEN = [i * 31250.0 for i in range(1, P)]
 SORTS = {
-    "sort_gather_merge": _sorted(gather.gather_merge_sort),
-    "sort_bitonic": _sorted(bitonic.bitonic_sort, p=8),
-    "sort_cube_first_pe": _sorted(quicksort.cube_quicksort, p=8),
-    "sort_cube_random_pe": _sorted(quicksort.cube_quicksort, p=8, pivot="random_pe"),
-    "sort_cube_median_of_medians": _sorted(quicksort.cube_quicksort, p=8, pivot="median_of_medians"),
-    "sort_cube_ternary": _sorted(quicksort.cube_quicksort, p=8, pivot="ternary_tree"),
-    "sort_cube_robust": _sorted(quicksort.robust_cube_quicksort),
-    "sort_cube_robust_duplicates": _sorted(quicksort.robust_cube_quicksort, "lineitem", "l_quantity"),
-    "sort_cube_plain": _sorted(quicksort.plain_cube_quicksort, p=8),
-    "sort_cube_shuffle_only": _sorted(quicksort.plain_cube_quicksort, p=8, shuffle="direct"),
-    "sort_cube_ties_only": _sorted(quicksort.plain_cube_quicksort, p=8, tie="local"),
+    "sort_gather_merge": _placed(gather.gather_merge_sort, f"SELECT 0 AS pe, row_number() OVER (ORDER BY key) - 1 AS rank, key FROM {_held('orders', 'o_totalprice')}"),
+    "sort_bitonic": _placed(bitonic.bitonic_sort, f"""WITH h AS (SELECT * FROM {_held('orders', 'o_totalprice', 8)}), m AS (SELECT max(c) AS m FROM (SELECT count(*) AS c FROM h GROUP BY pe))
+        SELECT cast(rank // m AS int) AS pe, rank, key FROM (SELECT row_number() OVER (ORDER BY key, uid) - 1 AS rank, key FROM h), m""", p=8),
+    "sort_cube_first_pe": _quick(quicksort.cube_quicksort),
+    "sort_cube_random_pe": _quick(quicksort.cube_quicksort, how="random_pe", pivot="random_pe"),
+    "sort_cube_median_of_medians": _quick(quicksort.cube_quicksort, how="median_of_medians", pivot="median_of_medians"),
+    "sort_cube_ternary": _quick(quicksort.cube_quicksort, how="ternary_tree", pivot="ternary_tree"),
+    "sort_cube_exact": _quick(quicksort.cube_quicksort, how="exact", pivot="exact"),
+    "sort_cube_robust": _quick(quicksort.robust_cube_quicksort, p=P, how="binary_tree", shuffle=True, local_ties=True),
+    "sort_cube_robust_duplicates": _quick(quicksort.robust_cube_quicksort, "lineitem", "l_quantity", P, "binary_tree", True, True),
+    "sort_cube_plain": _quick(quicksort.plain_cube_quicksort, how="binary_tree"),
+    # The method's own option has the name of this helper's, so it is bound first.
+    "sort_cube_shuffle_only": _quick(partial(quicksort.plain_cube_quicksort, shuffle="direct"), how="binary_tree", shuffle=True),
+    "sort_cube_ties_only": _quick(quicksort.plain_cube_quicksort, how="binary_tree", local_ties=True, tie="local"),
     "sort_kway_cube": _sorted(kway.kway_cube_sort, k=4),
     "sort_multilevel_l1": _sorted(MULTI, levels=1),
     "sort_multilevel_l2": _sorted(MULTI, levels=2),
@@ -64,15 +85,31 @@ SORTS = {
     "sort_multilevel_noplan": _sorted(MULTI, levels=2, plan="prefix"),
     "sort_multilevel_bounded": _sorted(MULTI, levels=2, plan="bounded"),
     "sort_multilevel_dense": _sorted(MULTI, levels=2, exchange="dense"),
-    "sort_direct": _sorted(samplesort.direct_samplesort),
-    "sort_direct_shuffled": _sorted(samplesort.direct_samplesort, "events", "value", shuffle_first=True),
-    "sort_direct_given": _sorted(samplesort.direct_samplesort, splitters=[i * 31250.0 for i in range(1, P)]),
+    "sort_direct": _placed(samplesort.direct_samplesort, method_sql.direct(_held("orders", "o_totalprice"), P)),
+    "sort_direct_shuffled": _placed(samplesort.direct_samplesort, method_sql.direct(f"(SELECT cast({DUCK.hash('uid', 1)} % {P} AS int) AS pe, key, uid FROM {_held('events', 'value')})", P), "events", "value", shuffle_first=True),
+    "sort_direct_given": _placed(samplesort.direct_samplesort, f"WITH done AS (SELECT cast(list_count(list_filter({GIVEN}, lambda x: x < key)) AS int) AS pe, key, uid FROM {_held('orders', 'o_totalprice')}) {method_sql.ranked('done')}", splitters=GIVEN),
     "sort_irregular": _sorted(quicksort.irregular_quicksort, p=6),
-    "sort_adaptive_small": _sorted(selector.adaptive_sort),
+    "sort_adaptive_small": _quick(selector.adaptive_sort, p=P, how="binary_tree", shuffle=True, local_ties=True),
     "sort_adaptive_large": _sorted(selector.adaptive_sort, "documents", "text", method="multilevel_samplesort"),
 }
 
 
+def trace_cube_robust(s, d):
+    """Per exchange of the robust method: startups, words and elements of the busiest PE."""
+    r = quicksort.robust_cube_quicksort(elements(s, d, "orders", "o_totalprice"), P)
+    return costs.per_step(r.ledger.where("held_after is not null")).select("step", "startups", "words", "held")
+
+
+def trace_cube_plain(s, d):
+    r = quicksort.plain_cube_quicksort(elements(s, d, "orders", "o_totalprice", 8), 8)
+    return costs.per_step(r.ledger.where("held_after is not null")).select("step", "startups", "words", "held")
+
+
+def _trace_sql(p: int, shuffle: bool, local_ties: bool) -> str:
+    steps, moves = method_sql.quicksort(_held("orders", "o_totalprice", p), p, "binary_tree", shuffle, local_ties)
+    return f"{steps} {method_sql.trace(moves)}"
+
+
 def sort_adaptive_sparse(s, d):
     return _out(selector.adaptive_sort(elements(s, d, "nation", "n_name", 1024, sparse=True), 1024))
 
@@ -101,13 +138,11 @@ def sort_grid_robust(s, d):
     return r.data.select("uid", "key", F.col("rank").cast("long").alias("rank"), F.col("pe").alias("dst_pe"))
 
 
-def _one_per_pe(where="true"):
-    def run(s, d):
-        based = placement.dense_uid(table(s, d, "customer", ["c_custkey", "c_acctbal"]), ["c_custkey"]).where(where)
-        r = quicksort.one_per_pe_quicksort(based.select(F.col("uid").cast("int").alias("pe"), F.col("c_acctbal").alias("key"), F.col("uid").cast("long").alias("uid")))
-        return r.data.select(F.col("rank").alias("slot"), "key")
-
-    return run
+def sort_one_per_pe(s, d):
+    """Every customer is a PE."""
+    based = placement.dense_uid(table(s, d, "customer", ["c_custkey", "c_acctbal"]), ["c_custkey"])
+    r = quicksort.one_per_pe_quicksort(based.select(F.col("uid").cast("int").alias("pe"), F.col("c_acctbal").alias("key"), F.col("uid").cast("long").alias("uid")))
+    return r.data.select(F.col("rank").alias("slot"), "key")
 
 
 def sort_exact_split(s, d):
@@ -244,8 +279,7 @@ QUERIES |= {f.__name__: f for f in (
     sort_adaptive_sparse, sort_adaptive_tiny, sort_all_gather_merge, sort_descending, rank_grid, sort_grid_robust, sort_exact_split, shuffle_direct, shuffle_cube, ties_local_split,
     delivery_by_rank, delivery_prefix, delivery_bounded, cube_allreduce, cube_scan, cube_allgather, cube_route, cost_startups, cost_volume, cost_fan_in, cost_imbalance, cost_bound, cost_rank_methods, median_quality,
 )}
-# The first has the 1,024 customers of its SQL, the other every customer.
-QUERIES |= {"sort_one_per_pe": _one_per_pe("uid < 1024"), "sort_one_per_pe_whole": _one_per_pe()}
+QUERIES |= {f.__name__: f for f in (sort_one_per_pe, trace_cube_robust, trace_cube_plain)}
 QUERIES |= {f"median_{short}": _median(how) for short, how in (("binary", "binary_tree"), ("ternary", "ternary_tree"), ("first_pe", "first_pe"), ("random_pe", "random_pe"), ("of_medians", "median_of_medians"), ("exact", "exact"))}
 QUERIES |= {f"inputs_{name}": _instance(name) for name in inputs.NAMES}
 
@@ -257,8 +291,7 @@ ORACLE |= {
     "sort_descending": "SELECT row_number() OVER (ORDER BY o_orderstatus DESC, o_totalprice DESC) - 1 AS rank, o_orderstatus, o_totalprice FROM orders",
     "rank_grid": f"SELECT uid, key, rank() OVER (ORDER BY key) - 1 AS rank FROM {_held('events', 'event_type')}",
     "sort_grid_robust": f"""SELECT uid, key, rank, cast(rank * {P} // n AS int) AS dst_pe FROM (SELECT uid, key, count(*) OVER () AS n, row_number() OVER (ORDER BY key, pe // 4, pe % 4, uid) - 1 AS rank FROM {_held('events', 'event_type')})""",
-    "sort_one_per_pe": "SELECT row_number() OVER (ORDER BY c_acctbal) - 1 AS slot, c_acctbal AS key FROM (SELECT c_acctbal FROM customer ORDER BY c_custkey LIMIT 1024)",
-    "sort_one_per_pe_whole": "SELECT row_number() OVER (ORDER BY c_acctbal) - 1 AS slot, c_acctbal AS key FROM customer",
+    "sort_one_per_pe": "SELECT row_number() OVER (ORDER BY c_acctbal) - 1 AS slot, c_acctbal AS key FROM customer",
     "sort_exact_split": f"""SELECT cast(rank * {P} // n AS int) AS dst_pe, count(*) AS cnt, min(key) AS min_key, max(key) AS max_key FROM (SELECT l_extendedprice AS key, count(*) OVER () AS n, row_number() OVER (ORDER BY l_extendedprice) - 1 AS rank FROM lineitem) GROUP BY 1""",
     "shuffle_direct": f"SELECT uid, cast({DUCK.hash('uid', 1)} % {P} AS int) AS pe FROM {_held('orders', 'o_totalprice')}",
     "shuffle_cube": f"SELECT uid, cast({SQL_BITS} AS int) AS pe FROM {_held('orders', 'o_totalprice')}",
@@ -291,3 +324,13 @@ ORACLE |= {
     "median_of_medians": _local_median_sql("SELECT 0 AS subcube, key AS median FROM (SELECT key, row_number() OVER (ORDER BY key, pe) AS r, count(*) OVER () AS n FROM l) WHERE r = (n + 1) // 2"),
 }
 ORACLE |= {f"inputs_{name}": _instance_sql(name) for name in inputs.NAMES}
+ORACLE |= {"trace_cube_robust": _trace_sql(P, True, True), "trace_cube_plain": _trace_sql(8, False, False)}
+
+
+def _median_sql(how: str) -> str:
+    steps = [("placed", method_sql.positions(_held("supplier", "s_acctbal", 4), 2)), *method_sql.pivot(how, "placed", 2, 2, 5)]
+    return "WITH " + ", ".join(f"{name} AS MATERIALIZED ({sql})" for name, sql in steps) + " SELECT cast(sub AS int) AS subcube, s AS median FROM piv"
+
+
+ORACLE |= {"median_binary": _median_sql("binary_tree"), "median_ternary": _median_sql("ternary_tree")}
+ORACLE["median_quality"] = f"{method_sql.study([64, 256, 1024], 40, 2, 'binary')} SELECT n, round(avg(error), 9) AS error FROM study GROUP BY n"

@@ -55,7 +55,7 @@ def test_entry_imports_without_corpus_operators(tmp_path):
 
 def test_every_customer_is_a_pe(spark):
     """On more customers than the first 1,024."""
-    larger, name = "/root/testdata/sf0.01", "sort_one_per_pe_whole"
+    larger, name = "/root/testdata/sf0.01", "sort_one_per_pe"
     con = duckdb.connect()
     con.execute(f"CREATE VIEW customer AS SELECT * FROM '{larger}/customer.parquet'")
     got, want = QUERIES[name](spark, larger).toPandas(), con.execute(ORACLE[name]).df()
