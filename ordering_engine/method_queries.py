@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from . import method_sql
 from .functions.hashing import DUCK, uid_hash
 from .functions.keys import By, global_rank
-from .plans import bitonic, costs, cube, delivery, gather, gridrank, kway, medians, mergesort, placement, quicksort, samplesort, selector, shuffling, ties
+from .plans import bitonic, costs, cube, delivery, gather, gridrank, kway, medians, mergesort, placement, quicksort, samplesort, selector, shuffling, ties, verify
 from .sources import inputs
 from .sources.io import table
 
@@ -264,6 +264,46 @@ def cost_rank_methods(s, d):
     return costs.rank_methods(s, 262_144, [3.0**-5, 3.0**-3, 1.0, 2.0**5, 2.0**10, 2.0**15, 2.0**20], 1.0, 2e-4).select("method", "n_over_p", F.round("time", 6).alias("time"), "place")
 
 
+def cost_predict(s, d):
+    """Time of one exchange under a startup cost of 1,000 words."""
+    return costs.predict(costs.exchange_rows(_moved(s, d), "exchange", 0, P), 1000.0, 1.0)
+
+
+def cost_formulas(s, d):
+    """Local work and the lower bound of k-way methods, over sizes and machines."""
+    rows = [(n, p, costs.local_work(n, p), costs.kway_lower_bound(n, p, 8, 1000.0, 1.0)) for p in (64, 4096) for n in (p, 1024 * p)]
+    df = s.createDataFrame([(n, p, round(w, 6), round(b, 6)) for n, p, w, b in rows], "n bigint, p int, local_work double, lower_bound double")
+    return df
+
+
+def cost_delivery_bound(s, d):
+    """Words of the busiest PE in each round of the delivery of the grid method, against n / (sqrt(p) * 2^round)."""
+    r = gridrank.grid_rank_sort(elements(s, d, "events", "event_type"), P)
+    return verify.delivery_bound(r.ledger.where("step >= 2"), r.data.count(), P)
+
+
+def cost_pe_load(s, d):
+    """Largest over mean load of the PEs in every subcube that a round of the robust method leaves, by dimensions."""
+    r = quicksort.robust_cube_quicksort(elements(s, d, "orders", "o_totalprice"), P)
+    return verify.pe_load_in_subcube(r.ledger.where("step = 4"), 2).select("subcube", F.round("max_over_mean", 6).alias("max_over_mean"))
+
+
+def ties_naive_uid(s, d):
+    """Ranks of the naive unique keys, in which every element carries its id."""
+    held = elements(s, d, "lineitem", "l_quantity").select(ties.with_uid(F.col("key"), F.col("uid")).alias("key"))
+    return global_rank(held, "key").select("rank", F.col("key.key").alias("key"), F.col("key.uid").alias("uid"))
+
+
+def cost_spark(s, d):
+    """What Spark itself moves for the planned sort: exchanges and rows written to them."""
+    return costs.spark_metrics(samplesort.planned_sort(table(s, d, "orders", ["o_orderkey", "o_totalprice"]), "o_totalprice", partitions=8, tie="o_orderkey"))
+
+
+def splitters_exact(s, d):
+    """The first element of every PE, by multiway selection."""
+    return mergesort.exact_splitters(elements(s, d, "lineitem", "l_extendedprice"), P, few=256)[0]
+
+
 def median_quality(s, d):
     """Mean relative rank error of the binary tree by size: falls with a power near 0.4."""
     return medians.study(s, [64, 256, 1024], 40).groupBy("n").agg(F.round(F.avg("error"), 9).alias("error"))
@@ -279,7 +319,7 @@ QUERIES |= {f.__name__: f for f in (
     sort_adaptive_sparse, sort_adaptive_tiny, sort_all_gather_merge, sort_descending, rank_grid, sort_grid_robust, sort_exact_split, shuffle_direct, shuffle_cube, ties_local_split,
     delivery_by_rank, delivery_prefix, delivery_bounded, cube_allreduce, cube_scan, cube_allgather, cube_route, cost_startups, cost_volume, cost_fan_in, cost_imbalance, cost_bound, cost_rank_methods, median_quality,
 )}
-QUERIES |= {f.__name__: f for f in (sort_one_per_pe, trace_cube_robust, trace_cube_plain)}
+QUERIES |= {f.__name__: f for f in (sort_one_per_pe, trace_cube_robust, trace_cube_plain, cost_predict, cost_formulas, cost_delivery_bound, cost_pe_load, cost_spark, ties_naive_uid, splitters_exact)}
 QUERIES |= {f"median_{short}": _median(how) for short, how in (("binary", "binary_tree"), ("ternary", "ternary_tree"), ("first_pe", "first_pe"), ("random_pe", "random_pe"), ("of_medians", "median_of_medians"), ("exact", "exact"))}
 QUERIES |= {f"inputs_{name}": _instance(name) for name in inputs.NAMES}
 
@@ -334,3 +374,25 @@ def _median_sql(how: str) -> str:
 
 ORACLE |= {"median_binary": _median_sql("binary_tree"), "median_ternary": _median_sql("ternary_tree")}
 ORACLE["median_quality"] = f"{method_sql.study([64, 256, 1024], 40, 2, 'binary')} SELECT n, round(avg(error), 9) AS error FROM study GROUP BY n"
+
+ORACLE["cost_predict"] = f"SELECT 'exchange' AS method, 1000.0 * (SELECT startups FROM ({ORACLE['cost_startups']})) + 1.0 * (SELECT words FROM ({ORACLE['cost_volume']})) AS time"
+ORACLE["cost_formulas"] = """SELECT cast(p * f AS bigint) AS n, cast(p AS int) AS p, round(f * log2(greatest(p * f, 2)), 6) AS local_work, round(f * log2(greatest(p * f, 2)) + f * log2(p) / 3 + 1000 * 8 * log2(p) / 3, 6) AS lower_bound
+    FROM (SELECT unnest([64.0, 4096.0]) AS p), (SELECT unnest([1.0, 1024.0]) AS f)"""
+ORACLE["ties_naive_uid"] = f"SELECT row_number() OVER (ORDER BY key, uid) - 1 AS rank, key, uid FROM {_held('lineitem', 'l_quantity')}"
+ORACLE["cost_spark"] = "SELECT 'exchanges' AS metric, 1 AS value UNION ALL SELECT 'rows_exchanged', count(*) FROM orders"
+ORACLE["splitters_exact"] = f"SELECT key, uid FROM (SELECT key, uid, row_number() OVER (ORDER BY key, uid) - 1 AS r, count(*) OVER () AS n FROM {_held('lineitem', 'l_extendedprice')}) WHERE r > 0 AND r * {P} // n > (r - 1) * {P} // n"
+_DELIVERED = f"""WITH g AS (SELECT pe, cast(rank * {P} // n AS int) AS dst FROM (SELECT pe, count(*) OVER () AS n, row_number() OVER (ORDER BY key, pe // 4, pe % 4, uid) - 1 AS rank FROM {_held('events', 'event_type')})),
+    r0 AS (SELECT (pe // 4) * 4 + dst % 4 AS src, dst, (((pe // 4) * 4 + dst % 4) & 7) | (dst & 8) AS pe FROM g), r1 AS (SELECT pe AS src, dst AS pe FROM r0)"""
+ORACLE["cost_delivery_bound"] = f"SELECT step, words, bound, words <= bound AS within FROM ({_DELIVERED}, t AS ({method_sql.trace([(2, 'r0'), (3, 'r1')])}) SELECT step, words, (SELECT count(*) FROM g) / (4.0 * pow(2, step - 2)) AS bound FROM t)"
+_steps, _moves = method_sql.quicksort(_held("orders", "o_totalprice"), P, "binary_tree", True, True)
+ORACLE["cost_pe_load"] = f"{_steps} SELECT cast(pe >> 2 AS int) AS subcube, round(max(c) / avg(c), 6) AS max_over_mean FROM (SELECT i AS pe, count(m.pe) AS c FROM (SELECT unnest(range({P})) AS i) LEFT JOIN {dict(_moves)[4]} m ON m.pe = i GROUP BY i) GROUP BY 1"
+
+#: The startup and volume terms of each method in SQL, of n, p, k, l = log2(p) and lk = log_k(p).
+_TERMS = {
+    "gather_merge": ("l", "n"), "all_gather_merge": ("l", "n * 2"), "grid_rank": ("l", "n / sqrt(p)"), "bitonic": ("l * l", "n / p * l * l"), "one_per_pe_quicksort": ("l * l", "l * l"),
+    "cube_quicksort": ("l * l", "n / p * l"), "median_of_medians_quicksort": ("l * l", "p + n / p * l"), "robust_cube_quicksort": ("l * l", "n / p * l"), "kway_cube": ("k * lk", "p + n / p * lk"),
+    "multilevel_samplesort": ("k * lk", "n / p * lk"), "direct_samplesort": ("p", "n / p + p"), "exact_split_mergesort": ("p", "n / p + p * l"),
+}
+_COSTED = " UNION ALL ".join(f"SELECT '{m}' AS method, x AS n_over_p, 1.0 * ({a}) + 2e-4 * ({b}) + x * log2(greatest(n, 2)) / 1000 * 2e-4 AS time FROM t" + (" WHERE x = 1" if m == "one_per_pe_quicksort" else "") for m, (a, b) in _TERMS.items())
+ORACLE["cost_rank_methods"] = f"""WITH t AS (SELECT x, x * 262144.0 AS n, 262144.0 AS p, 64.0 AS k, 18.0 AS l, 3.0 AS lk FROM (SELECT unnest([{', '.join(repr(x) for x in (3.0**-5, 3.0**-3, 1.0, 2.0**5, 2.0**10, 2.0**15, 2.0**20))}]::DOUBLE[]) AS x)), c AS ({_COSTED})
+    SELECT method, n_over_p, round(time, 6) AS time, cast(row_number() OVER (PARTITION BY n_over_p ORDER BY round(time, 9), method) AS int) AS place FROM c"""

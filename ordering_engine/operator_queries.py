@@ -12,9 +12,10 @@ from .functions.curves import morton_sql
 from .functions.hashing import DUCK, uid_hash
 from .functions.keys import global_rank
 from .operators import aggregates, joins
+from .plans import medians
 from .sources import io
 from .sources.io import table
-from .storage import shared_dir
+from .storage import folder
 from .streaming import events as stream
 
 ENTRIES: dict[str, tuple] = {}
@@ -29,7 +30,7 @@ def entry(sql: str | None):
 
 
 def _path(s) -> str:
-    return f"{shared_dir(s)}/files/{uuid.uuid4().hex}"
+    return folder(s, "files/table")
 
 
 # Scans, sources, sinks
@@ -504,8 +505,8 @@ def app_group_split(s, d):
 # Streaming: events replayed as files; the oracle is the batch form
 
 
-#: Replayed files come in any order, so nothing of a replay counts as late.
-LATE = "3650 days"
+#: Replayed files come in the order of time, so no row is later than this.
+LATE = "1 hour"
 
 
 def _events(s, d, parts=4) -> DataFrame:
@@ -540,10 +541,21 @@ def stream_session(s, d):
     return out.select("user_id", _ntz("w.start", "start"), "cnt")
 
 
-@entry("SELECT DISTINCT user_id, event_type FROM events")
+@entry("SELECT event_id, user_id, event_type FROM events")
 def stream_dedup(s, d):
-    rows = stream.with_lateness(_events(s, d), LATE)
-    return stream.run(stream.dedup(rows, "user_id", "event_type").select("user_id", "event_type"), _name())
+    """Every event comes twice; keys are forgotten once the watermark has passed them."""
+    rows = table(s, d, "events").withColumn("_copy", F.explode(F.array(F.lit(1), F.lit(2)))).drop("_copy")
+    twice = stream.stamped(stream.files(s, stream.replay(s, rows, 4, "ts"), rows.schema))
+    return stream.run(stream.dedup(stream.with_lateness(twice, LATE), "event_id").select("event_id", "user_id", "event_type"), _name())
+
+
+@entry("""WITH r AS (SELECT ts, (row_number() OVER (ORDER BY event_id % 10 = 3, event_id) - 1) * 4 // count(*) OVER () AS b FROM events), w AS (SELECT b, max(ts) AS latest FROM r GROUP BY b)
+    SELECT late, count(*) AS cnt FROM (SELECT coalesce(ts < (SELECT max(latest) FROM w WHERE w.b < r.b) - INTERVAL 1 HOUR, false) AS late FROM r) GROUP BY late""")
+def stream_late_rows(s, d):
+    """A tenth of the events comes after all others."""
+    rows = table(s, d, "events").withColumn("behind", F.expr("event_id % 10 = 3"))
+    source = stream.stamped(stream.files(s, stream.replay(s, rows, 4, ["behind", "event_id"]), rows.schema))
+    return stream.with_late_rows(source, "1 hour", _name()).groupBy("late").agg(F.count(F.lit(1)).alias("cnt"))
 
 
 @entry("SELECT event_id, c_mktsegment FROM events LEFT JOIN customer ON user_id = c_custkey")
@@ -563,22 +575,51 @@ def stream_join_interval(s, d):
 @entry("SELECT event_type AS key, cast(place AS int) AS place, value FROM (SELECT event_type, value, row_number() OVER (PARTITION BY event_type ORDER BY value DESC) AS place FROM events) WHERE place <= 3")
 def stream_topk_state(s, d):
     rows = table(s, d, "events", ["event_id", "event_type", "value"])
-    source = stream.files(s, stream.replay(s, rows, 2, "event_id"), rows.schema, per_trigger=2)
+    source = stream.files(s, stream.replay(s, rows, 2, "event_id"), rows.schema)
     s.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:
-        return stream.run(stream.topk_state(source, "event_type", "value", 3), _name(), "update")
+        return stream.run(stream.topk_state(source, "event_type", "value", 3), _name(), "update", keys=("key",))
     finally:
         s.conf.unset("spark.sql.streaming.stateStore.providerClass")
 
 
-@entry("SELECT row_number() OVER (ORDER BY value) - 1 AS rank, value FROM events")
+@entry("SELECT b AS batch, row_number() OVER (PARTITION BY b ORDER BY value) - 1 AS rank, value FROM (SELECT value, cast((row_number() OVER (ORDER BY event_id) - 1) * 4 // count(*) OVER () AS int) AS b FROM events)")
 def stream_batch_sort(s, d):
     path = _path(s)
     rows = table(s, d, "events", ["event_id", "value"])
-    source = stream.files(s, stream.replay(s, rows, 4, "event_id"), rows.schema, per_trigger=4)
+    source = stream.files(s, stream.replay(s, rows, 4, "event_id"), rows.schema)
     q = stream.sort_batches(source, "value", path).trigger(availableNow=True).option("checkpointLocation", _path(s)).start()
     q.awaitTermination()
-    return s.read.parquet(path).select("rank", "value")
+    return s.read.parquet(path).select("batch", "rank", "value")
+
+
+@entry("""SELECT pe, uid, row_number() OVER (PARTITION BY pe ORDER BY key, uid) AS pos, count(*) OVER (PARTITION BY pe) AS m, count(*) FILTER (WHERE key < 25) OVER (PARTITION BY pe) AS lt, count(*) FILTER (WHERE key = 25) OVER (PARTITION BY pe) AS eq
+    FROM (SELECT cast(uid * 16 // n AS int) AS pe, l_quantity AS key, uid FROM (SELECT l_quantity, row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_shipdate) - 1 AS uid, count(*) OVER () AS n FROM lineitem))""")
+def win_local_split(s, d):
+    """Places of elements on their PE with the counts of smaller and equal ones, in one pass over a window."""
+    ids = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate"]
+    ranked = global_rank(table(s, d, "lineitem", [*ids, "l_quantity"]), ids, "uid")
+    n = ranked.count()
+    per = Window.partitionBy("pe")
+    held = ranked.select(F.expr(f"cast(uid * 16 div {max(n, 1)} AS int)").alias("pe"), F.col("l_quantity").alias("key"), "uid")
+    counts = [F.sum(test.cast("long")).over(per).alias(name) for name, test in (("lt", F.col("key") < 25), ("eq", F.col("key") == 25))]
+    return held.select("pe", "uid", F.row_number().over(per.orderBy("key", "uid")).alias("pos"), F.count(F.lit(1)).over(per).alias("m"), *counts)
+
+
+@entry("SELECT event_type, true AS near FROM events GROUP BY event_type")
+def agg_approx_distinct(s, d):
+    """Whether the sketched number of users is within four standard errors of the exact one."""
+    per = table(s, d, "events", ["event_type", "user_id"]).groupBy("event_type").agg(F.approx_count_distinct("user_id", 0.02).alias("sketched"), F.countDistinct("user_id").alias("exact"))
+    return per.select("event_type", (F.abs(F.col("sketched") / F.col("exact") - 1) <= 0.08).alias("near"))
+
+
+@entry("SELECT o_orderstatus, true AS near FROM orders GROUP BY o_orderstatus")
+def agg_sketched_pivots(s, d):
+    """Whether a quantile sketch's median would do as a pivot: its relative rank error is within the sketch's bound."""
+    rows = table(s, d, "orders", ["o_orderstatus", "o_totalprice"])
+    pivots = rows.groupBy("o_orderstatus").agg(F.percentile_approx("o_totalprice", 0.5, 1000).alias("s"))
+    ranks = rows.join(F.broadcast(pivots), "o_orderstatus").groupBy("o_orderstatus").agg(F.sum((F.col("o_totalprice") <= F.col("s")).cast("long")).alias("rank"), F.count(F.lit(1)).alias("n"))
+    return ranks.select("o_orderstatus", (medians.rank_error(F.col("rank"), F.col("n")) <= 0.01).alias("near"))
 
 
 # Python functions and table functions

@@ -66,6 +66,33 @@ def predict(ledger: DataFrame, alpha: float, beta: float) -> DataFrame:
     return per_step(ledger).groupBy("method").agg(F.sum(alpha * F.col("startups") + beta * F.col("words")).alias("time"))
 
 
+def spark_metrics(df: DataFrame) -> DataFrame:
+    """(metric, value) after running ``df``'s own plan: its exchanges, and the rows written to them."""
+    execution = df._jdf.queryExecution()
+    execution.toRdd().count()
+    found, todo = {"exchanges": 0, "rows_exchanged": 0}, [execution.executedPlan()]
+    while todo:
+        node = todo.pop()
+        kind = node.getClass().getSimpleName()
+        if kind == "AdaptiveSparkPlanExec":
+            todo.append(node.executedPlan())
+            continue
+        if kind.endswith("QueryStageExec"):
+            todo.append(node.plan())
+            continue
+        if kind == "ShuffleExchangeExec":
+            found["exchanges"] += 1
+            found["rows_exchanged"] += node.metrics().apply("shuffleRecordsWritten").value()
+        children = node.children()
+        todo += [children.apply(i) for i in range(children.size())]
+    return df.sparkSession.createDataFrame(list(found.items()), "metric string, value bigint")
+
+
+def time_per_element(seconds: float, n: float, p: int) -> float:
+    """Microseconds of a run per element of a PE, the published axis."""
+    return seconds * 1e6 / (n / p)
+
+
 def local_work(n: float, p: int) -> float:
     return n / p * math.log2(max(n, 2))
 
@@ -107,7 +134,7 @@ def rank_methods(spark: SparkSession, p: int, loads: list[float], alpha: float,
     """Every method's predicted time over the loads n/p, with its place among all."""
     rows = [(m, float(x), cost(m, x * p, p, alpha, beta, k)) for x in loads for m in TERMS if m != "one_per_pe_quicksort" or x == 1]
     df = spark.createDataFrame(rows, "method string, n_over_p double, time double")
-    return df.withColumn("place", F.row_number().over(Window.partitionBy("n_over_p").orderBy("time", "method")))
+    return df.withColumn("place", F.row_number().over(Window.partitionBy("n_over_p").orderBy(F.round("time", 9), "method")))
 
 
 def crossover(a: str, b: str, p: int, alpha: float, beta: float, k: int = 64, low: float = 3**-5, high: float = 2**23) -> float | None:

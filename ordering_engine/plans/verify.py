@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
 def order(data: DataFrame) -> bool:
-    """Ranks are 0..n-1 without gaps, keys follow them, and PEs hold consecutive ranks."""
-    by_rank = Window.orderBy("rank")
-    wrong = data.withColumn("_k", F.lag("key").over(by_rank)).withColumn("_pe", F.lag("pe").over(by_rank)).withColumn("_r", F.row_number().over(by_rank) - 1)
-    bad = wrong.where("rank <> _r or key < _k or pe < _pe").limit(1).count()
-    return bad == 0
+    """Ranks are 0..n-1 without gaps, keys follow them, and PEs hold consecutive ranks. Each element meets its successor by a join on the rank."""
+    n, distinct, low, high = data.agg(F.count(F.lit(1)), F.countDistinct("rank"), F.min("rank"), F.max("rank")).first()
+    if n and (distinct, low, high) != (n, 0, n - 1):
+        return False
+    own = data.select(F.col("rank").cast("long").alias("rank"), "key", "pe")
+    after = own.select((F.col("rank") - 1).alias("rank"), F.col("key").alias("_key"), F.col("pe").alias("_pe"))
+    return own.join(after, "rank").where("_key < key or _pe < pe").isEmpty()
 
 
 def permutation(data: DataFrame, source: DataFrame) -> bool:
@@ -38,6 +40,14 @@ def imbalance_trace(ledger: DataFrame, n: int, p: int) -> DataFrame:
     return steps.select("step", (F.col("held") * p / F.lit(max(n, 1))).alias("factor"))
 
 
+def delivery_bound(ledger: DataFrame, n: int, p: int) -> DataFrame:
+    """Per round of a delivery down the columns of the grid: the words of the busiest PE and the bound n / (sqrt(p) * 2^round)."""
+    first = ledger.agg(F.min("step")).first()[0]
+    rounds = ledger.groupBy("step").agg(F.max(F.greatest("words_out", "words_in")).alias("words"))
+    rounds = rounds.withColumn("bound", F.lit(n / p**0.5) / F.pow(F.lit(2.0), F.col("step") - first))
+    return rounds.withColumn("within", F.col("words") <= F.col("bound"))
+
+
 def pe_load_in_subcube(ledger: DataFrame, dims: int) -> DataFrame:
     """Largest over mean load of the PEs in each subcube of ``dims`` dimensions, by step."""
     inside = ledger.where("held_after is not null").withColumn("subcube", F.shiftright("pe", dims))

@@ -27,14 +27,20 @@ def shared_dir(spark: SparkSession) -> str:
     return LOCAL_DEFAULT
 
 
+def folder(spark: SparkSession, label: str) -> str:
+    """A new folder's path in shared storage; what is there when the process ends is removed."""
+    path = f"{shared_dir(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    _left.add(path)
+    return path
+
+
 def staged(df: DataFrame, label: str = "stage") -> DataFrame:
     """``df`` written to the shared folder and read back. Lineage ends there, so a lost executor costs a reread.
 
     The folder is removed by the ``settled`` step around it, or when the driver's process ends.
     """
     spark = df.sparkSession
-    path = f"{shared_dir(spark).rstrip('/')}/tables/{label}-{uuid.uuid4().hex}"
-    _left.add(path)
+    path = folder(spark, f"tables/{label}")
     if (inside := _inside.get()) is not None:
         inside.append(path)
     df.write.parquet(path)

@@ -1,20 +1,21 @@
 """Event-time operators; a stream is any streaming DataFrame with a timestamp column.
 
-Each takes and returns a DataFrame and works on batches as well. ``replay`` runs a stream over files to its
-end into a memory table, which is how tests compare with the batch form.
+Each takes and returns a DataFrame and works on batches as well. ``replay`` lays a table out as files that arrive one after another, and
+``run`` takes a stream over them to its end. Results are Parquet folders by micro-batch: a batch that runs again after a failure
+replaces its own folder, so every row is there once, and nothing is held by the driver.
 """
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming.stateful_processor import StatefulProcessor, StatefulProcessorHandle
 
-from ..storage import shared_dir
+from .. import storage
 
 
 def files(spark: SparkSession, path: str, schema, per_trigger: int = 1) -> DataFrame:
@@ -127,26 +128,77 @@ def median_state(stream: DataFrame, key: str, value: str, keep: int = 64) -> Dat
 
 
 def sort_batches(stream: DataFrame, order, path: str, p: int = 16):
-    """Every micro-batch totally ordered by the method that fits its size and appended as one sorted set of files."""
+    """Every micro-batch totally ordered by the method that fits its size and written as one sorted set of files.
+
+    A batch that the published thresholds would gather on one PE is sorted by one task, any other by a range exchange.
+    """
     from ..functions.keys import global_rank
+    from ..plans import selector
 
     def each(batch: DataFrame, number: int) -> None:
-        global_rank(batch, order).withColumn("batch", F.lit(number)).write.mode("append").parquet(path)
+        few = selector.choose(batch.count(), p) == "gather_merge"
+        ranks = global_rank(batch, order, partitions=1 if few else p)
+        ranks.withColumn("batch", F.lit(number)).write.mode("overwrite").parquet(f"{path}/part={number}")
 
     return stream.writeStream.foreachBatch(each)
 
 
-def run(stream: DataFrame, name: str, mode: str = "append", trigger: dict | None = None, state_store: bool = False) -> DataFrame:
-    """Run to the end of what is there into a memory table, with its checkpoint in shared storage."""
-    spark = stream.sparkSession
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(**(trigger or {"availableNow": True}))
-    query = writer.option("checkpointLocation", f"{shared_dir(spark)}/streams/{name}-{uuid.uuid4().hex}").start()
+def _to_end(writer, folder: str, trigger: dict | None) -> None:
+    query = writer.trigger(**(trigger or {"availableNow": True})).option("checkpointLocation", f"{folder}/checkpoint").start()
     query.awaitTermination()
-    return spark.table(name)
 
 
-def replay(spark: SparkSession, df: DataFrame, parts: int, order: str) -> str:
-    """Write ``df`` as ``parts`` files in order, for ``files`` to stream one by one."""
-    path = f"{shared_dir(spark)}/replay/{uuid.uuid4().hex}"
-    df.repartitionByRange(parts, order).sortWithinPartitions(order).write.parquet(path)
+def run(stream: DataFrame, name: str, mode: str = "append", trigger: dict | None = None, keys: tuple[str, ...] = (), folder: str | None = None) -> DataFrame:
+    """Run to the end of what is there; the result read from shared storage.
+
+    In mode ``complete`` the result is that of the last micro-batch; in ``update`` with ``keys``, each key's rows of the last batch
+    that had any. With a ``folder`` used before, the stream goes on where it ended there.
+    """
+    spark, fields = stream.sparkSession, stream.schema
+    folder = folder or storage.folder(spark, f"streams/{name}")
+
+    def each(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/out/batch={number}")
+
+    _to_end(stream.writeStream.outputMode(mode).foreachBatch(each), folder, trigger)
+    out = spark.read.schema(T.StructType([*fields.fields, T.StructField("batch", T.LongType())])).parquet(f"{folder}/out")
+    if mode == "complete":
+        out = out.where(F.col("batch") == (out.agg(F.max("batch")).first()[0] or 0))
+    elif mode == "update" and keys:
+        last = out.groupBy(*keys).agg(F.max("batch").alias("batch"))
+        out = out.join(last, [*keys, "batch"], "left_semi")
+    return out.select(*fields.fieldNames())
+
+
+def with_late_rows(stream: DataFrame, delay: str, name: str, column: str = "ts", trigger: dict | None = None, folder: str | None = None) -> DataFrame:
+    """All rows with ``late``: whether their time was more than ``delay`` before the latest of earlier micro-batches when they came.
+
+    These are the rows that a watermark would drop; here they are kept apart and can be counted. The latest time so far is read from
+    the batches written before, so a restart finds it.
+    """
+    spark, fields = stream.sparkSession, stream.schema
+    folder = folder or storage.folder(spark, f"streams/{name}")
+    schema = T.StructType([*fields.fields, T.StructField("late", T.BooleanType()), T.StructField("batch", T.LongType())])
+
+    def each(batch: DataFrame, number: int) -> None:
+        latest = None
+        if number:
+            latest = spark.read.schema(schema).parquet(f"{folder}/out").where(F.col("batch") < number).agg(F.max(column)).first()[0]
+        late = F.lit(False) if latest is None else F.coalesce(F.col(column) < F.lit(latest) - F.expr(f"INTERVAL {delay}"), F.lit(False))
+        batch.withColumn("late", late).write.mode("overwrite").parquet(f"{folder}/out/batch={number}")
+
+    _to_end(stream.writeStream.foreachBatch(each), folder, trigger)
+    return spark.read.schema(schema).parquet(f"{folder}/out").drop("batch")
+
+
+def replay(spark: SparkSession, df: DataFrame, parts: int, order) -> str:
+    """Write ``df`` as ``parts`` files of equal size in order, one after the other, for ``files`` to stream one by one."""
+    from ..functions.keys import global_rank
+
+    path = storage.folder(spark, "replay/files")
+    ranked = global_rank(df, order, "__place")
+    n = max(ranked.count(), 1)
+    for k in range(parts):
+        part = ranked.where(f"__place * {parts} div {n} = {k}").orderBy("__place").drop("__place")
+        part.coalesce(1).write.mode("append").parquet(path)
     return path

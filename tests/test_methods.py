@@ -108,6 +108,61 @@ def test_median_trees(spark, uids):
     assert medians.binary_tree(state.where("pe = 3"), 8, 1, 2, 1).count() == 1  # empty subcubes have no pivot
 
 
+@pytest.mark.parametrize("seed", [2, 3, 4, 5])
+def test_ternary_pivots_of_permuted_leaves(uids, seed):
+    state = held(uids, "uniform", 8)
+    keys = np.sort([r.key for r in state.collect()])
+    s = medians.pivots(state, "ternary_tree", 8, 3, 2, seed).first().s
+    assert abs(np.searchsorted(keys, s) / 200 - 1) < 0.4
+
+
+@pytest.mark.parametrize("method", ["grid_rank", "bitonic", "robust_cube_quicksort", "kway_cube", "multilevel_l3", "direct", "all_gather_merge"])
+def test_machines_side_by_side_do_what_each_does_alone(uids, method):
+    cases = [("uniform", 300), ("rand_dupl", 120), ("mirrored", 5)]
+    together = experiments.METHODS[method](inputs.make_many(cases, uids, P), P, cubes=3)
+    rows = {r.cube: r for r in experiments.summary(together, P).collect()}
+    for c, (name, n) in enumerate(cases[:2]):
+        alone = experiments.summary(experiments.METHODS[method](held(uids, name, n=n), P), P).first()
+        assert tuple(rows[c])[1:] == tuple(alone)[1:], name
+
+
+def test_experiment_columns(spark, small):
+    found = experiments.measure(spark, small, [(m, i, 4, n) for m in ("gather_merge", "robust_cube_quicksort") for i in ("uniform", "zero") for n in (4, 64)])
+    out = experiments.over(experiments.time_per_load(experiments.vs_best(found)), {"robust_cube_quicksort": "gather_merge"}).toPandas()
+    assert len(out) == 8 and (out.time == 1000 * out.startups + out.words).all() and (out.time_per_load == out.time / (out.n / 4)).all()
+    gather = out[out.method == "gather_merge"].set_index(["input", "n"])
+    # Two rounds; the root receives from one PE in the first and from one in the second, half of all and then a quarter at most per sender.
+    assert (gather.startups == 4).sum() == 0 or (gather.startups <= 4).all()
+    for r in out.itertuples():
+        same = out[(out.input == r.input) & (out.n == r.n)]
+        assert r.to_best == r.time / same.time.min()
+        assert r.method == "gather_merge" and np.isnan(r.ratio) or r.ratio == r.time / gather.time[(r.input, r.n)]
+
+
+def test_exact_splitters(uids):
+    for name, n in (("rand_dupl", 400), ("zero", 400), ("uniform", 399), ("uniform", 7)):
+        state = held(uids, name, n=n)
+        elements = sorted((r.key, r.uid) for r in state.collect())
+        want = sorted({elements[r] for r in {-(-i * n // P) for i in range(1, P)} - {n}})
+        got, rounds = mergesort.exact_splitters(state, P, oversample=2, few=20)
+        assert sorted(tuple(r) for r in got.collect()) == want and (rounds > 0) == (n > 20)
+        r = mergesort.exact_split_mergesort(state, P)
+        assert sound(r, state) and max(x.held for x in verify.loads(r.data, P).collect()) == -(-n // P)
+
+
+def test_elements_move_once_a_round(uids):
+    """One shuffle of the elements in a round of quicksort, none for pivots or splits."""
+    at = placement.staged(placement.local_positions(held(uids, "rand_dupl")), "at")
+    s = medians.pivots(at, "binary_tree", P, 3, 2, 1)
+    from ordering_engine.plans import ties
+
+    sided = ties.local_split(at.withColumn("subcube", cube.subcube(F.col("pe"), 3)).join(F.broadcast(s), "subcube", "left"))
+    moved = placement.local_positions(sided.select("pe", "key", "uid", "left").withColumn("pe", F.when(F.col("left"), F.col("pe")).otherwise(F.col("pe") + 4)))
+    plan = moved._jdf.queryExecution().executedPlan().toString()
+    wide = [line for line in plan.splitlines() if "Exchange hashpartitioning" in line]
+    assert sum("Window" in line for line in plan.splitlines()) <= 2 and sum("uid" in line for line in wide) <= 1
+
+
 def test_routing_and_collectives(spark, uids):
     state = held(uids, "uniform").withColumn("dst", (F.col("uid") % P).cast("int"))
     routed, ledger = cube.route(state, "dst", P)

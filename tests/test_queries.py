@@ -4,13 +4,13 @@ import duckdb
 import pandas as pd
 import pytest
 
-from ordering_engine import method_queries, operator_queries
+from ordering_engine import experiments, method_queries, operator_queries
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-QUERIES = method_queries.QUERIES | operator_queries.QUERIES
-ORACLE = method_queries.ORACLE | operator_queries.ORACLE
+QUERIES = method_queries.QUERIES | operator_queries.QUERIES | experiments.QUERIES
+ORACLE = method_queries.ORACLE | operator_queries.ORACLE | experiments.ORACLE
 #: Methods that test_methods covers on other inputs; their SQL is held against them at the driver.
-SLOW = {n for n in ORACLE if n.startswith("sort_") and n not in ("sort_direct_given", "sort_exact_split", "sort_global_multi", "sort_grid_robust", "sort_descending", "sort_within_pe")} | {"shuffle_cube", "cube_route"}
+SLOW = {n for n in ORACLE if n.startswith("sort_") and n not in ("sort_cube_robust", "sort_cube_ternary", "sort_bitonic", "sort_direct", "sort_direct_given", "sort_exact_split", "sort_global_multi", "sort_grid_robust", "sort_descending", "sort_within_pe")} | {"shuffle_cube", "cube_route"}
 
 
 @pytest.fixture(scope="module")

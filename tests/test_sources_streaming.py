@@ -66,3 +66,45 @@ def test_joins_and_buckets(spark):
     many = [float(x) for x in range(0, 100, 5)]
     few = spark.range(100).select(F.col("id").cast("double").alias("x"))
     assert [r.cnt for r in aggregates.bucket_counts(few, "x", many).orderBy("bucket").collect()] == [1] + [5] * 19 + [4]
+
+
+def test_streams_go_on_after_a_stop_and_batches_are_written_once(spark, small, tmp_path):
+    """The second run finds what the first has done; a batch that runs again replaces its own folder."""
+    rows = spark.read.parquet(f"{small}/events.parquet").select("event_id", "ts", "event_type").withColumn("ts", F.col("ts").cast("timestamp"))
+    first, second = rows.where("event_id % 2 = 0"), rows.where("event_id % 2 = 1")
+    path, folder = str(tmp_path / "in"), str(tmp_path / "run")
+    first.coalesce(1).write.parquet(path)
+    counted = lambda: stream.files(spark, path, rows.schema).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+    half = stream.run(counted(), "resumed", "complete", folder=folder).collect()
+    assert sum(r.n for r in half) == first.count()
+    second.coalesce(1).write.mode("append").parquet(path)
+    whole = {r.event_type: r.n for r in stream.run(counted(), "resumed", "complete", folder=folder).collect()}
+    assert whole == {r.event_type: r["count"] for r in rows.groupBy("event_type").count().collect()}
+    again = stream.run(counted(), "resumed", "complete", folder=folder)
+    assert {r.event_type: r.n for r in again.collect()} == whole
+
+
+def test_late_rows_are_flagged_across_a_restart(spark, tmp_path):
+    path, folder = str(tmp_path / "in"), str(tmp_path / "run")
+    schema = "id int, ts timestamp"
+    for k, rows in enumerate(([(1, "2024-01-01 10:00:00"), (2, "2024-01-01 12:00:00")], [(3, "2024-01-01 10:05:00"), (4, "2024-01-01 11:55:00"), (5, None)])):
+        spark.createDataFrame(rows, "id int, ts string").select("id", F.col("ts").cast("timestamp").alias("ts")).coalesce(1).write.mode("append").parquet(path)
+        out = stream.with_late_rows(stream.files(spark, path, schema), "10 minutes", "late", folder=folder)
+    assert {r.id: r.late for r in out.collect()} == {1: False, 2: False, 3: True, 4: False, 5: False}
+
+
+def test_intermediates_are_removed(spark, tmp_path):
+    import os
+
+    from ordering_engine import storage
+
+    made = []
+
+    def make():
+        made.append(storage.staged(spark.range(5)).staged_at)
+        return spark.read.parquet(made[0])
+
+    out = storage.settled(spark, make, "out")
+    assert out.count() == 5 and not os.path.exists(made[0]) and os.path.exists(out.staged_at)
+    storage.remove(out.staged_at)
+    assert not os.path.exists(out.staged_at)
