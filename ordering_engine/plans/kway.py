@@ -22,10 +22,10 @@ def histogram_splitters(at: DataFrame, k: int, candidates: int, seed: int, toler
     n = at.groupBy("group").agg(F.count(F.lit(1)).alias("n"))
     targets = n.withColumn("i", F.explode(F.expr(f"sequence(1, {max(k - 1, 1)})"))).withColumn("want", F.col("n") * F.col("i") / k)
     drawn = at.select("group", "key").where(F.lit(False))
-    best = None
+    best, still = None, at
     for r in range(most_rounds):
         w = Window.partitionBy("group").orderBy(uid_hash("uid", seed + r), "uid")
-        more = at.withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= candidates * k).select("group", "key")
+        more = still.withColumn("_r", F.row_number().over(w)).where(F.col("_r") <= candidates * k).select("group", "key")
         drawn = staged(drawn.unionByName(more).distinct(), "candidates")
         # At most candidates * k a round for each group of PEs.
         arrays = drawn.groupBy("group").agg(F.sort_array(F.collect_list("key")).alias("_cs"))
@@ -36,8 +36,10 @@ def histogram_splitters(at: DataFrame, k: int, candidates: int, seed: int, toler
         placed = named.withColumn("rank", F.sum(F.coalesce("_c", F.lit(0))).over(upto)).select("group", "key", "rank")
         away = F.abs(F.col("rank") - F.col("want"))
         best = staged(targets.join(placed, "group").groupBy("group", "i", "n").agg(F.min_by("key", F.struct(away, "key")).alias("s"), F.min(away).alias("_away")), "nearest")
-        if not best.where(F.col("_away") > tolerance * F.col("n") / k).limit(1).count():
+        away = best.where(F.col("_away") > tolerance * F.col("n") / k).select("group").distinct()
+        if away.isEmpty():
             break
+        still = at.join(F.broadcast(away), "group", "left_semi")  # a group that is near enough draws no more
     return best.select("group", "i", "s")
 
 

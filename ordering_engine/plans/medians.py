@@ -22,11 +22,11 @@ def _sentinel(kind: str, cls: int) -> str:
     return f"named_struct('cls', {cls}, 'key', cast(null AS {kind}))"
 
 
-def leaf_windows(state: DataFrame, p: int, k: int, seed: int) -> DataFrame:
+def leaf_windows(state: DataFrame, p: int, k: int, seed: int, machine: int | None = None) -> DataFrame:
     """pe, w: the k elements around each PE's median, padded; every PE has a row. An odd load flips a coin between the two middles."""
     kind = state.schema["key"].dataType.simpleString()
     at = local_positions(state) if "pos" not in state.columns else state
-    coin = f"({SPARK.hash('pe', seed)} % 2)"
+    coin = f"({SPARK.hash(f'pe % {machine or p}', seed)} % 2)"
     middle = f"(m div 2 + (m % 2) * {coin})"
     near = at.withColumn("_mid", F.expr(middle)).where(f"pos > _mid - {k // 2} and pos <= _mid + {k // 2}")
     real = near.groupBy("pe").agg(
@@ -61,14 +61,14 @@ def _tree(windows: DataFrame, depth: int, arity: int, keep: int) -> DataFrame:
     return windows
 
 
-def binary_tree(state: DataFrame, p: int, dims: int, k: int = 2, seed: int = 1) -> DataFrame:
+def binary_tree(state: DataFrame, p: int, dims: int, k: int = 2, seed: int = 1, machine: int | None = None) -> DataFrame:
     """subcube, s: an estimate of the median of every non-empty subcube of ``dims`` dimensions.
 
     The root flips a coin between the two middle elements; if the coin meets a sentinel while the
-    subcube holds elements, the real neighbour is taken.
+    subcube holds elements, the real neighbour is taken. With machines of ``machine`` PEs side by side, each draws as it would alone.
     """
-    w = _tree(leaf_windows(state, p, k, seed), dims, 2, k)
-    coin = f"({SPARK.hash('pe', seed + 1)} % 2)"
+    w = _tree(leaf_windows(state, p, k, seed, machine), dims, 2, k)
+    coin = f"({SPARK.hash(f'pe % {max(1, (machine or p) >> dims)}', seed + 1)} % 2)"
     chosen = f"coalesce(nullif(w[{k // 2 - 1} + {coin}].cls, 0), 0)"
     real = "filter(w, x -> x.cls = 0)"
     pick = f"if({chosen} = 0, w[{k // 2 - 1} + {coin}].key, if({chosen} < 0, {real}[0].key, element_at({real}, -1).key))"
@@ -102,10 +102,10 @@ def first_pe(state: DataFrame, dims: int) -> DataFrame:
     return own.groupBy(F.shiftright("pe", dims).alias("subcube")).agg(F.min_by("key", "pe").alias("s"))
 
 
-def random_pe(state: DataFrame, dims: int, seed: int = 1) -> DataFrame:
+def random_pe(state: DataFrame, dims: int, seed: int = 1, machine: int = 1 << 30) -> DataFrame:
     """The local median of a random non-empty PE of the subcube."""
     own = _local_medians(state)
-    return own.groupBy(F.shiftright("pe", dims).alias("subcube")).agg(F.min_by("key", uid_hash("pe", seed)).alias("s"))
+    return own.groupBy(F.shiftright("pe", dims).alias("subcube")).agg(F.min_by("key", uid_hash(f"pe % {machine}", seed)).alias("s"))
 
 
 def median_of_medians(state: DataFrame, dims: int) -> DataFrame:
@@ -123,10 +123,10 @@ def exact(state: DataFrame, dims: int) -> DataFrame:
     return ranks.join(F.broadcast(per), "subcube").where("rank = _first + (_n + 1) div 2 - 1").select("subcube", F.col("key").alias("s"))
 
 
-def pivots(state: DataFrame, how: str, p: int, dims: int, k: int, seed: int) -> DataFrame:
+def pivots(state: DataFrame, how: str, p: int, dims: int, k: int, seed: int, machine: int | None = None) -> DataFrame:
     return {
-        "binary_tree": lambda: binary_tree(state, p, dims, k, seed), "ternary_tree": lambda: ternary_tree(state, p, dims, seed=seed), "first_pe": lambda: first_pe(state, dims),
-        "random_pe": lambda: random_pe(state, dims, seed), "median_of_medians": lambda: median_of_medians(state, dims), "exact": lambda: exact(state, dims),
+        "binary_tree": lambda: binary_tree(state, p, dims, k, seed, machine), "ternary_tree": lambda: ternary_tree(state, p, dims, seed=seed), "first_pe": lambda: first_pe(state, dims),
+        "random_pe": lambda: random_pe(state, dims, seed, machine or p), "median_of_medians": lambda: median_of_medians(state, dims), "exact": lambda: exact(state, dims),
     }[how]()
 
 

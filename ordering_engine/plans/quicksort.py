@@ -29,7 +29,7 @@ def cube_quicksort(state: DataFrame, p: int, pivot: str = "first_pe", shuffle: s
     base = len(ledger)
 
     def halve(at: DataFrame, j: int, number: int) -> DataFrame:
-        s = medians.pivots(at, pivot, p * cubes, j + 1, k, seed + 101 * (j + 1))
+        s = medians.pivots(at, pivot, p * cubes, j + 1, k, seed + 101 * (j + 1), p)
         s = staged(s.select(F.col("subcube").cast("int").alias("subcube"), "s"), "pivots")
         splitters.append(s.withColumn("dims", F.lit(j + 1)))
         # One row per subcube, never more than p / 2; without a pivot the elements keep together.
