@@ -167,10 +167,11 @@ def document_sets(docs: DataFrame, id_col: str, text_col: str, width: int, bands
 def buckets(sets: DataFrame) -> DataFrame:
     """Members of buckets that hold two sets or more: ``word``, ``d1``, ``least`` (the bucket's), each once."""
     rows = sets.select(F.explode("words").alias("word"), "d1")
-    shared = rows.groupBy("word").agg(F.min("d1").alias("least"), F.max("d1").alias("_most")).where("least < _most").select("word", "least")
-    # Written before the next aggregation, which would forbid splitting the partition of a hot word.
-    found = materialize(rows.join(shared, "word"), "join-members")
-    return found.groupBy("d1", "word").agg(F.min("least").alias("least")).select("word", "d1", "least")
+    # Most words occur once: a count, which packs well, tells which; the members of the others are few.
+    often = rows.groupBy("word").agg(F.count(F.lit(1)).alias("_n")).where("_n > 1").select("word")
+    found = materialize(rows.join(often, "word"), "join-members")
+    least = found.groupBy("word").agg(F.min("d1").alias("least"), F.max("d1").alias("_most")).where("least < _most").select("word", "least")
+    return found.groupBy("d1", "word").agg(F.lit(0).alias("_")).select("word", "d1").join(least, "word")
 
 
 def _near(pairs: DataFrame, sketches: DataFrame, bands: Bands) -> DataFrame:
