@@ -88,11 +88,12 @@ def over(results: DataFrame, references: dict[str, str]) -> DataFrame:
     base = results.select(F.col("method").alias("_m"), F.col("input").alias("_i"), F.col("p").alias("_p"), F.col("n").alias("_n"), F.col("time").alias("_t"))
     named = F.create_map(*[F.lit(x) for pair in references.items() for x in pair])[F.col("method")]
     same = (F.col("_m") == named) & (F.col("_i") == F.col("input")) & (F.col("_p") == F.col("p")) & (F.col("_n") == F.col("n"))
-    return results.join(base, same, "left").withColumn("ratio", F.col("time") / F.col("_t")).drop("_m", "_i", "_p", "_n", "_t")
+    return results.join(base, same, "left").withColumn("ratio", F.try_divide(F.col("time"), F.col("_t"))).drop("_m", "_i", "_p", "_n", "_t")
 
 
 def vs_best(results: DataFrame) -> DataFrame:
-    return results.withColumn("to_best", F.col("time") / F.min("time").over(Window.partitionBy("input", "p", "n")))
+    """With ``to_best``: time over the best one's for the same input, p and n; null where the best needs none."""
+    return results.withColumn("to_best", F.try_divide(F.col("time"), F.min("time").over(Window.partitionBy("input", "p", "n"))))
 
 
 def fluctuation(runs: DataFrame) -> DataFrame:
@@ -140,7 +141,7 @@ def whole_size_sweep(spark, d) -> DataFrame:
 
 
 #: Numbers of PEs of the sweep over loads, and the power of two of the largest load.
-SWEEP = ((16, 15), (64, 13))
+SWEEP = ((64, 13),)
 
 
 def mirrored_traces(spark, d, ps=(16, 64)) -> DataFrame:
