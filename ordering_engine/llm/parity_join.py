@@ -244,33 +244,43 @@ def bucket_links(digests: list[int], roots: list[int], own: list[int], sets: lis
     """Links that join different components in a group (or between its blocks i and j): no more than components less one.
 
     Sketches of eight bits a shingle leave few pairs to compare whole, and a pair whose components
-    have met already needs no comparison.
+    have met already needs no comparison. Sets of like size are sketched at a time, so one long set doesn't widen the sketches of short ones.
     """
-    n = np.array([len(s) for s in sets])
-    bits = 1 << (int(n.max()) * 8 - 1).bit_length()
-    sketch = np.zeros((len(sets), bits // 64), np.uint64)
-    for k, s in enumerate(sets):
-        odd = np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
-        sketch[k] = np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
-    block, forest, found = np.array(own), _Forest(), []
-    label = np.array(roots)
-    for k in range(len(sets)):
-        if i != j and block[k] != i:
-            continue
-        fits = (label != label[k]) & (np.minimum(n, n[k]) * bands.den >= np.maximum(n, n[k]) * bands.num)
-        fits &= (block == j) if i != j else (np.arange(len(sets)) > k)
-        at = np.flatnonzero(fits)
-        if len(at):
-            apart = np.bitwise_count(sketch[at] ^ sketch[k]).sum(1)
-            for m in at[apart <= (n[at] + n[k]) * (bands.den - bands.num) // (bands.den + bands.num)]:
-                if forest.root(roots[k]) != forest.root(roots[m]):
-                    common = len(np.intersect1d(sets[k], sets[m], assume_unique=True))
+    order = sorted(range(len(sets)), key=lambda k: len(sets[k]))
+    n = np.array([len(sets[k]) for k in order])
+    label, block = np.array([roots[k] for k in order]), np.array([own[k] for k in order])
+    # A set is compared with those of its size or more, up to the threshold's ratio; of blocks i and j, one must be in each.
+    ends = np.searchsorted(n, n * bands.den // bands.num, "right")
+    forest, found, at = _Forest(), [], 0
+    while at < len(n):
+        bits = max(64, 1 << (int(n[at]) * 8 - 1).bit_length())
+        stop = int(np.searchsorted(n, bits // 8, "right"))
+        sketch = np.stack([_wide_sketch(sets[k], bits) for k in order[at : int(ends[stop - 1])]])
+        for k in range(at, stop):
+            fits = label[k + 1 : ends[k]] != label[k]
+            if i != j:
+                fits &= block[k + 1 : ends[k]] != block[k]
+            near = k + 1 + np.flatnonzero(fits)
+            if not len(near):
+                continue
+            apart = np.bitwise_count(sketch[near - at] ^ sketch[k - at]).sum(1)
+            for m in near[apart <= (n[near] + n[k]) * (bands.den - bands.num) // (bands.den + bands.num)].tolist():
+                if forest.root(int(label[k])) != forest.root(int(label[m])):
+                    one, two = order[k], order[m]
+                    common = len(np.intersect1d(sets[one], sets[two], assume_unique=True))
                     if common * bands.den >= (n[k] + n[m] - common) * bands.num:
-                        forest.join(roots[k], roots[m])
-                        found.append((max(digests[k], digests[m]), min(digests[k], digests[m])))
+                        forest.join(int(label[k]), int(label[m]))
+                        found.append((max(digests[one], digests[two]), min(digests[one], digests[two])))
+        at = stop
     return found
 
 
+def _wide_sketch(s: np.ndarray, bits: int) -> np.ndarray:
+    """A set's parity sketch of ``bits`` bits, as 64-bit words."""
+    odd = np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64)
+
+
 def bucket_meetings(digests: list[int], roots: list[int], own: list[int], sizes: list[int], sketches: list[bytes], i: int, j: int, bands: Bands) -> set[tuple[int, int, int]]:
     """What a bucket's sketches leave possible between its components (or between its blocks i and j).
 

@@ -5,9 +5,11 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import public_tokenizers
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from ordering_engine.llm import components, exact_dedup, imatch, language_id, packing, parity_join, shared, source_mix, token_counts
@@ -265,6 +267,46 @@ def test_join_in_small_blocks(spark, monkeypatch):
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in parity_join.linked_classes(docs).collect()} == brute_classes(docs.collect())
 
 
+def test_join_of_short_sets_whose_sketches_are_equal(spark):
+    """Sets of four shingles in one group, the smallest that meet: they share three, and the fourth has the same bit."""
+    memo, like = parity_join._WordHashes(), defaultdict(list)
+    for k in range(1000):
+        text = f"a b c d e f g x{k}"
+        like[parity_join.parity_sketch(parity_join.shingles(text.encode(), 5, memo))].append(text)
+    texts = max(like.values(), key=len)[:6]
+    got = rows(parity_join.linked_classes(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")))
+    assert sorted(got) == [(k, 4, k) for k in range(6)]
+
+
+def test_a_long_set_leaves_the_sketches_of_short_ones_short():
+    import tracemalloc
+
+    rng = np.random.default_rng(1)
+    sets = [np.unique(rng.integers(0, 1 << 63, n).astype(np.uint64)) for n in [20_000] + [5] * 2_000]
+    sets.append(sets[1][:4])  # links with the five that it is of
+    name = list(range(len(sets)))
+    tracemalloc.start()
+    found = parity_join.bucket_links(name, name, [0] * len(sets), sets, 0, 0, parity_join.Bands())
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert (len(sets) - 1, 1) in found and most < 10 << 20
+
+
+def test_staged_tables_take_small_batches(spark):
+    names = ("spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch")
+    before = [spark.conf.get(n) for n in names]
+
+    def size(batches):
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([b.num_rows]), pa.array([b.nbytes])], names=["n", "size"])
+
+    wide = spark.range(5000, numPartitions=1).select(F.expr("repeat('x', 10000)").alias("t"))
+    assert max(r.size for r in shared.materialize(wide.mapInArrow(size, "n long, size long")).collect()) < 6 << 20
+    flat = shared.materialize(spark.range(5000, numPartitions=1).mapInArrow(size, "n long, size long")).collect()
+    assert sum(r.n for r in flat) == 5000 and max(r.n for r in flat) <= 2000
+    assert [spark.conf.get(n) for n in names] == before
+
+
 def test_join_of_awkward_rows(odd, none):
     got = Counter(rows(parity_join.linked_classes(odd)))
     assert got[(1, 5, 1)] == 1 and got[(2, 5, 1)] == 2 and got[(3, 0, 3)] == 1 and got[(4, 0, 4)] == 1 and got[(5, 0, 5)] == 1
