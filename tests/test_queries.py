@@ -60,3 +60,9 @@ def test_every_customer_is_a_pe(spark):
     con.execute(f"CREATE VIEW customer AS SELECT * FROM '{larger}/customer.parquet'")
     got, want = QUERIES[name](spark, larger).toPandas(), con.execute(ORACLE[name]).df()
     assert len(got) == 1500 and plain(got) == plain(want)
+
+
+@pytest.mark.parametrize("name", ["cost_bound", "cost_formulas", "cost_rank_methods", "exp_median_fit", "median_quality", "udtf_bitonic_schedule"])
+def test_query_needs_its_table(spark, tmp_path, name):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        QUERIES[name](spark, str(tmp_path)).collect()
