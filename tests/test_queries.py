@@ -66,3 +66,12 @@ def test_every_customer_is_a_pe(spark):
 def test_query_needs_its_table(spark, tmp_path, name):
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         QUERIES[name](spark, str(tmp_path)).collect()
+
+
+def test_small_sort_keeps_the_method_of_its_sql(spark, duck, small, monkeypatch):
+    """Where the load is in the range of another method, as it is from 262,145 orders on."""
+    from ordering_engine.plans import selector
+
+    monkeypatch.setattr(selector, "PUBLISHED", ((float("inf"), "multilevel_samplesort"),))
+    got, want = QUERIES["sort_adaptive_small"](spark, small).toPandas(), duck.execute(ORACLE["sort_adaptive_small"]).df()
+    assert plain(got) == plain(want)
