@@ -39,7 +39,7 @@ from .shared import raw_texts
 UNDETERMINED = "und"
 LETTER = re.compile(r"[^\W\d_]")
 #: Bytes of text that a worker scores at a time.
-SLICE_BYTES = 1 << 21
+SLICE_BYTES = 1 << 19
 
 
 def prepared(raw: bytes) -> bytes:
