@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
-from .shared import STEP, mixed, raw_texts
+from .shared import STEP, kept, mixed, raw_texts
 
 #: ASCII letters in lower case, other ASCII that isn't a letter or digit as a space.
 FOLD = bytes(b + 32 if 65 <= b <= 90 else b if b >= 128 or chr(b).isalnum() else 32 for b in range(256))
@@ -154,15 +154,9 @@ def likeness(a: str, b: str) -> float:
     return best
 
 
-_made: dict[str, Fingerprinter] = {}
-
-
 def _fingerprinter(token: str, words: list[bytes], seed: int) -> Fingerprinter:
     """One per worker process and lexicon."""
-    if token not in _made:
-        _made.clear()
-        _made[token] = Fingerprinter(words, seed)
-    return _made[token]
+    return kept(("imatch", token), lambda: Fingerprinter(words, seed))
 
 
 class _Ranges:

@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .shared import raw_texts
+from .shared import keep_nothing, kept, raw_texts
 
 UNDETERMINED = "und"
 LETTER = re.compile(r"[^\W\d_]")
@@ -221,6 +221,7 @@ def train(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     rows = sample(labelled, id_col, text_col, lang_col, sample_rows, spread).repartition(spread)
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_nothing()
         for batch in batches:
             for lang, raw in zip(batch.column(0).to_pylist(), raw_texts(batch.column(1)), strict=True):
                 whole = b"\0" * order + prepared(raw)
@@ -235,23 +236,13 @@ def train(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     return Model(languages, order, found["lang"].map(place).to_numpy(np.int16), found["gram"].to_numpy(np.int64).view(np.uint64), found["n"].to_numpy(np.int64))
 
 
-_scorers: dict[str, Scorer] = {}
-
-
-def _scorer(token: str, model: Model) -> Scorer:
-    if token not in _scorers:
-        _scorers.clear()
-        _scorers[token] = Scorer(model)
-    return _scorers[token]
-
-
 def predict(docs: DataFrame, model: Model, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """The columns ``keep`` of every row, with ``lang_pred``, ``score`` and ``bits_per_byte`` of the winner."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # its size is bounded by the sample
     names, token = list(model.languages), uuid.uuid4().hex
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scorer = _scorer(token, shared.value) if names else None
+        scorer = kept(("language_id", token), lambda: Scorer(shared.value)) if names else None
         for batch in batches:
             raw = list(raw_texts(batch.column(batch.num_columns - 1)))
             texts = [prepared(t) if LETTER.search(t.decode("utf-8", "replace")) else b"" for t in raw]
@@ -264,8 +255,8 @@ def predict(docs: DataFrame, model: Model, text_col: str = "text", keep: tuple[s
                 lang = [names[b] if n else UNDETERMINED for b, n in zip(best, size, strict=True)]
                 value = np.where(size > 0, value, 0.0)
                 rate = np.where(size > 0, bits.min(1) / np.maximum(size, 1), 0.0)
-            kept = batch.columns[:-1]
-            yield pa.RecordBatch.from_arrays([*kept, pa.array(lang, pa.string()), pa.array(value, pa.float64()), pa.array(rate, pa.float64())], names=[*keep, "lang_pred", "score", "bits_per_byte"])
+            own = batch.columns[:-1]
+            yield pa.RecordBatch.from_arrays([*own, pa.array(lang, pa.string()), pa.array(value, pa.float64()), pa.array(rate, pa.float64())], names=[*keep, "lang_pred", "score", "bits_per_byte"])
 
     fields = T.StructType([docs.schema[c] for c in keep]).add("lang_pred", "string").add("score", "double").add("bits_per_byte", "double")
     return docs.select(*keep, F.col(text_col).alias("_text")).mapInArrow(score, fields)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import materialize, raw_texts
+from .shared import kept, materialize, raw_texts
 from .token_counts import FOREIGN, SPLIT, UNSURE, _Memo, byte_symbols
 
 #: A bin filled to less than this share is released to the second round.
@@ -58,13 +58,8 @@ class IdEncoder:
         return self.memo[head] + b"".join(map(self.memo.__getitem__, [f" {x}" for x in rest]))
 
 
-_encoders: dict[str, IdEncoder] = {}
-
-
 def encoder(path: str) -> IdEncoder:
-    if path not in _encoders:
-        _encoders[path] = IdEncoder(path)
-    return _encoders[path]
+    return kept(("packing", path), lambda: IdEncoder(path))
 
 
 def pieces(docs: DataFrame, vocabulary: str, capacity: int = 1024, end_id: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

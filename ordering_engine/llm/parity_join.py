@@ -45,12 +45,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .components import components
-from .shared import STEP, materialize, mixed, raw_texts, settled
+from .shared import STEP, keep_nothing, materialize, mixed, raw_texts, settled
 
 FOLD = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 #: Sizes below this use one segment per shingle, so that enough segments are occupied for certain.
 FINE_BELOW = 64
-MEMO_ENTRIES = 500_000
+MEMO_ENTRIES = 1 << 17
 #: Members of a bucket that are compared by sketches at a time, against as many.
 BLOCK = 2048
 #: Shingles of a group's sets that are compared at a time, against as many.
@@ -139,6 +139,7 @@ def document_sets(docs: DataFrame, id_col: str, text_col: str, width: int, bands
     """One row per document: ``_id``, ``n``, digest ``d1`` ``d2``, ``sketch`` and ``words`` (where a task meets a set first)."""
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_nothing()
         memo, seen = _WordHashes(), set()
         for batch in batches:
             size, first, second, sketches, words = [], [], [], [], []
@@ -181,6 +182,7 @@ def _near(pairs: DataFrame, sketches: DataFrame, bands: Bands) -> DataFrame:
     sized = pairs.join(one, "a").join(two, "b").where(f"least(na, nb) * {bands.den} >= greatest(na, nb) * {bands.num}")
 
     def test(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_nothing()
         for batch in batches:
             a, b, na, sa, nb, sb = (batch.column(k).to_pylist() for k in range(6))
             keep = []
@@ -203,6 +205,7 @@ def _whole_sets(wanted: DataFrame, sets: DataFrame, docs: DataFrame, id_col: str
     texts = texts.join(F.broadcast(side) if small else side, F.col("_id").eqNullSafe(F.col("_rep")), "left_semi")
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_nothing()
         memo = _WordHashes()
         for batch in batches:
             own = [shingles(raw, width, memo) for raw in raw_texts(batch.column(0))]
@@ -325,6 +328,7 @@ def _by_group(rows: DataFrame, group: str, size: str, most: int, payload: list[s
         return pa.RecordBatch.from_arrays([pa.array([r[k] for r in found], pa.int32() if name == "kind" else pa.int64()) for k, name in enumerate(names)], names=names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_nothing()
         key, held = None, []
         for batch in batches:
             found: list[tuple] = []

@@ -21,7 +21,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from .shared import raw_texts
+from .shared import kept, raw_texts
 
 #: The byte-level split of the public vocabulary.
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -126,13 +126,8 @@ class _Memo(dict):
         return value
 
 
-_counters: dict[str, MergeCounter] = {}
-
-
 def counter(path: str) -> MergeCounter:
-    if path not in _counters:
-        _counters[path] = MergeCounter(path)
-    return _counters[path]
+    return kept(("token_counts", path), lambda: MergeCounter(path))
 
 
 def token_counts(docs: DataFrame, vocabulary: str, limit: int = 512, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

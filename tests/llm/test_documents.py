@@ -307,6 +307,22 @@ def test_staged_tables_take_small_batches(spark):
     assert [spark.conf.get(n) for n in names] == before
 
 
+def test_workers_keep_one_operators_things_at_most():
+    for key in (("a", 1), ("b", 1), ("b", 2)):
+        assert shared.kept(key, lambda key=key: [key]) is shared.kept(key, lambda: None) and list(shared._kept) == [key]
+    shared.keep_nothing()
+    assert not shared._kept
+
+
+def test_near_copies_drop_the_model_that_their_worker_kept(odd, monkeypatch):
+    ran = []
+    monkeypatch.setattr(type(odd), "mapInArrow", lambda self, function, schema: ran.append(function))
+    parity_join.document_sets(odd, "doc_id", "text", 5, parity_join.Bands())
+    shared.kept(("language_id", "earlier"), lambda: "models")
+    batch = pa.RecordBatch.from_arrays([pa.array([1]), pa.array(["a b c d e f"])], names=["_id", "text"])
+    assert next(ran[0]([batch])).num_rows == 1 and not shared._kept
+
+
 def test_join_of_awkward_rows(odd, none):
     got = Counter(rows(parity_join.linked_classes(odd)))
     assert got[(1, 5, 1)] == 1 and got[(2, 5, 1)] == 2 and got[(3, 0, 3)] == 1 and got[(4, 0, 4)] == 1 and got[(5, 0, 5)] == 1
