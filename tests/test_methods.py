@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ordering_engine import experiments
@@ -139,6 +140,19 @@ def test_experiment_columns(spark, small):
         assert r.method == "gather_merge" and np.isnan(r.ratio) or r.ratio == r.time / gather.time[(r.input, r.n)]
 
 
+def test_samples_of_smallest_hashes_sort_few_rows(spark, uids, monkeypatch):
+    """Ranked are few more rows than the sample takes, and the sample is that of a window over all; a group with bad hashes is taken whole."""
+    state = spark.range(20_000).select((F.col("id") % 3).cast("int").alias("group"), F.col("id").alias("uid")).where("group < 2 or uid < 60")
+    w = Window.partitionBy("group").orderBy(samplesort.uid_hash("uid", 5), "uid")
+    expected = sorted(map(tuple, state.withColumn("_r", F.row_number().over(w)).where("_r <= 100").drop("_r").collect()))
+    kept, stage = [], samplesort.staged
+    monkeypatch.setattr(samplesort, "staged", lambda df, label: kept.append(stage(df, label)) or kept[-1])
+    assert sorted(map(tuple, samplesort.smallest_hashes(state, "group", 100, 5).collect())) == expected
+    assert len(expected) == 220 and kept[0].count() < 600
+    monkeypatch.setattr(samplesort, "uid_hash", lambda uid, seed: (F.col(uid) + samplesort.PRIME - 30_000).cast("long"))
+    assert samplesort.smallest_hashes(state, "group", 100, 5).count() == 220
+
+
 def test_exact_splitters(uids):
     for name, n in (("rand_dupl", 400), ("zero", 400), ("uniform", 399), ("uniform", 7)):
         state = held(uids, name, n=n)
