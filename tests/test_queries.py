@@ -75,3 +75,14 @@ def test_small_sort_keeps_the_method_of_its_sql(spark, duck, small, monkeypatch)
     monkeypatch.setattr(selector, "PUBLISHED", ((float("inf"), "multilevel_samplesort"),))
     got, want = QUERIES["sort_adaptive_small"](spark, small).toPandas(), duck.execute(ORACLE["sort_adaptive_small"]).df()
     assert plain(got) == plain(want)
+
+
+def test_theta_join_of_prices(spark, tmp_path):
+    """Every pair of parts whose prices are less than 15 cents apart, in their order; equal, missing and odd prices too."""
+    prices = [900.0, 900.0, 900.1, 900.1, 900.14, 900.15, 900.2, 901.0, -0.05, 0.0, -0.0, 0.1, float("nan"), float("inf"), None]
+    spark.createDataFrame(list(enumerate(prices)), "p_partkey bigint, p_retailprice double").write.parquet(str(tmp_path / "part.parquet"))
+    got, con = QUERIES["join_theta_price"](spark, str(tmp_path)).collect(), duckdb.connect()
+    con.execute(f"CREATE VIEW part AS SELECT * FROM '{tmp_path}/part.parquet/*.parquet'")
+    real = [(k, v) for k, v in enumerate(prices) if v is not None]
+    want = [(a, b) for a, v in real for b, w in real if v < w < v + 0.15]
+    assert sorted(map(tuple, got)) == sorted(want) == sorted(con.execute(ORACLE["join_theta_price"]).fetchall())
