@@ -227,3 +227,26 @@ def test_experiments_are_registered_whole(spark, small, monkeypatch):
     sweep, base = cases("exp_size_sweep")
     assert base == "lineitem" and len({i for _, i, *_ in sweep}) == 4 and max(n for *_, n in sweep) == 1 << 19
     assert "direct_given" in {m for m, *_ in cases("exp_against_direct")[0]} and "exp_parameter_grid" in experiments.QUERIES
+
+
+@pytest.mark.parametrize("size", [0, 1, 3, 15, 16, 63])
+def test_search_in_generated_code(spark, size):
+    """Steps of generated code find what the search of one expression finds, on arrays that are null, short, equal or at their bound."""
+    import bisect
+
+    from ordering_engine.functions.search import with_count_below
+
+    bounds = sorted(7 * i // 2 % 40 for i in range(size))
+    df = spark.range(60).select(F.when(F.col("id") % 9 > 0, F.col("id") - 5).alias("v"), F.when(F.col("id") < 50, F.lit(bounds).cast("array<bigint>")).alias("ss"))
+    found = with_count_below(df, "ss", "v", "at", max(1, size))
+    assert "aggregate(" not in found._jdf.queryExecution().executedPlan().toString() and found.columns == ["v", "ss", "at"]
+    assert all(r["at"] == (bisect.bisect_left(r.ss, r.v) if r.ss and r.v is not None else 0) for r in found.collect())
+
+
+def test_grid_cells_are_sorted_once(spark, uids):
+    """One window ranks a cell, whatever the ties."""
+    state = inputs.make("rand_dupl", uids, 16)
+    for unique in (True, False):
+        assert gridrank.grid_rank(state, 16, unique)._jdf.queryExecution().optimizedPlan().toString().count("windowspecdefinition(cr") == 1
+    want = {r.uid: r["rank"] for r in state.select("uid", (F.rank().over(Window.orderBy("key")) - 1).alias("rank")).collect()}
+    assert want == {r.uid: r["rank"] for r in gridrank.grid_rank(state, 16).collect()}
