@@ -250,3 +250,19 @@ def test_grid_cells_are_sorted_once(spark, uids):
         assert gridrank.grid_rank(state, 16, unique)._jdf.queryExecution().optimizedPlan().toString().count("windowspecdefinition(cr") == 1
     want = {r.uid: r["rank"] for r in state.select("uid", (F.rank().over(Window.orderBy("key")) - 1).alias("rank")).collect()}
     assert want == {r.uid: r["rank"] for r in gridrank.grid_rank(state, 16).collect()}
+
+
+def test_runs_leave_nothing_staged(spark, small, monkeypatch):
+    """Machines in turns give the rows of machines side by side, and no run's tables stay."""
+    import os
+
+    from ordering_engine import storage
+
+    cases = [("multilevel_l3", i, 8, 500) for i in ("uniform", "zero")]
+    before, made = set(storage._left), []
+    together = sorted(map(tuple, experiments.measure(spark, small, cases).collect()))
+    monkeypatch.setattr(experiments, "AT_ONCE", 500)
+    monkeypatch.setattr(inputs, "make_many", lambda turn, *rest, make=inputs.make_many: made.append(turn) or make(turn, *rest))
+    assert sorted(map(tuple, experiments.measure(spark, small, cases).collect())) == together
+    assert made == [[("uniform", 500)], [("zero", 500)]] and storage._left == before
+    assert all(not os.path.exists(p) for p in storage._left - before)
